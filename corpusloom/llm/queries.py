@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from corpusloom.llm import bpe, exact_dedup, flac, html_text, packing, simhash, toxicity, vocab
+from corpusloom.llm import bpe, exact_dedup, flac, html_text, licences, packing, pii, simhash, token_files, toxicity, vocab
 from corpusloom.runtime import table
 
 
@@ -18,6 +18,19 @@ def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op3_pii_boosted(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return pii.digests(docs, pii.fit(docs))
+
+
+def op4_licence_digests(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan(table(spark, sf_dir, "documents"))
+
+
+def op5_separator_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_files.document_counts(table(spark, sf_dir, "documents"), vocab.at("word_bpe_49k.json"), end_id=49407)
+
+
 def op6_toxicity_kernel_svm(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
@@ -42,6 +55,9 @@ def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_html_line_blocks": op1_html_line_blocks,
     "op2_simhash_near_dedup": op2_simhash_near_dedup,
+    "op3_pii_boosted": op3_pii_boosted,
+    "op4_licence_digests": op4_licence_digests,
+    "op5_separator_scan": op5_separator_scan,
     "op6_toxicity_kernel_svm": op6_toxicity_kernel_svm,
     "op7_flac_media": op7_flac_media,
     "op8_best_fit_packing": op8_best_fit_packing,
@@ -50,6 +66,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 ORACLES: dict[str, str] = {
+    "op4_licence_digests": licences.oracle(),
     "op10_exact_dedup": """
         WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents)
         SELECT doc_id, max(doc_id) OVER w AS keep_id, count(*) OVER w AS group_size,
