@@ -19,7 +19,7 @@ from corpusloom.runtime import ensure_importable
 #: The fixed pattern that goes with the public rank files.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 BLOCK_CHARS = 6_000_000
-CACHE = 300_000
+CACHE = 250_000
 _EDGE = regex.compile(r"\s | \s|^ | $")
 
 
@@ -45,16 +45,11 @@ class Codec:
         self.spaced: dict[str, bytes] = {}
         self.names = [str(i) for i in range(size)]
 
-    def _learn(self, words: set[str]) -> None:
-        new = list(words.difference(self.words))
-        if len(self.words) + len(new) > CACHE:
-            self.words.clear()
-            new = list(words)
-        if new:
-            raw = [w.encode() for w in new]
-            ids, counts = self.replay.encode(self.byte[np.frombuffer(b"".join(raw), np.uint8)], np.fromiter(map(len, raw), np.int64, len(raw)))
-            flat, stops = ids.astype("<u4").tobytes(), (4 * np.cumsum(counts)).tolist()
-            self.words.update(zip(new, (flat[a:b] for a, b in zip([0, *stops], stops, strict=False)), strict=True))
+    def _ids(self, words: list[str]) -> Iterator[bytes]:
+        raw = [w.encode() for w in words]
+        ids, counts = self.replay.encode(self.byte[np.frombuffer(b"".join(raw), np.uint8)], np.fromiter(map(len, raw), np.int64, len(raw)))
+        flat, stops = ids.astype("<u4").tobytes(), (4 * np.cumsum(counts)).tolist()
+        return map(flat.__getitem__, map(slice, [0, *stops], stops))
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
         """A space between two other characters that aren't white space opens a new word, so such texts are cut there."""
@@ -64,16 +59,22 @@ class Codec:
                 whole[k] = self.split(t)
             else:
                 cut[k] = t.split(" ")
-        # " " + the first part would be another word.
-        rest = set().union(*(p[1:] for p in cut.values()))
+        rest: set[str] = set()
+        for p in cut.values():
+            rest.update(p)
         new = rest.difference(self.spaced)
-        if len(self.spaced) + len(new) > CACHE:
-            self.spaced.clear()
-            new = rest
-        inside = {x: self.split(" " + x) for x in new}
-        first = {k: self.split(p[0]) for k, p in cut.items()}
-        self._learn(set().union(*inside.values(), *first.values(), *whole.values()))
-        word, spaced = self.words.__getitem__, self.spaced
+        if len(self.spaced) + len(new) > CACHE:  # what these texts need stays
+            self.spaced = {p: ids for p, ids in self.spaced.items() if p in rest}
+        letters = [x for x in new if x.isalpha()]  # one word with the space before it
+        inside = {x: self.split(" " + x) for x in new if not x.isalpha()}
+        first = {k: self.split(p[0]) for k, p in cut.items()}  # without a space before it
+        words = set().union(*inside.values(), *first.values(), *whole.values())
+        fresh = list(words.difference(self.words))
+        if len(self.words) + len(fresh) > CACHE:
+            self.words = {p: ids for p, ids in self.words.items() if p in words}
+        self.words.update(zip(fresh, self._ids(fresh), strict=False))
+        spaced, word = self.spaced, self.words.__getitem__
+        spaced.update(zip(letters, self._ids([" " + x for x in letters]), strict=False))
         for x, parts in inside.items():
             spaced[x] = b"".join(map(word, parts))
         for k in range(len(texts)):

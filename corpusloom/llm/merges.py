@@ -75,11 +75,12 @@ class MergeReplay:
         while heap:
             now = heapq.heappop(heap)
             lists = waiting.pop(now)
-            at = lists[0] if len(lists) == 1 else np.unique(np.concatenate(lists))
+            at = lists[0] if len(lists) == 1 else np.concatenate(lists)
             at = np.sort(at[(rank[at] == now) & alive[at]])
             if not len(at):
                 continue
             if len(at) > 1:  # of places that overlap, every second one, from the left
+                at = at[np.concatenate(([True], at[1:] != at[:-1]))]
                 chained = np.concatenate(([False], after[at[:-1]] == at[1:]))
                 if chained.any():
                     spot = np.arange(len(at))
@@ -90,7 +91,7 @@ class MergeReplay:
             alive[gone] = False
             before[beyond[beyond >= 0]] = at[beyond >= 0]
             left = before[at]
-            beside = np.unique(np.concatenate((at, left[left >= 0])))
+            beside = np.concatenate((at, left[left >= 0]))
             nxt = after[beside]
             new = np.full(len(beside), _NONE, np.int32)
             new[nxt >= 0] = self.rank_of(ids[beside[nxt >= 0]], ids[nxt[nxt >= 0]])
