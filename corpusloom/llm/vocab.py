@@ -16,7 +16,7 @@ from corpusloom.llm.merges import MergeReplay
 #: The folder of the vocabulary files; an argument of every operator that needs one.
 FOLDER = os.environ.get("TOKENIZER_DIR", "/opt/tokenizers")
 #: Entries of a worker's cache of pieces; beyond it the cache starts anew.
-CACHE = 600_000
+CACHE = 250_000
 #: Characters below the combining marks, without controls and other white space: composed already, one lower case each.
 _LATIN = regex.compile(r"[\x21-\x7e\xa1-\u024f]*+").fullmatch
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+").findall
@@ -72,20 +72,8 @@ class Pieces:
         self.inner, self.final = (np.array([ids[c + x] for c in letters], np.int32) for x in ("", end))
         self.known: dict[str, bytes] = {}
 
-    def _learn(self, new: list[str]) -> None:
-        parts, latin, others = [], [], []
-        for p in new:
-            if _LATIN(p):
-                low = p.lower() if p.isascii() else "".join(map(str.lower, p))
-                latin.append(p)
-                parts.append((low,) if low.isalpha() else _WORDS(low))
-            else:
-                others.append(p)
-        for a in range(0, len(others), 10_000):
-            some = others[a : a + 10_000]
-            for piece, x in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                self.known[piece] = np.array(x.ids, "<u4").tobytes()
-        words = list(set(chain.from_iterable(parts)))
+    def _ids(self, words: list[str]) -> Iterator[bytes]:
+        """Of lower-case words, each one match of the pattern."""
         raw = [w.encode() for w in words]
         sizes = np.fromiter(map(len, raw), np.int64, len(raw))
         data = np.frombuffer(b"".join(raw), np.uint8)
@@ -93,18 +81,30 @@ class Pieces:
         first[last] = self.final[data[last]]
         ids, counts = self.replay.encode(first, sizes)
         flat, stops = ids.astype("<u4").tobytes(), (4 * np.cumsum(counts)).tolist()
-        of = dict(zip(words, (flat[a:b] for a, b in zip([0, *stops], stops, strict=False)), strict=True)).__getitem__
-        self.known.update(zip(latin, (of(p[0]) if len(p) == 1 else b"".join(map(of, p)) for p in parts), strict=True))
+        return map(flat.__getitem__, map(slice, [0, *stops], stops))
+
+    def _learn(self, new: set[str]) -> None:
+        letters = [p for p in new if p.isalpha() and (p.isascii() or _LATIN(p)) and "\u0130" not in p]  # one word each
+        rest = new.difference(letters)
+        mixed = {p: _WORDS(p.lower()) for p in rest if _LATIN(p)}
+        others = list(rest.difference(mixed))
+        words = list(set(chain.from_iterable(mixed.values())))
+        self.known.update(zip(letters, self._ids([p.lower() for p in letters]), strict=False))
+        of = dict(zip(words, self._ids(words), strict=False)).__getitem__
+        self.known.update((p, b"".join(map(of, x))) for p, x in mixed.items())
+        for a in range(0, len(others), 10_000):
+            some = others[a : a + 10_000]
+            for piece, x in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
+                self.known[piece] = np.array(x.ids, "<u4").tobytes()
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
         new: set[str] = set()
         for t in texts:
             new.update(t.replace("\n", " ").split(" "))
         fresh = new.difference(self.known)
-        if len(self.known) + len(fresh) > CACHE:
-            self.known.clear()
-            fresh = new
-        self._learn(list(fresh))
+        if len(self.known) + len(fresh) > CACHE:  # what these texts need stays
+            self.known = {p: ids for p, ids in self.known.items() if p in new}
+        self._learn(fresh)
         get = self.known.__getitem__
         for t in texts:
             yield b"".join(map(get, t.replace("\n", " ").split(" ")))
