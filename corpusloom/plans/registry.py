@@ -6,5 +6,34 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
 ORACLES: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
+    """Registers a query; sql is DuckDB's for the same rows, None where SQL can't say them."""
+
+    def add(f: Query) -> Query:
+        if name in QUERIES:
+            raise ValueError(f"two queries named {name}")
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return add
+
+
+MODULES = ("dedup_queries",)
+
+
+def load() -> None:
+    """Imports the modules that register queries."""
+    import importlib
+
+    for name in MODULES:
+        importlib.import_module(f"corpusloom.plans.{name}")
+
+
+load()
