@@ -25,7 +25,7 @@ def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
     return add
 
 
-MODULES = ("dedup_queries", "curation", "images_queries", "measures")
+MODULES = ("dedup_queries", "curation", "images_queries", "measures", "relational", "streams_queries")
 
 
 def load() -> None:
