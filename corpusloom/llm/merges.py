@@ -14,6 +14,7 @@ from collections import defaultdict
 import numpy as np
 
 _NONE = np.int32(2**31 - 1)
+_FIRST = 512
 
 
 class MergeReplay:
@@ -23,6 +24,10 @@ class MergeReplay:
         keys = np.array([a * size + b for a, b in pairs], np.int64)
         order = np.argsort(keys)
         self.pair_keys, self.pair_ranks = keys[order], np.fromiter(pairs.values(), np.int32, len(pairs))[order]
+        self.first = np.full((_FIRST, _FIRST), _NONE, np.int32)  # of pairs of the ids that words begin with
+        for (a, b), rank in pairs.items():
+            if a < _FIRST and b < _FIRST:
+                self.first[a, b] = rank
 
     def rank_of(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         """Ranks of the tokens that pairs make; _NONE where they make none."""
@@ -30,6 +35,9 @@ class MergeReplay:
         at = np.minimum(np.searchsorted(self.pair_keys, keys), len(self.pair_keys) - 1)
         return np.where(self.pair_keys[at] == keys, self.pair_ranks[at], _NONE)
 
+    def rank_of_pairs(self, pair: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+        return self.rank_of(*pair)
+
     def one_by_one(self, ids: list[int]) -> list[int]:
         """The plain way, for the words that the replay can't settle."""
         ids = list(ids)
@@ -52,7 +60,7 @@ class MergeReplay:
         word_of = np.repeat(np.arange(len(sizes), dtype=np.int32), sizes)
         rank, alive = np.full(n, _NONE, np.int32), np.ones(n, bool)
         has = np.flatnonzero(after >= 0)
-        rank[has] = self.rank_of(ids[has], ids[after[has]])
+        rank[has] = (self.first.__getitem__ if not n or ids.max() < _FIRST else self.rank_of_pairs)((ids[has], ids[after[has]]))
         waiting: dict[int, list[np.ndarray]] = defaultdict(list)
         heap: list[int] = []
 

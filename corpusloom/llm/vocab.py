@@ -9,6 +9,7 @@ from itertools import chain
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 
 from corpusloom.llm.merges import MergeReplay
@@ -16,12 +17,16 @@ from corpusloom.llm.merges import MergeReplay
 #: The folder of the vocabulary files; an argument of every operator that needs one.
 FOLDER = os.environ.get("TOKENIZER_DIR", "/opt/tokenizers")
 #: Entries of a worker's cache of pieces; beyond it the cache starts anew.
-CACHE = 250_000
+CACHE = 500_000
 #: Characters below the combining marks, without controls and other white space: composed already, one lower case each.
 _LATIN = regex.compile(r"[\x21-\x7e\xa1-\u024f]*+").fullmatch
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+").findall
 
 
+#: Signs that are a word of their own behind letters.
+_STOPS = frozenset(".,;:!?")
+
+
 def _byte_letters() -> list[str]:
     """The letter that byte-level vocabularies write for each byte: printable ones themselves, others from 256 on."""
     plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
@@ -84,10 +89,16 @@ class Pieces:
         return map(flat.__getitem__, map(slice, [0, *stops], stops))
 
     def _learn(self, new: set[str]) -> None:
-        letters = [p for p in new if p.isalpha() and (p.isascii() or _LATIN(p)) and "\u0130" not in p]  # one word each
-        rest = new.difference(letters)
-        mixed = {p: _WORDS(p.lower()) for p in rest if _LATIN(p)}
-        others = list(rest.difference(mixed))
+        letters, mixed, others = [], {}, []
+        for p in new:
+            if not (p.isascii() and p.isprintable() or _LATIN(p)) or "\u0130" in p:
+                others.append(p)
+            elif p.isalpha():  # one word
+                letters.append(p)
+            elif p[:-1].isalpha() and p[-1:] in _STOPS:  # two
+                mixed[p] = (p[:-1].lower(), p[-1])
+            else:
+                mixed[p] = _WORDS(p.lower())
         words = list(set(chain.from_iterable(mixed.values())))
         self.known.update(zip(letters, self._ids([p.lower() for p in letters]), strict=False))
         of = dict(zip(words, self._ids(words), strict=False)).__getitem__
@@ -98,16 +109,28 @@ class Pieces:
                 self.known[piece] = np.array(x.ids, "<u4").tobytes()
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
-        new: set[str] = set()
-        for t in texts:
-            new.update(t.replace("\n", " ").split(" "))
-        fresh = new.difference(self.known)
+        """Splitting and finding the distinct pieces is Arrow's, looking up their ids Python's, laying ids out numpy's."""
+        lists = pc.split_pattern(pc.replace_substring(pa.array(texts, pa.large_string()), "\n", " "), " ")
+        coded = lists.values.dictionary_encode()
+        pieces, codes, bounds = coded.dictionary.to_pylist(), coded.indices.to_numpy(), lists.offsets.to_numpy()
+        fresh = set(pieces).difference(self.known)
         if len(self.known) + len(fresh) > CACHE:  # what these texts need stays
-            self.known = {p: ids for p, ids in self.known.items() if p in new}
+            now = set(pieces)
+            self.known = {p: ids for p, ids in self.known.items() if p in now}
         self._learn(fresh)
-        get = self.known.__getitem__
-        for t in texts:
-            yield b"".join(map(get, t.replace("\n", " ").split(" ")))
+        found = list(map(self.known.__getitem__, pieces))
+        flat = np.frombuffer(b"".join(found), "<u4")
+        sizes = np.fromiter(map(len, found), np.int32, len(found)) // 4
+        starts = (np.cumsum(sizes) - sizes).astype(np.int32)
+        for a in range(0, len(bounds) - 1, 64):  # bounds memory
+            cuts = bounds[a : a + 65]
+            own = codes[cuts[0] : cuts[-1]]
+            n = sizes[own]
+            ends = np.concatenate(([0], np.cumsum(n))).astype(np.int32)
+            ids = flat[np.repeat(starts[own] - ends[:-1], n) + np.arange(ends[-1], dtype=np.int32)]
+            stops = ends[cuts - cuts[0]].tolist()
+            for x, y in zip(stops, stops[1:], strict=False):
+                yield ids[x:y].tobytes()
 
 
 _PIECES: dict[str, Pieces] = {}
