@@ -17,12 +17,13 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corpusloom.llm.filters import FILTER_BITS, bits_for, flag, without
 from corpusloom.runtime import cut, ensure_importable
 
 SLICE_ROWS = 1_000_000
 OWNER_ROWS = 1_000_000
-#: Bits of the filter that is broadcast; beyond an eighth of that many suspects a shuffled semi join takes its place.
-FILTER_BITS = 27
+#: A group of copies is dealt over so many tasks when its rows meet what was found of it.
+SALTS = 16
 
 
 def golomb_encode(gaps: np.ndarray, k: int) -> tuple[bytes, bytes]:
@@ -97,14 +98,10 @@ def suspects(prints: DataFrame, slice_rows: int = SLICE_ROWS, owner_rows: int =
 
 def _sift(texts: DataFrame, held: DataFrame, filter_bits: int) -> DataFrame:
     """Rows of texts whose h may be in held; none that is gets lost, and groupBy on the text settles the rest."""
-    n = held.count()
-    if 8 * n > 1 << filter_bits:
+    bits = bits_for(held.count(), filter_bits)
+    if bits is None:
         return texts.join(held, "h", "left_semi")
-    bits = max(10, math.ceil(math.log2(max(1, 8 * n))))
-    spot = F.col("h").bitwiseAND(F.lit((1 << bits) - 1))
-    words = held.select(F.shiftright(spot, 6).alias("word"), F.expr(f"shiftleft(1L, cast(h & 63 as int))").alias("bit")).groupBy("word").agg(F.bit_or("bit").alias("set"))
-    # At most 2^(filter_bits - 6) rows of two longs.
-    return texts.withColumn("word", F.shiftright(spot, 6)).join(F.broadcast(words), "word").where(F.expr("(shiftright(set, cast(h & 63 as int)) & 1) = 1")).drop("word", "set")
+    return flag(texts, F.col("h"), held, bits).where("__maybe").drop("__maybe")
 
 
 def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", slice_rows: int = SLICE_ROWS, owner_rows: int = OWNER_ROWS, filter_bits: int = FILTER_BITS) -> DataFrame:
@@ -123,18 +120,18 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
         _sift(texts, held, filter_bits).groupBy("text").agg(F.count("*").alias("n"), F.max("doc_id").alias("top"))
         .where("n > 1").select(F.sha2("text", 256).alias("text_sha256"), "n", "top")
     )
-    found = narrow.join(groups, "text_sha256", "left")
+    salt = F.pmod(F.xxhash64("doc_id"), F.lit(SALTS))
+    copies = groups.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    found = narrow.withColumn("salt", salt).join(copies, ["text_sha256", "salt"], "left")
     keep = F.when(F.col("n").isNull(), F.col("doc_id")).otherwise(F.col("top"))
     return found.select("doc_id", keep.alias("keep_id"), F.coalesce("n", F.lit(1)).cast("long").alias("group_size"), keep.eqNullSafe(F.col("doc_id")).alias("kept"), "text_sha256")
 
 
 def drop_exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """docs without the rows that exact_duplicates() does not keep; rows repeated with the same id and text stay once."""
-    found = exact_duplicates(docs, id_col, text_col, **options)
-    lost = found.where("not kept").select(F.col("doc_id").alias(id_col), "text_sha256")
-    again = cut(found.where("kept and group_size > 1").groupBy("doc_id", "text_sha256").count().where("count > 1"))
-    sha = F.sha2(F.coalesce(F.col(text_col).cast("string"), F.lit("")), 256)
-    marked = docs.withColumn("__sha", sha)
-    on = lambda other: marked[id_col].eqNullSafe(other[id_col]) & (marked["__sha"] == other["text_sha256"])
-    left = marked.join(lost, on(lost), "left_anti")
-    return (left.drop("__sha") if again.isEmpty() else left.dropDuplicates([id_col, "__sha"]).drop("__sha"))
+    found = exact_duplicates(docs, id_col, text_col, **options).where("group_size > 1")
+    found = cut(found.select(F.col("doc_id").alias(id_col), F.col("text_sha256").alias("__sha"), "kept"))
+    marked = docs.withColumn("__sha", F.sha2(F.coalesce(F.col(text_col).cast("string"), F.lit("")), 256))
+    left = without(marked, found.where("not kept").select(id_col, "__sha").distinct(), [id_col, "__sha"])
+    again = found.where("kept").groupBy(id_col, "__sha").count().where("count > 1")
+    return (left if again.isEmpty() else left.dropDuplicates([id_col, "__sha"])).drop("__sha")

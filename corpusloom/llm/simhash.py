@@ -20,6 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from corpusloom.llm.filters import without
 from corpusloom.operators.graph import components
 from corpusloom.runtime import cut, ensure_importable
 
@@ -186,4 +187,4 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", bits: int = 4) -> DataFrame:
     """docs with one document of each component, that of the smallest id; rows with a null id stay."""
     lost = near_duplicates(docs, id_col, text_col, bits).where("component_id < doc_id").select(F.col("doc_id").alias(id_col)).distinct()
-    return docs.join(lost, id_col, "left_anti")
+    return without(docs, cut(lost), [id_col])
