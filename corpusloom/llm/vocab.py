@@ -17,7 +17,7 @@ from corpusloom.llm.merges import MergeReplay
 #: The folder of the vocabulary files; an argument of every operator that needs one.
 FOLDER = os.environ.get("TOKENIZER_DIR", "/opt/tokenizers")
 #: Entries of a worker's cache of pieces; beyond it the cache starts anew.
-CACHE = 500_000
+CACHE = 900_000
 #: Characters below the combining marks, without controls and other white space: composed already, one lower case each.
 _LATIN = regex.compile(r"[\x21-\x7e\xa1-\u024f]*+").fullmatch
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+").findall
