@@ -17,7 +17,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from corpusloom.llm.filters import FILTER_BITS, bits_for, flag, without
+from corpusloom.llm.filters import FILTER_BITS, bits_for, flag, unwrapped, without, wrapped
 from corpusloom.runtime import cut, ensure_importable
 
 SLICE_ROWS = 1_000_000
@@ -130,8 +130,8 @@ def exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
 def drop_exact_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """docs without the rows that exact_duplicates() does not keep; rows repeated with the same id and text stay once."""
     found = exact_duplicates(docs, id_col, text_col, **options).where("group_size > 1")
-    found = cut(found.select(F.col("doc_id").alias(id_col), F.col("text_sha256").alias("__sha"), "kept"))
-    marked = docs.withColumn("__sha", F.sha2(F.coalesce(F.col(text_col).cast("string"), F.lit("")), 256))
-    left = without(marked, found.where("not kept").select(id_col, "__sha").distinct(), [id_col, "__sha"])
-    again = found.where("kept").groupBy(id_col, "__sha").count().where("count > 1")
-    return (left if again.isEmpty() else left.dropDuplicates([id_col, "__sha"])).drop("__sha")
+    found = cut(found.select(F.col("doc_id").alias("__id"), F.col("text_sha256").alias("__sha"), "kept"))
+    marked = wrapped(docs, __id=F.col(id_col), __sha=F.sha2(F.coalesce(F.col(text_col).cast("string"), F.lit("")), 256))
+    left = without(marked, found.where("not kept").select("__id", "__sha").distinct(), ["__id", "__sha"])
+    again = found.where("kept").groupBy("__id", "__sha").count().where("count > 1")
+    return unwrapped(left if again.isEmpty() else left.dropDuplicates(["__id", "__sha"]))

@@ -29,14 +29,25 @@ def flag(rows: DataFrame, h: Column, members: DataFrame, bits: int, name: str =
     return marked.withColumn(name, met).drop("__h", "__word", "__set")
 
 
+def wrapped(rows: DataFrame, **more: Column) -> DataFrame:
+    """(__row, more...): rows as one struct beside working columns, so that no name of theirs clashes with one of ours."""
+    return rows.select(F.struct(*(F.col(f"`{c}`") for c in rows.columns)).alias("__row"), *(c.alias(name) for name, c in more.items()))
+
+
+def unwrapped(rows: DataFrame) -> DataFrame:
+    return rows.select("__row.*")
+
+
 def without(rows: DataFrame, lost: DataFrame, keys: list[str], most: int = FILTER_BITS) -> DataFrame:
     """rows without those whose keys are in lost (distinct keys; null equals null). Only rows that the filter flags are shuffled."""
     n = lost.count()
     if not n:
         return rows
-    on = [rows[k].eqNullSafe(lost[k]) for k in keys]
+    own = [f"__k{i}" for i in range(len(keys))]
+    lost = lost.select(*(F.col(k).alias(f"__l{i}") for i, k in enumerate(keys)))
+    inside = wrapped(rows, **{name: F.col(f"`{k}`") for name, k in zip(own, keys, strict=True)})
+    on = [F.col(f"__k{i}").eqNullSafe(F.col(f"__l{i}")) for i in range(len(keys))]
     if (bits := bits_for(n, most)) is None:
-        return rows.join(lost, on, "left_anti")
-    marked = flag(rows, F.xxhash64(*keys), lost.select(F.xxhash64(*keys).alias("h")), bits)
-    doubt = marked.where("__maybe").drop("__maybe")
-    return marked.where("not __maybe").drop("__maybe").unionByName(doubt.join(lost, [doubt[k].eqNullSafe(lost[k]) for k in keys], "left_anti"))
+        return unwrapped(inside.join(lost, on, "left_anti"))
+    marked = flag(inside, F.xxhash64(*own), lost.select(F.xxhash64(*(f"__l{i}" for i in range(len(keys)))).alias("h")), bits)
+    return unwrapped(marked.where("not __maybe").select("__row")).unionByName(unwrapped(marked.where("__maybe").join(lost, on, "left_anti")))

@@ -22,7 +22,7 @@ from corpusloom.llm import vocab
 from corpusloom.runtime import cut, ensure_importable
 
 CAPACITY = 4096
-PART_PIECES = 16_384
+PART_PIECES = 4096
 BLOCK_CHARS = 8_000_000
 _PLACED = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, bin int, offset long, closed boolean, bins int, bound int"
 

@@ -17,6 +17,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from corpusloom.llm.filters import wrapped
+
 KINDS = ("email", "ip", "card", "phone")
 #: The base patterns, written so that Java matches them without recursion and in linear time. A run of characters that
 #: may begin a match is tried at its first character only, or where the last match ended: later ones can't do better.
@@ -219,15 +221,16 @@ def redact(docs: DataFrame, model: Boosted, text_col: str = "text", length_col:
 
     Null texts stay null. length_col, where given, gets the new text's length.
     """
-    columns = docs.columns
-    df = with_spans(docs, model, text_col)
+    df = with_spans(wrapped(docs, text=F.col(text_col)), model, "text")
     tags = F.array(*(F.lit(f"[{k.upper()}]") for k in KINDS))
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
     step = lambda a, s: F.when(s["start"] < a["at"], F.struct(F.greatest(a["at"], s["end"]).alias("at"), a["out"].alias("out"))).otherwise(
         F.struct(s["end"].alias("at"), F.concat(a["out"], F.substring(F.col("__text"), a["at"] + 1, s["start"] - a["at"]), F.get(tags, s["kind"])).alias("out"))
     )
     clean = F.aggregate("__spans", start, step, lambda a: F.concat(a["out"], F.substring(F.col("__text"), a["at"] + 1, F.length("__text"))))
-    df = df.withColumn(text_col, F.when(F.size("__spans") > 0, clean).otherwise(F.col(text_col)))
+    found = F.size("__spans") > 0
+    df = df.withColumn("clean", F.when(found, clean).otherwise(F.col("text")))
+    new = {text_col: F.col("clean")}
     if length_col:
-        df = df.withColumn(length_col, F.when(F.size("__spans") > 0, F.length(text_col).cast(docs.schema[length_col].dataType)).otherwise(F.col(length_col)))
-    return df.select(*columns)
+        new[length_col] = F.when(found, F.length("clean").cast(docs.schema[length_col].dataType)).otherwise(F.col("__row")[length_col])
+    return df.select(*(new.get(c, F.col("__row")[c]).alias(c) for c in docs.columns))
