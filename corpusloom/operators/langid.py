@@ -22,14 +22,13 @@ def keep(docs: DataFrame, languages: tuple[str, ...] = ("en", "zh"), col: str =
     return docs.where(F.col(col).isin(*languages))
 
 
-def train_subword(df: DataFrame, n: int = 3, buckets: int = 1 << 14, iterations: int = 20, head: int = 2000):
-    """A fitted pipeline on rows (text, lang): hashed character n-grams, multinomial logistic regression. A text's first
-    `head` characters are enough to tell its language."""
+def train_subword(df: DataFrame, n: int = 3, buckets: int = 1 << 14, iterations: int = 20):
+    """A fitted pipeline on rows (text, lang): hashed character n-grams of whole texts, multinomial logistic regression."""
     from pyspark.ml import Pipeline
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import HashingTF, NGram, SQLTransformer, StringIndexer
 
-    chars = SQLTransformer(statement=f"SELECT *, split(lower(substring(text, 1, {head})), '') AS chars FROM __THIS__")
+    chars = SQLTransformer(statement="SELECT *, split(lower(text), '') AS chars FROM __THIS__")
     return Pipeline(stages=[StringIndexer(inputCol="lang", outputCol="y", stringOrderType="alphabetAsc"), chars, NGram(n=n, inputCol="chars", outputCol="grams"), HashingTF(inputCol="grams", outputCol="features", numFeatures=buckets), LogisticRegression(labelCol="y", maxIter=iterations, regParam=1e-3)]).fit(df)
 
 

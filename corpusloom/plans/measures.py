@@ -185,3 +185,30 @@ def m36_full(spark, sf):
 def m37(spark, sf):
     t = table(spark, sf, "documents").agg(F.count("*").alias("docs"), F.sum(rules.n_words(F.col("text"))).alias("tokens"), F.sum(F.length("text")).alias("chars"))
     return t.crossJoin(table(spark, sf, "pages").agg(F.sum(F.regexp_count("html", F.lit("<a href="))).alias("image_refs")))  # one row each
+
+
+@query("e01_stage_ledger", f"SELECT 1 AS step, 'language' AS stage, count(*) AS n_in, count(*) FILTER (lang = 'en') AS n_out, round(count(*) FILTER (lang = 'en') / count(*), 6) AS kept_frac FROM documents UNION ALL SELECT 2, 'rules', count(*), count(*) FILTER (NOT ({' OR '.join(_RULES_SQL.values())})), round(count(*) FILTER (NOT ({' OR '.join(_RULES_SQL.values())})) / count(*), 6) FROM documents WHERE lang = 'en'")
+def e01_ledger(spark, sf):
+    """Two stages watched while one pass runs through both."""
+    from corpusloom.operators.funnel import Ledger
+
+    ledger, docs = Ledger(), table(spark, sf, "documents")
+    first = ledger.record(docs, "language", F.col("lang") == "en").where("lang = 'en'")
+    second = ledger.record(rules.apply(first), "rules", F.col("kept")).where("kept")
+    second.select("doc_id").write.format("noop").mode("overwrite").save()
+    return ledger.rows(spark).select("step", "stage", "n_in", "n_out", F.round("kept_frac", 6).alias("kept_frac"))
+
+
+@query("e14_engine_cost")
+def e14(spark, sf):
+    """Seconds, rows a second and plan facts of one stage: what the engine costs, beside what it finds."""
+    import time
+
+    docs = table(spark, sf, "documents")
+    begun = time.perf_counter()
+    n = docs.count()
+    df = dedup.exact(docs, dedup.normalised(F.col("text")))
+    df.write.format("noop").mode("overwrite").save()
+    s = time.perf_counter() - begun
+    plan = df._jdf.queryExecution().executedPlan().toString()
+    return spark.createDataFrame([("exact_dedup", n, round(s, 3), round(n / s, 1), plan.count("Exchange hashpartitioning"))], "stage string, rows long, seconds double, rows_per_second double, shuffles int")

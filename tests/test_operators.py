@@ -213,3 +213,19 @@ def test_files(spark, tmp_path):
     assert spark.table("bucketed_test").count() == 2
     spark.dataSource.register(files.SequenceSource)
     assert spark.read.format("crawl_ids").option("rows", 20).load().count() == 20
+
+
+def test_schemas():
+    from corpusloom.sources import schemas
+
+    class Frame:
+        pass
+
+    from pyspark.sql import types as T
+
+    f = Frame()
+    f.schema, f.columns = T.StructType.fromDDL("src long, dst int"), ["src", "dst"]
+    with pytest.raises(TypeError):
+        schemas.check(f, schemas.EDGES)
+    with pytest.raises(ValueError):
+        schemas.check(f, schemas.SCORES)
