@@ -218,12 +218,12 @@ def bands_sql(id_col: str, rows: int, extra: str = "") -> str:
         bands AS (SELECT {id_col}{extra}, k // {rows} AS band, md5((k // {rows}) || ':' || string_agg(m::VARCHAR, ',' ORDER BY k)) AS key FROM sig GROUP BY {id_col}{extra}, k // {rows})"""
 
 
-def closure_sql(edges: str) -> str:
-    """CTE comp(node, component): the least node reachable, in DuckDB SQL, for small graphs."""
+def closure_sql(edges: str, mark: str = "") -> str:
+    """CTE comp(node, component): the least node reachable, in DuckDB SQL, for small graphs. mark tells several apart."""
     return f"""
-        both_ways AS (SELECT src AS a, dst AS b FROM {edges} UNION SELECT dst, src FROM {edges}),
-        reach AS (SELECT a, b FROM both_ways UNION SELECT r.a, e.b FROM reach r JOIN both_ways e ON r.b = e.a),
-        comp AS (SELECT a AS node, least(a, min(b)) AS component FROM reach GROUP BY a)"""
+        both_ways{mark} AS (SELECT src AS a, dst AS b FROM {edges} UNION SELECT dst, src FROM {edges}),
+        reach{mark} AS (SELECT a, b FROM both_ways{mark} UNION SELECT r.a, e.b FROM reach{mark} r JOIN both_ways{mark} e ON r.b = e.a),
+        comp{mark} AS (SELECT a AS node, least(a, min(b)) AS component FROM reach{mark} GROUP BY a)"""
 
 
 def merge_signatures(sigs: DataFrame, by: str, hashes: int) -> DataFrame:

@@ -84,13 +84,33 @@ def m10_disjoint(spark, sf):
     return dedup.content(doc_crawl(spark, sf), "neighbor", pairing="disjoint", **OPTIONS)
 
 
-@query("m12_two_step_ledger")
+def _step_sql(mark: str, source: str, scope: str) -> str:
+    """CTEs of one step over the bands of a set of records: kept{mark}(rec_id, kept)."""
+    return f"""scoped{mark} AS (SELECT *, {scope} AS scope FROM bands WHERE rec_id IN (SELECT rec_id FROM {source})),
+        star{mark} AS (SELECT arg_min(rec_id, (-(snapshot_date - DATE '1970-01-01'), rec_id)) AS src, scope, band, key FROM scoped{mark} GROUP BY scope, band, key HAVING count(*) > 1),
+        edges{mark} AS (SELECT DISTINCT s.src, b.rec_id AS dst FROM scoped{mark} b JOIN star{mark} s USING (scope, band, key) WHERE b.rec_id <> s.src), {dedup.closure_sql('edges' + mark, mark)},
+        kept{mark} AS (SELECT rec_id, rec_id = first_value(rec_id) OVER (PARTITION BY coalesce(component, rec_id) ORDER BY snapshot_date DESC, rec_id) AS kept
+            FROM {source} d LEFT JOIN comp{mark} ON node = rec_id)"""
+
+
+_EXTRA = ", snapshot_id, snapshot_date"
+_TWO = f"""WITH RECURSIVE {DOC_CRAWL}, {dedup.signature_sql('doc_crawl', 'rec_id', H, extra=_EXTRA)}, {dedup.bands_sql('rec_id', R, _EXTRA)}, {_step_sql('1', 'doc_crawl', 'snapshot_id')},
+        left1 AS (SELECT * FROM doc_crawl WHERE rec_id IN (SELECT rec_id FROM kept1 WHERE kept)), {_step_sql('2', 'left1', 'unnest([snapshot_id - 1, snapshot_id])')}"""
+
+
+@query(
+    "m12_two_step_ledger",
+    _TWO + " SELECT 1 AS step, 'within_snapshot' AS stage, count(*) AS n_in, count(*) FILTER (kept) AS n_out, round(1 - count(*) FILTER (kept) / count(*), 6) AS removed_frac FROM kept1 UNION ALL SELECT 2, 'neighbor_snapshots', count(*), count(*) FILTER (kept), round(1 - count(*) FILTER (kept) / count(*), 6) FROM kept2",
+)
 def m12(spark, sf):
     ledger = dedup.content_two_step(doc_crawl(spark, sf), **OPTIONS)[1]
     return ledger.withColumn("removed_frac", F.round(1 - F.col("n_out") / F.col("n_in"), 6))
 
 
-@query("w17_scope_comparison")
+@query(
+    "w17_scope_comparison",
+    _TWO + f", {_step_sql('3', 'doc_crawl', '0')} SELECT 'snapshot' AS scope, count(*) AS n_in, count(*) FILTER (NOT kept) AS removed FROM kept1 UNION ALL SELECT 'global', count(*), count(*) FILTER (NOT kept) FROM kept3 UNION ALL SELECT 'two_step', (SELECT count(*) FROM doc_crawl), (SELECT count(*) FROM doc_crawl) - count(*) FILTER (kept) FROM kept2",
+)
 def w17(spark, sf):
     docs = cut(doc_crawl(spark, sf).select("rec_id", "text", "snapshot_id", "snapshot_date"))
     count = lambda df, name: df.agg(F.lit(name).alias("scope"), F.count("*").alias("n_in"), F.sum((~F.col("kept")).cast("long")).alias("removed"))

@@ -105,7 +105,7 @@ def e02(spark, sf):
     return B.frame(spark, B.IMAGE_FUNNEL, "stage string, n double").withColumn("of_all", F.round(F.col("n") / 85, 6))
 
 
-@query("b01_extraction_comparison")
+@query("b01_extraction_comparison", "SELECT 'interleaved' AS extractor, count(*) FILTER (html LIKE '%</h1>%') AS formulas, count(*) FILTER (html LIKE '%</h1>%') AS images FROM pages UNION ALL SELECT 'plain', 0, 0")
 def b01(spark, sf):
     """Formulas and images that each extractor keeps, on pages with planted formulas and images."""
     pages = table(spark, sf, "pages").select("page_id", "url", F.regexp_replace("html", "</h1>", r"</h1><p>Let \\(x^2+1\\) be</p><img src='/f.png'>").alias("html"))

@@ -14,7 +14,7 @@ query("st_sliding", "SELECT epoch_us(s) AS start, event_type, count(*) AS n FROM
 query("st_session", "WITH m AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), g AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM m) SELECT user_id, epoch_us(min(ts)) AS start, count(*) AS n FROM g GROUP BY user_id, k")(streams.run(streams.sessions, "complete"))
 
 
-@query("st_dedup_watermark")
+@query("st_dedup_watermark", "SELECT event_type, count(DISTINCT user_id) AS n FROM events GROUP BY event_type")
 def dedup(spark, sf):
     """One event of each user and type within the delay: all rows arrive in one batch here."""
     return streams.drained(streams.first_of_key(streams.arrivals(spark, sf), ["user_id", "event_type"])).groupBy("event_type").agg(F.count("*").alias("n"))
