@@ -65,7 +65,17 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_exact_dedup": op10_exact_dedup,
 }
 
+#: The pages of the given tables have one article element each, of headings and paragraphs; SQL can cut that out.
+_ARTICLE = r"""
+    WITH a AS (SELECT page_id, url, regexp_extract(coalesce(html, ''), '(?s)<article>(.*?)(?:</article>|\z)', 1) AS body FROM pages),
+    b AS (SELECT page_id, url, list_transform(regexp_split_to_array(body, '</?(?:p|h1)>'),
+        lambda x: trim(regexp_replace(replace(replace(replace(replace(replace(regexp_replace(replace(x, '<br>', ' '), '</?b>', '', 'g'), '&lt;', '<'), '&gt;', '>'), '&quot;', '"'), '&#39;', chr(39)), '&amp;', '&'), '[ \t\r\n]+', ' ', 'g'))) AS parts FROM a),
+    c AS (SELECT page_id, url, array_to_string(list_filter(parts, lambda x: x <> ''), chr(10) || chr(10)) AS text FROM b)
+    SELECT page_id, url, text, length(text) AS n_chars FROM c
+"""
+
 ORACLES: dict[str, str] = {
+    "op1_html_line_blocks": _ARTICLE,
     "op4_licence_digests": licences.oracle(),
     "op10_exact_dedup": """
         WITH t AS (SELECT doc_id, coalesce(text, '') AS text FROM documents)
