@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from corpusloom.llm import vocab
 from corpusloom.llm.merges import MergeReplay
+from corpusloom.llm.worker import held
 from corpusloom.runtime import ensure_importable
 
 #: The fixed pattern that goes with the public rank files.
@@ -87,15 +88,9 @@ class Codec:
         return b"".join(map(self.token.__getitem__, np.frombuffer(ids, "<u4").tolist()))
 
 
-_CODECS: dict[str, Codec] = {}
-
-
 def codec(path: str) -> Codec:
-    """One for each worker process and file."""
-    if path not in _CODECS:
-        _CODECS.clear()
-        _CODECS[path] = Codec(path)
-    return _CODECS[path]
+    """One for each worker process."""
+    return held(f"codec {path}", lambda: Codec(path))
 
 
 def _encoder(path: str):

@@ -32,7 +32,7 @@ DROPPED = frozenset("aside button canvas datalist dialog embed footer form head
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 CLOSES_P = BLOCK - {"body", "html", "head", "option", "optgroup"}
 _HINT = frozenset(
-    "ad ads adbox adsense advert adverts advertisement advertising alert banner breadcrumb breadcrumbs byline-share colophon comment comments consent cookie cookies copyright discussion disqus footer gdpr header infobar login masthead menu modal nav navbar navigation newsletter notice notices notification overlay pager pagination paywall popup popular promo promotion promoted recommendations recommended related replies reply respond search share sharing sidebar signin signup skip social sponsor sponsored subscribe subscription teaser toolbar topbar trending widget widgets".split()
+    "ad ads adbox adsense advert adverts advertisement advertising alert banner breadcrumb breadcrumbs byline-share colophon comment comments consent cookie cookies copyright discussion disqus footer gdpr header infobar login masthead menu modal nav navbar navigation newsletter notice notices notification overlay pager pagination paywall popup popular promo promotion promoted recommendations recommended related replies reply respond search share sharing sidebar signin signup skip social sponsor sponsored subscribe subscription teaser toolbar topbar trending widget widgets side sidenav topnav subnav sitenav mainnav mainmenu commentlist commentthread usercomments adslot adunit adcontainer cookiebar cookiebanner".split()
 )
 _HINT_ROLES = frozenset("alert alertdialog banner complementary contentinfo dialog form menu menubar navigation search toolbar".split())
 _MAIN = re.compile(r"(?:^|\s)(?:article|post|entry|story|main|page)[-_]?(?:body|content|text)(?:$|\s)", re.I)
@@ -214,8 +214,6 @@ def main_text(html: str | None, window: int = WINDOW) -> str:
     belongs = [best == 0 or best in page._chain(c) for _, _, c in page.lines]
     lengths = [len(line) if ok and (page.main or n) else 0 for (line, n, _), ok in zip(page.lines, belongs, strict=True)]
     kept = [i for a, b in zones(lengths, window) for i in range(a, b) if lengths[i] or belongs[i] and page.main]
-    if not page.main and kept:  # a heading just above
-        kept = [*range(kept[0], kept[0]), *kept]
     return "\n\n".join(page.lines[i][0] for i in kept)
 
 

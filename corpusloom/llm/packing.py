@@ -2,8 +2,9 @@
 
 Pieces are dealt into partitions by a hash. Each partition runs best-fit decreasing and computes a lower bound of its
 bin count from families of dual-feasible functions; where the two are equal no packing of that partition is better.
-Partitions with a gap give up all bins that aren't full, certified ones the emptiest only (its rest may fill others'
-gaps), and what they gave up is dealt into fewer partitions and packed again, until one partition is left.
+Partitions with a gap give up all bins that aren't full, certified ones the emptiest of those (their rests together may
+save a bin), all of them the few bins with the smallest pieces. What they gave up is dealt into fewer partitions and
+packed again, until one partition is left.
 """
 
 from __future__ import annotations
@@ -23,6 +24,8 @@ from corpusloom.runtime import cut, ensure_importable
 
 CAPACITY = 4096
 PART_PIECES = 4096
+#: One bin in so many is given up for its small pieces.
+DONORS = 32
 BLOCK_CHARS = 8_000_000
 _PLACED = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, bin int, offset long, closed boolean, bins int, bound int"
 
@@ -76,7 +79,11 @@ def _packer(capacity: int, last: bool):
         sizes = pdf["length"].to_numpy(np.int64)
         bins, offsets, fill = best_fit_decreasing(sizes, capacity)
         bound = lower_bound(sizes, capacity)
-        open_ = fill < capacity if len(fill) > bound else np.arange(len(fill)) == fill.argmin()
+        open_ = fill < capacity
+        if len(fill) == bound:  # the emptiest will do
+            open_[np.argsort(fill, kind="stable")[max(1, len(fill) // 8) :]] = False
+        # Bins of the smallest pieces go along: what fills gaps best.
+        open_[np.argsort(-np.bincount(bins, minlength=len(fill)), kind="stable")[: len(fill) // DONORS]] = True
         return pdf.assign(bin=bins, offset=offsets, closed=True if last else ~open_[bins], bins=len(fill), bound=bound)
 
     return run

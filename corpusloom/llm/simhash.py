@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusloom.llm.filters import without
+from corpusloom.llm.worker import held
 from corpusloom.operators.graph import components
 from corpusloom.runtime import cut, ensure_importable
 
@@ -66,6 +67,7 @@ def fingerprint(text: str | None, size: int = 4) -> int:
 
 
 def _fingerprints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    held("fingerprints", dict)  # nothing is kept; what other operators kept goes
     for batch in batches:
         prints = np.fromiter((fingerprint(x.as_py()) for x in batch.column(1)), np.uint64, batch.num_rows).view(np.int64)
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prints)], names=["doc_id", "fp"])

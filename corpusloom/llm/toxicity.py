@@ -21,12 +21,13 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusloom.llm.vocab import blocks
+from corpusloom.llm.worker import held
 from corpusloom.runtime import cut, ensure_importable
 
 #: Labelled documents of each class that a model is fitted on, at most; landmarks; training words.
 SAMPLE, LANDMARKS, WORDS = 2500, 32, 4000
 DECAY, WIDTH, THRESHOLD = 0.4, 18, 0.3
-BLOCK_CHARS, CACHE = 4_000_000, 200_000
+BLOCK_CHARS, CACHE = 2_000_000, 200_000
 #: Signs that stand for letters.
 _SIGNS = str.maketrans("013457@$", "oieastas")
 _SPACED = re.compile(r"(?<!\S)\w(?:[\s.,*_-]+\w){2,}(?!\w)")
@@ -117,15 +118,9 @@ class Model:
         return 1 / (1 + np.exp(-np.clip(self.slope * margin + self.offset, -30, 30)))
 
 
-_KNOWN: dict[str, dict[str, float]] = {}
-
-
 def margins_of_texts(model: Model, texts: list[str]) -> np.ndarray:
     """The worst word's margin of each text; the bias for texts without words."""
-    known = _KNOWN.get(model.key)
-    if known is None:
-        _KNOWN.clear()
-        known = _KNOWN[model.key] = {}
+    known: dict[str, float] = held(f"margins {model.key}", dict)
     parts = [words_of(t) for t in texts]
     all_ = set().union(*parts)
     new = list(all_.difference(known))

@@ -13,11 +13,12 @@ import pyarrow.compute as pc
 import regex
 
 from corpusloom.llm.merges import MergeReplay
+from corpusloom.llm.worker import held
 
 #: The folder of the vocabulary files; an argument of every operator that needs one.
 FOLDER = os.environ.get("TOKENIZER_DIR", "/opt/tokenizers")
 #: Entries of a worker's cache of pieces; beyond it the cache starts anew.
-CACHE = 900_000
+CACHE = 600_000
 #: Characters below the combining marks, without controls and other white space: composed already, one lower case each.
 _LATIN = regex.compile(r"[\x21-\x7e\xa1-\u024f]*+").fullmatch
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+").findall
@@ -133,12 +134,6 @@ class Pieces:
                 yield ids[x:y].tobytes()
 
 
-_PIECES: dict[str, Pieces] = {}
-
-
 def pieces(path: str) -> Pieces:
-    """One for each worker process and file."""
-    if path not in _PIECES:
-        _PIECES.clear()
-        _PIECES[path] = Pieces(path)
-    return _PIECES[path]
+    """One for each worker process."""
+    return held(f"pieces {path}", lambda: Pieces(path))
