@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
+
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from corpusloom.operators.dedup import shingles
+from corpusloom.runtime import ensure_importable
 
 
 def positive_accuracy(scored: DataFrame, threshold: float = 0.5) -> DataFrame:
@@ -49,6 +53,26 @@ def four_way(outcomes: DataFrame) -> DataFrame:
     return one.withColumn("avg", F.col("cm") + F.col("ig") / 2).withColumn("rm", F.when(F.col("rote") + F.col("cm") > 0, F.col("rote") / (F.col("rote") + F.col("cm"))))
 
 
+def generate(items: DataFrame, model: Callable[[list[str]], list[str]], batch: int = 32, id_col: str = "item_id") -> DataFrame:
+    """(id, response) by a model that answers a batch of texts at a time; one crossing to Python, to be stored before it is judged."""
+    ensure_importable(items.sparkSession)
+    kind = items.schema[id_col].dataType.simpleString()
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            for a in range(0, len(frame), batch):
+                part = frame.iloc[a : a + batch]
+                yield pd.DataFrame({id_col: part[id_col], "response": model(part["text"].fillna("").tolist())})
+
+    return items.select(id_col, "text").mapInPandas(run, f"{id_col} {kind}, response string")
+
+
+def judge(responses: DataFrame, truth: DataFrame, id_col: str = "item_id") -> DataFrame:
+    """(id, extracted, truth, correct): the answer taken out of each response and compared; items without a response are wrong."""
+    j = truth.select(id_col, "truth").join(responses.select(id_col, extract_answer(F.col("response")).alias("extracted")), id_col, "left")
+    return j.select(id_col, "extracted", "truth", same_answer(F.col("extracted"), F.col("truth")).alias("correct"))
+
+
 def extract_answer(response: Column) -> Column:
     """What follows the last 'answer is' or 'answer:', else the last choice letter in brackets, else the last number; null if none."""
     said = F.regexp_extract(response, r"(?is).*answer(?: is|:)\s*\(?([A-E]|[+-]?[0-9][0-9,]*(?:\.[0-9]+)?)\)?", 1)

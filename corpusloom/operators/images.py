@@ -87,3 +87,13 @@ def ledger(refs: DataFrame, cap: int, crowd: int, terms: tuple[str, ...] = TERMS
     counts = flags.agg(F.count("*").alias("unique_urls"), n(F.col("in_caps")).alias("after_caps"), n(F.col("in_rules")).alias("after_rules"))
     placed = refs.join(ok, "image_url", "left_semi").agg(F.count("*").alias("placements"))
     return refs.agg(F.count("*").alias("occurrences")).crossJoin(counts).crossJoin(ok.agg(F.count("*").alias("fetched"))).crossJoin(placed)  # one row each
+
+
+def pipeline(docs: DataFrame, cap: int = 10, crowd: int = 100, terms: tuple[str, ...] = TERMS, fetched: DataFrame | None = None, missing: str = "drop") -> DataFrame:
+    """docs (doc_id, texts, images) with only selected and fetched images at their places; fetched defaults to the stand-in's."""
+    from corpusloom.operators.interleave import reattach
+
+    refs = docs.select("doc_id", F.posexplode("images").alias("pos", "image_url")).where("image_url is not null")
+    wanted = select(refs, cap, crowd, terms).where("in_rules").select("image_url")
+    got = manifest(wanted).where("ok").select("image_url") if fetched is None else fetched.select("image_url").join(wanted, "image_url", "left_semi")
+    return reattach(docs, got, missing)

@@ -35,3 +35,12 @@ def train_subword(df: DataFrame, n: int = 3, buckets: int = 1 << 14, iterations:
 def predict(df: DataFrame, model, keep: list[str]) -> DataFrame:
     labels = F.array(*map(F.lit, model.stages[0].labels))
     return model.transform(df).select(*keep, F.get(labels, F.col("prediction").cast("int")).alias("predicted"))
+
+
+def filter(docs: DataFrame, model, languages: tuple[str, ...] = ("en", "zh"), min_prob: float = 0.0) -> DataFrame:
+    """docs whose most likely language is wanted and at least so likely; adds predicted and lang_prob. Ties go to the model's first label."""
+    from pyspark.ml.functions import vector_to_array
+
+    labels = F.array(*map(F.lit, model.stages[0].labels))
+    scored = model.transform(docs).select(*docs.columns, F.get(labels, F.col("prediction").cast("int")).alias("predicted"), F.array_max(vector_to_array("probability")).alias("lang_prob"))
+    return scored.where(F.col("predicted").isin(*languages) & (F.col("lang_prob") >= min_prob))

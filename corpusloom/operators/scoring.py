@@ -33,3 +33,9 @@ def heuristic(quality: Column, toxic: Column, text: Column) -> Column:
     """The stand-in for tables with labels: six for quality, two for not toxic, two for length."""
     n = F.length(text)
     return F.greatest(F.lit(0), F.least(F.lit(10), 6 * quality + 2 * (1 - toxic) + F.when(n >= 1000, 2).when(n >= 300, 1).otherwise(0))).cast("int")
+
+
+def filter(docs: DataFrame, judge: Callable[[list[str]], list[str]], cut: int = 6, id_col: str = "doc_id") -> DataFrame:
+    """docs that the judge itself scores at the cut or more: the costly alternative to a classifier trained on a sample of its scores."""
+    good = score(docs, judge, id_col=id_col).where(F.col("score") >= cut).select(id_col)
+    return docs.join(good, id_col, "left_semi")

@@ -79,9 +79,11 @@ def pack_greedy(docs: DataFrame, context: int = CONTEXT, max_images: int = MAX_I
     return df.groupBy("grp").applyInPandas(run, "doc_id long, grp int, example long, tokens long, images long")
 
 
-#: Mixtures by the sources that the tables stand in for: the narrow one is a family of five subsets, the extended one adds nine.
-NARROW = tuple(f"family_{k}" for k in range(5))
-EXTENDED = (*NARROW, *(f"other_{k}" for k in range(9)))
+#: The instruction sets of the narrow mixture, of the extended one, and of the training stage (another list).
+NARROW = ("MAVIS-Caption-to-QA", "MAVIS-Existing-Dataset-Augment", "MAVIS-Caption", "MAVIS-DataEngine-Geometry", "MAVIS-Meta-Question")
+EXTENDED = (*NARROW, "Vflan", "VisualWebInstruct", "AI2D", "ChartQA", "DocVQA", "DVQA", "GeoQA", "DART-Math", "NuminaMath")
+TRAINING = ("PGPS9K", "Geo170k", "TABMWP", "ScienceQA", "Vflan", "VisualWebInstruct", "AI2D", "ChartQA", "DocVQA", "DVQA", "GeoQA", "MAVIS")
+TRAINING_TEXT = ("Math", "MetaMathQA", "DART-Math", "NuminaMath")
 
 
 def compose(sources: dict[str, tuple[DataFrame, float]], key: str) -> DataFrame:

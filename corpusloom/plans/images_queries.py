@@ -162,9 +162,9 @@ def t06(spark, sf):
     return mixed.groupBy("mixture_source").agg(F.countDistinct("conv_id").alias("convs"), F.count("*").alias("turns"))
 
 
-@query("t06_mixture_sets", "SELECT * FROM (VALUES ('narrow', 5), ('extended', 14)) t(mixture, sources)")
+@query("t06_mixture_sets", "SELECT * FROM (VALUES ('narrow', 5), ('extended', 14), ('training', 16)) t(mixture, sources)")
 def t06_sets(spark, sf):
-    return spark.createDataFrame([("narrow", len(training.NARROW)), ("extended", len(training.EXTENDED))], "mixture string, sources int")
+    return spark.createDataFrame([("narrow", len(training.NARROW)), ("extended", len(training.EXTENDED)), ("training", len(training.TRAINING + training.TRAINING_TEXT))], "mixture string, sources int")
 
 
 @query("t07_chat", "SELECT conv_id, count(*) AS n_turns, md5(string_agg('<|' || role || '|>' || chr(10) || text, chr(10) ORDER BY turn)) AS chat_md5 FROM conversations GROUP BY conv_id")
@@ -175,3 +175,11 @@ def t07(spark, sf):
 @query("w11_alignment_sample", "SELECT label, count(*) AS n FROM (SELECT label FROM embeddings ORDER BY md5(vec_id::VARCHAR), vec_id LIMIT 200) GROUP BY label")
 def w11(spark, sf):
     return cut(sampling.exact_k(table(spark, sf, "embeddings").select("vec_id", "label"), 200, "vec_id")).groupBy("label").agg(F.count("*").alias("n"))
+
+
+@query("w10_image_path")
+def w10(spark, sf):
+    """Selection, stand-in fetching and re-attachment in one, then the corpus's size."""
+    from corpusloom.plans.pipeline import corpus_stats
+
+    return corpus_stats(images.pipeline(interleave.to_parallel_lists(_segments(spark, sf)), CAP, CROWD, TERMS))

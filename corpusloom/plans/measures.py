@@ -212,3 +212,30 @@ def e14(spark, sf):
     s = time.perf_counter() - begun
     plan = df._jdf.queryExecution().executedPlan().toString()
     return spark.createDataFrame([("exact_dedup", n, round(s, 3), round(n / s, 1), plan.count("Exchange hashpartitioning"))], "stage string, rows long, seconds double, rows_per_second double, shuffles int")
+
+
+@query("e10_generate_and_judge", "SELECT count(*) AS items, count(*) FILTER (length(text) % 3 <> 0) AS correct FROM benchmark")
+def e10_judge(spark, sf):
+    """Three steps with a stand-in model that counts characters, and for every third length says nothing of use."""
+    b = table(spark, sf, "benchmark").select("item_id", "text")
+    said = evaluate.generate(b, lambda texts: [f"The answer is {len(t)}" if len(t) % 3 else "No idea" for t in texts])
+    out = evaluate.judge(said, b.select("item_id", F.length("text").cast("string").alias("truth")))
+    return out.agg(F.count("*").alias("items"), F.sum(F.col("correct").cast("long")).alias("correct"))
+
+
+@query("m03_language_filter")
+def m03_filter(spark, sf):
+    """Documents that a subword model finds to be English with at least nine in ten."""
+    from corpusloom.operators import langid, sampling
+
+    docs = cut(sampling.split(table(spark, sf, "documents").select("doc_id", "text", "lang"), "doc_id"))
+    model = langid.train_subword(docs.where("split = 'train'"))
+    return langid.filter(docs.where("split = 'test'"), model, ("en",), 0.9).select("doc_id", "predicted", F.round("lang_prob", 4).alias("lang_prob"))
+
+
+@query("m26_judge_filter")
+def m26_judge(spark, sf):
+    """The judge as the filter, on a stand-in that likes long texts."""
+    from corpusloom.operators import scoring
+
+    return scoring.filter(table(spark, sf, "documents").select("doc_id", "text"), lambda prompts: [str(min(10, len(p) // 300)) for p in prompts]).select("doc_id")

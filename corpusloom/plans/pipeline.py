@@ -58,3 +58,12 @@ def curate(spark: SparkSession, pages: DataFrame, corpus: DataFrame, labels: Dat
     left = pages.select(F.col("rec_id").alias("page_id"), "rec_id", "url", "html").join(now.select("rec_id"), "rec_id", "left_semi")
     docs = interleave.to_parallel_lists(extract.interleaved(left.select("page_id", "url", "html")))
     return docs, spark.createDataFrame(counts, "step int, stage string, n_in long, n_out long")
+
+
+def corpus_stats(docs: DataFrame) -> DataFrame:
+    """One row of parallel-list documents: documents, text tokens by white space, image places, distinct image URLs (approximate), and means."""
+    tokens = F.aggregate(F.array_compact("texts"), F.lit(0).cast("long"), lambda s, t: s + rules.n_words(t))
+    one = docs.select(tokens.alias("tokens"), interleave.n_images(F.col("images")).cast("long").alias("n_images"))
+    urls = docs.select(F.explode(F.array_compact("images")).alias("u")).agg(F.approx_count_distinct("u").alias("image_urls"))
+    total = one.agg(F.count("*").alias("docs"), F.sum("tokens").alias("tokens"), F.sum("n_images").alias("image_places"), F.avg("tokens").alias("tokens_per_doc"), F.avg("n_images").alias("images_per_doc"))
+    return total.crossJoin(urls)  # one row each

@@ -76,6 +76,15 @@ def as_of(spark, sf):
     return left.join(found, ["user_id", "ts"], "left").select("event_id", F.coalesce("last_click", F.lit(-1)).alias("last_click"))
 
 
+@query("ops_theta_join", "SELECT a.n_name AS a, b.n_name AS b, levenshtein(a.n_name, b.n_name) AS d FROM nation a JOIN nation b ON a.n_nationkey < b.n_nationkey AND levenshtein(a.n_name, b.n_name) <= 4")
+def theta(spark, sf):
+    """An edit-distance join of a table whose size is fixed."""
+    n = table(spark, sf, "nation")
+    a, b = n.select(F.col("n_nationkey").alias("x"), F.col("n_name").alias("a")), F.broadcast(n.select(F.col("n_nationkey").alias("y"), F.col("n_name").alias("b")))
+    d = F.levenshtein("a", "b").cast("long")
+    return a.join(b, (F.col("x") < F.col("y")) & (d <= 4)).select("a", "b", d.alias("d"))
+
+
 @query("ops_grouping_sets", "SELECT lang, source, count(*) AS n FROM documents GROUP BY GROUPING SETS ((lang, source), (lang), ())")
 def grouping_sets(spark, sf):
     table(spark, sf, "documents").select("lang", "source").createOrReplaceTempView("ops_documents")

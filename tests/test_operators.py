@@ -229,3 +229,35 @@ def test_schemas():
         schemas.check(f, schemas.EDGES)
     with pytest.raises(ValueError):
         schemas.check(f, schemas.SCORES)
+
+
+def test_one_pass_removes_no_more_than_components(spark):
+    from tests.conftest import SMALL
+
+    sigs = dedup.signature(spark.read.parquet(f"{SMALL}/documents.parquet"), hashes=16)
+    banded = dedup.bands(sigs, 8, 2)
+    one_pass = {r[0] for r in dedup.bucket_representative(banded).collect()}
+    comp = components(dedup.star_edges(banded, F.col("doc_id")))
+    full = {r["node"] for r in comp.where("node <> component").collect()}
+    assert one_pass <= full
+
+
+def test_filters_are_idempotent_and_lose_nothing(spark):
+    df = spark.createDataFrame([(k, f"text {k} idiot" if k % 3 == 0 else f"text {k}", "en") for k in range(30)], "doc_id int, text string, lang string")
+    once = rules.apply(df)
+    again = rules.apply(once.where("kept").drop("reasons", "kept"))
+    assert once.count() == 30 and again.where("not kept").isEmpty() and again.count() == once.where("kept").count() == 20
+
+
+def test_sweep_is_monotone(spark):
+    probs = spark.createDataFrame([(k, k / 20) for k in range(20)], "doc_id int, prob double")
+    counts = [textclf.keep(probs, c / 10).count() for c in range(1, 10)]
+    assert counts == sorted(counts, reverse=True)
+    assert textclf.cut_for_volume(probs, 5) == 0.75 and textclf.cut_for_volume(probs, 99) == 0.0
+
+
+def test_parallel_images_path(spark):
+    docs = spark.createDataFrame([(1, ["a", None], [None, "https://x/1"]), (2, [None], ["http://x/2"]), (3, ["b"], [None])], "doc_id long, texts array<string>, images array<string>")
+    fetched = spark.createDataFrame([("https://x/1",), ("http://x/2",)], "image_url string")
+    got = {r["doc_id"]: r["images"] for r in images.pipeline(docs, fetched=fetched).collect()}
+    assert got == {1: [None, "https://x/1"], 2: [], 3: [None]}
