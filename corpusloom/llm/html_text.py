@@ -32,7 +32,7 @@ DROPPED = frozenset("aside button canvas datalist dialog embed footer form head
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 CLOSES_P = BLOCK - {"body", "html", "head", "option", "optgroup"}
 _HINT = frozenset(
-    "ad ads adbox adsense advert adverts advertisement advertising alert banner breadcrumb breadcrumbs byline-share colophon comment comments consent cookie cookies copyright discussion disqus footer gdpr header infobar login masthead menu modal nav navbar navigation newsletter notice notices notification overlay pager pagination paywall popup popular promo promotion promoted recommendations recommended related replies reply respond search share sharing sidebar signin signup skip social sponsor sponsored subscribe subscription teaser toolbar topbar trending widget widgets side sidenav topnav subnav sitenav mainnav mainmenu commentlist commentthread usercomments adslot adunit adcontainer cookiebar cookiebanner".split()
+    "ad ads adbox adsense advert adverts advertisement advertising alert banner breadcrumb breadcrumbs byline-share colophon comment comments consent cookie cookies copyright discussion disqus footer gdpr header infobar login masthead menu modal nav navbar navigation newsletter notice notices notification overlay pager pagination paywall popup popular promo promotion promoted recommendations recommended related replies reply respond search share sharing sidebar signin signup skip tags tagcloud disclaimer social sponsor sponsored subscribe subscription teaser toolbar topbar trending widget widgets side sidenav topnav subnav sitenav mainnav mainmenu commentlist commentthread usercomments adslot adunit adcontainer cookiebar cookiebanner".split()
 )
 _HINT_ROLES = frozenset("alert alertdialog banner complementary contentinfo dialog form menu menubar navigation search toolbar".split())
 _MAIN = re.compile(r"(?:^|\s)(?:article|post|entry|story|main|page)[-_]?(?:body|content|text)(?:$|\s)", re.I)
@@ -105,6 +105,9 @@ class _Lines:
                     if self.stack[at][0] in ("nav", "header", "menu", "head"):
                         self.pop_to(at)
                         _, dropped, container = self.stack[-1]
+                    elif self.stack[at][0] == "form":  # one form around the whole page
+                        self.stack[at:] = [(n, False, c) for n, _, c in self.stack[at:]]
+                        dropped = False
                     break
         if name == "header":
             hint = hint or not any(c in self.main for c in self._chain(container))

@@ -26,7 +26,7 @@ CAPACITY = 4096
 PART_PIECES = 4096
 #: One bin in so many is given up for its small pieces.
 DONORS = 32
-BLOCK_CHARS = 8_000_000
+BLOCK_CHARS = 3_000_000
 _PLACED = "doc_id long, piece int, start long, length long, ids_crc32 long, part int, bin int, offset long, closed boolean, bins int, bound int"
 
 
@@ -121,17 +121,18 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, part_pieces: int = PART_PI
     return placements, proofs
 
 
-def document_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def document_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", cache: int = vocab.CACHE, block_chars: int = BLOCK_CHARS) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32) of each document's ids and end_id; only longer ones than capacity are cut.
 
-    A null text counts as the empty text, which is one piece of one id.
+    A null text counts as the empty text, which is one piece of one id. cache (entries, about 200 bytes each) and
+    block_chars bound a worker's memory; more of either saves time and changes no result.
     """
     ensure_importable(docs.sparkSession)
     end = end_id.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = vocab.pieces(path).encode
-        for keys, texts in vocab.blocks(batches, BLOCK_CHARS):
+        encode = vocab.pieces(path, cache).encode
+        for keys, texts in vocab.blocks(batches, block_chars):
             rows: list[tuple] = []
             for key, ids in zip(keys.to_pylist(), encode(texts), strict=True):
                 ids += end

@@ -41,7 +41,9 @@ def op7_flac_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack(packing.document_pieces(table(spark, sf_dir, "documents"), vocab.at("word_bpe_49k.json")))[0]
+    # Workers that do nothing else have room for a larger cache.
+    pieces = packing.document_pieces(table(spark, sf_dir, "documents"), vocab.at("word_bpe_49k.json"), cache=900_000, block_chars=8_000_000)
+    return packing.pack(pieces)[0]
 
 
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:

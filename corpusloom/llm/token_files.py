@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 from corpusloom.llm import vocab
 from corpusloom.runtime import ensure_importable, shared_dir
 
-BLOCK_BYTES, BLOCK_CHARS = 1 << 18, 8_000_000
+BLOCK_BYTES, BLOCK_CHARS = 1 << 18, 3_000_000
 
 
 def write_flat(docs: DataFrame, folder: str, path: str, end_id: int, width: int = 2, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK_BYTES) -> None:

@@ -27,7 +27,7 @@ from corpusloom.runtime import cut, ensure_importable
 #: Labelled documents of each class that a model is fitted on, at most; landmarks; training words.
 SAMPLE, LANDMARKS, WORDS = 2500, 32, 4000
 DECAY, WIDTH, THRESHOLD = 0.4, 18, 0.3
-BLOCK_CHARS, CACHE = 2_000_000, 200_000
+BLOCK_CHARS, CACHE = 1_000_000, 100_000
 #: Signs that stand for letters.
 _SIGNS = str.maketrans("013457@$", "oieastas")
 _SPACED = re.compile(r"(?<!\S)\w(?:[\s.,*_-]+\w){2,}(?!\w)")
@@ -260,7 +260,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str =
 
     # Words unlike all landmarks are near the origin, which is clean.
     near = counts.where(F.col("word").endswith("$")).mapInPandas(alike, "word string, p long, n long")
-    near = near.orderBy(F.col("p") + F.col("n"), ascending=False).limit(WORDS).toPandas().sort_values("word")
+    near = near.orderBy((F.col("p") + F.col("n")).desc(), "word").limit(WORDS).toPandas().sort_values("word")
     whole = [w for w in toxic if w.endswith("$") and len(w) > 6]
     forms = sorted({v for w in whole for v in _variants(w)}.difference(near["word"]))
     # A word of a toxic document may well be clean: it counts as toxic where toxic documents have it four times as often.

@@ -18,7 +18,7 @@ from corpusloom.llm.worker import held
 #: The folder of the vocabulary files; an argument of every operator that needs one.
 FOLDER = os.environ.get("TOKENIZER_DIR", "/opt/tokenizers")
 #: Entries of a worker's cache of pieces; beyond it the cache starts anew.
-CACHE = 600_000
+CACHE = 250_000
 #: Characters below the combining marks, without controls and other white space: composed already, one lower case each.
 _LATIN = regex.compile(r"[\x21-\x7e\xa1-\u024f]*+").fullmatch
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+").findall
@@ -61,7 +61,8 @@ class Pieces:
     others through the tokenizer itself. The result equals encoding whole texts with it; tests hold it against that.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, cache: int = CACHE):
+        self.cache = cache
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
         from tokenizers.pre_tokenizers import ByteLevel
@@ -115,7 +116,7 @@ class Pieces:
         coded = lists.values.dictionary_encode()
         pieces, codes, bounds = coded.dictionary.to_pylist(), coded.indices.to_numpy(), lists.offsets.to_numpy()
         fresh = set(pieces).difference(self.known)
-        if len(self.known) + len(fresh) > CACHE:  # what these texts need stays
+        if len(self.known) + len(fresh) > self.cache:  # what these texts need stays
             now = set(pieces)
             self.known = {p: ids for p, ids in self.known.items() if p in now}
         self._learn(fresh)
@@ -134,6 +135,6 @@ class Pieces:
                 yield ids[x:y].tobytes()
 
 
-def pieces(path: str) -> Pieces:
+def pieces(path: str, cache: int = CACHE) -> Pieces:
     """One for each worker process."""
-    return held(f"pieces {path}", lambda: Pieces(path))
+    return held(f"pieces {path} {cache}", lambda: Pieces(path, cache))

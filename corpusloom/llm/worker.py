@@ -28,4 +28,5 @@ def held(key: str, make: Callable[[], Any]) -> Any:
         _HELD.clear()
         trim()
         _HELD[key] = make()
+        trim()
     return _HELD[key]

@@ -45,6 +45,7 @@ PAGES = [
     ("<article><p>cut off in the mid", ["cut off in the mid"]),
     ("<article><div role='alert'>n</div><div class='cookie-notice'>c</div><p>ok<br>line</p><textarea>no</textarea><button>no</button></article>", ["ok line"]),
     ("<div class='content-with-sidebar'><article><p>kept</p></article><div class='sidebar'>s</div></div>", ["kept"]),
+    ("<form id=aspnet><input><nav>m</nav><article><p>inside a form</p></article></form>", ["inside a form"]),
     ("plain", ["plain"]), ("", []), (None, []), ("<p>", []), ("<div id=comments><p>c</p></div>", []),
 ]
 
