@@ -208,7 +208,7 @@ _PROMPT_SIZE = len(scoring.PROMPT.format(text=""))
 @query("m23_judge_interface", f"SELECT doc_id, CASE WHEN s <= 10 THEN s ELSE -1 END AS score FROM (SELECT doc_id, ({_PROMPT_SIZE} + length(text)) % 12 AS s FROM documents)")
 def m23_judge(spark, sf):
     """The judge's interface with a judge that counts digits of the text's length."""
-    return scoring.score(table(spark, sf, "documents").select("doc_id", "text"), lambda prompts: [f"Score: {len(p) % 12}" for p in prompts]).select("doc_id", F.coalesce("score", F.lit(-1)).alias("score"))
+    return scoring.score(table(spark, sf, "documents").select("doc_id", "text"), lambda prompts: [f"Score: {len(p) % 12}" for p in prompts]).select("doc_id", F.coalesce("score", F.lit(-1)).cast("long").alias("score"))
 
 
 @query("m24_positive_set", f"SELECT doc_id, score FROM ({_SCORE_SQL}) WHERE score >= 6")
