@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusloom.llm import vocab
+from corpusloom.llm.worker import trim
 from corpusloom.runtime import cut, ensure_importable
 
 CAPACITY = 4096
@@ -139,5 +140,6 @@ def document_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id
                 n = len(ids) // 4
                 rows += [(key, k, a, min(capacity, n - a), zlib.crc32(ids[4 * a : 4 * (a + capacity)])) for k, a in enumerate(range(0, n, capacity))]
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+        trim()
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusloom.llm.vocab import blocks
-from corpusloom.llm.worker import held
+from corpusloom.llm.worker import held, trim
 from corpusloom.runtime import cut, ensure_importable
 
 #: Labelled documents of each class that a model is fitted on, at most; landmarks; training words.
@@ -127,8 +127,8 @@ def margins_of_texts(model: Model, texts: list[str]) -> np.ndarray:
     if len(known) + len(new) > CACHE:
         known.clear()
         new = list(all_)
-    for a in range(0, len(new), 100_000):
-        known.update(zip(new[a : a + 100_000], model.margins(new[a : a + 100_000]).tolist(), strict=True))
+    for a in range(0, len(new), 20_000):
+        known.update(zip(new[a : a + 20_000], model.margins(new[a : a + 20_000]).tolist(), strict=True))
     get = known.__getitem__
     return np.array([max(map(get, p), default=model.bias) for p in parts])
 
@@ -214,7 +214,7 @@ def _cover(found: pd.DataFrame, rows: DataFrame, size: dict[int, int]) -> list[s
     # What is as telling of all toxic documents as what was chosen is a landmark too, unless one begins the other.
     least = met[:, [place[w] for w in chosen]].sum(0).min() if chosen else 0
     for w, p, miss in zip(found["word"], met.sum(0), n, strict=True):
-        if len(chosen) < LANDMARKS and miss == 0 and p >= max(3, least // 2, size[1] // 20) and not any(w.startswith(t) or t.startswith(w) for t in chosen):
+        if len(chosen) < LANDMARKS and miss == 0 and p >= max(3, least, size[1] // 20) and not any(w.startswith(t) or t.startswith(w) for t in chosen):
             chosen.append(w)
     return chosen
 
@@ -311,5 +311,6 @@ def keep_clean(docs: DataFrame, model: Model, text_col: str = "text", threshold:
             at = batch.schema.get_field_index(text_col)
             p = np.concatenate([model.probability(np.clip(margins_of_texts(model, texts), -2, 2)) for _, texts in blocks(iter([pa.RecordBatch.from_arrays([batch.column(at), batch.column(at)], names=["a", "b"])]), BLOCK_CHARS)] or [np.zeros(0)])
             yield batch.filter(pa.array(p < threshold))
+        trim()
 
     return docs.mapInArrow(run, docs.schema)
