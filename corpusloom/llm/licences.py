@@ -88,7 +88,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     df = docs.select(F.col(id_col).alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
     has = "(?i)" + "|".join(ANCHORS)
     parts = F.filter(F.array_union(F.split("text", "\n"), F.split("text", r"\n\s*\n")), lambda x: x.rlike(has))
-    units = F.when(F.col("text").rlike("(?i)licen[cs]|permission|spdx|warrant|(?:^|\n)[^a-z\n]*(?:" + "|".join(ANCHORS) + ")"), parts).otherwise(F.array().cast("array<string>"))
+    units = F.when(F.col("text").rlike(has), parts).otherwise(F.array().cast("array<string>"))
     found = F.filter(F.transform(units, lambda x: F.element_at(lookup, F.sha2(canonical(x), 256))), lambda x: x.isNotNull())
     df = df.select("doc_id", F.sha2(canonical(F.col("text")), 256).alias("canonical_sha256"), found.alias("found"))
     return df.join(broadcast, "canonical_sha256", "left").select("doc_id", "canonical_sha256", F.coalesce("text_license", F.lit("")).alias("text_license"), F.size("found").cast("long").alias("n_notices"), F.array_join(F.array_sort(F.array_distinct("found")), ",").alias("notice_licenses"))

@@ -210,6 +210,21 @@ def test_licences_equal_sql(spark, docs):
     assert any(r[3] for r in want)
 
 
+def test_every_known_notice_alone_is_found(spark, tmp_path):
+    """Each form of the known table as the only notice of a document, against the SQL."""
+    forms = [n.format(name) for names in licences.NAMES.values() for name in names for n in licences.NOTICES]
+    rows = [(k, f"Some words before.\n{form}\nSome words after.") for k, form in enumerate(forms)]
+    rows += [(len(forms) + k, f"Some words.\n\n{parts[-1]}\n\nMore words.") for k, (_, parts) in enumerate(licences.TEXTS)]
+    docs = spark.createDataFrame(rows, SCHEMA)
+    docs.write.parquet(str(tmp_path / "documents"))
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM '{tmp_path}/documents/*.parquet'")
+    cols = ["doc_id", "canonical_sha256", "text_license", "n_notices", "notice_licenses"]
+    want = sorted(con.execute(f"SELECT {', '.join(cols)} FROM ({licences.oracle()})").fetchall())
+    got = sorted(tuple(r) for r in licences.scan(docs).select(*cols).collect())
+    assert got == want and all(r[3] == 1 for r in got)
+
+
 def test_whole_licences_in_other_spellings(spark):
     mit = "\n\n".join(licences.TEXTS[0][1])
     rows = [(1, mit), (2, "Copyright (c) 2020 Someone\n" + mit.upper().replace(",", " ;").replace("MIT LICENSE", "MIT LICENCE")), (3, "text\nThis work is licenced under the GPL-3.0\nmore"), (4, mit + " and more"), (5, None), (6, "")]
