@@ -5,10 +5,12 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import reduce
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from corpusloom.operators import grams
 from corpusloom.operators.graph import components
 from corpusloom.runtime import cut
 from corpusloom.sources.views import H28
@@ -52,21 +54,54 @@ def shingles(text: Column, n: int = 5, unit: str = "word") -> Column:
     return let(parts, grams)
 
 
+def multiply_family(n: int) -> list[tuple[int, int]]:
+    """Odd multipliers and offsets mod 2^64, by the recurrence of a 64-bit linear congruence."""
+    out, x = [], 0x9E3779B97F4A7C15
+    for _ in range(n):
+        a = x = (x * 6364136223846793005 + 1442695040888963407) % 2**64
+        x = (x * 6364136223846793005 + 1442695040888963407) % 2**64
+        out.append((a | 1, x))
+    return out
+
+
+def units_of(text: Column, unit: str = "word") -> tuple[Column, Column]:
+    """What n-grams are made of, and what stands between: words, characters, or 'auto' as in shingles()."""
+    chars = F.filter(F.split(F.regexp_replace(F.lower(text), r"[^\p{L}\p{N}]+", ""), ""), lambda c: c != "")
+    if unit == "char":
+        return chars, F.lit("")
+    if unit == "word":
+        return words(text), F.lit(" ")
+    han = F.regexp_count(text, F.lit(r"\p{IsHan}")) * 3 >= F.length(text)
+    return F.when(han, chars).otherwise(words(text)), F.when(han, F.lit("")).otherwise(F.lit(" "))
+
+
 def signature(docs: DataFrame, id_col: str = "doc_id", ngram: int = 5, hashes: int = 112, family: str = "xxhash64", unit: str = "word", keep: tuple[str, ...] = ()) -> DataFrame:
     """(id, keep..., sig array<long>): element-wise minima over the shingles, so signatures of unions are minima of signatures.
 
-    affine31 hashes md5 prefixes by (a x + b) mod 2^31 - 1, the same in any engine; xxhash64 reseeds Spark's own hash. The
-    text is dropped at once. Texts without words have null minima and never meet by MinHash.
+    affine31 hashes md5 prefixes by (a x + b) mod 2^31 - 1, the same in any engine; xxhash64 multiplies 64-bit hashes. One
+    vectorised crossing to Python; the text is dropped at once. Texts without words have no row and never meet by MinHash.
     """
     if family == "affine31":
-        first = lambda g: F.conv(F.substring(F.md5(g.cast("binary")), 1, 7), 16, 10).cast("long")
-        pairs = F.array(*(F.struct(F.lit(a).cast("long").alias("a"), F.lit(b).cast("long").alias("b")) for a, b in affine_family(hashes)))
-        minima = lambda xs: F.transform(pairs, lambda p: F.array_min(F.transform(xs, lambda x: (p["a"] * x + p["b"]) % PRIME)))
+        members = affine_family(hashes)
+
+        def one(units: list[str], glue: str) -> list[int] | None:
+            return grams.affine_minima(np.fromiter(map(grams.md5_prefix, grams.spans(units, ngram, glue)), np.int64), members, PRIME).tolist() if units else None
+    elif family == "xxhash64":
+        members = multiply_family(hashes)
+
+        def one(units: list[str], glue: str) -> list[int] | None:
+            return grams.multiply_minima(np.fromiter(map(grams.xx64, grams.spans(units, ngram, glue)), np.uint64), members).tolist() if units else None
     else:
-        first = F.xxhash64
-        minima = lambda xs: F.transform(F.sequence(F.lit(1), F.lit(hashes)), lambda k: F.array_min(F.transform(xs, lambda x: F.xxhash64(x, k))))
-    sig = let(F.transform(shingles(F.col("text"), ngram, unit), lambda g: first(g)), minima)
-    return docs.where(F.col("text").rlike(r"[\p{L}\p{N}]")).select(id_col, *keep, sig.alias("sig"))
+        raise ValueError(family)
+    return grams.map_units(docs, *units_of(F.col("text"), unit), [id_col, *keep], one, "sig")
+
+
+def signature_expr(docs: DataFrame, id_col: str = "doc_id", ngram: int = 5, hashes: int = 112) -> DataFrame:
+    """The affine31 signature by column functions alone: the reference form of the kernel, slow for many hashes."""
+    first = lambda g: F.conv(F.substring(F.md5(g.cast("binary")), 1, 7), 16, 10).cast("long")
+    pairs = F.array(*(F.struct(F.lit(a).cast("long").alias("a"), F.lit(b).cast("long").alias("b")) for a, b in affine_family(hashes)))
+    minima = lambda xs: F.transform(pairs, lambda p: F.array_min(F.transform(xs, lambda x: (p["a"] * x + p["b"]) % PRIME)))
+    return docs.where(F.col("text").rlike(r"[\p{L}\p{N}]")).select(id_col, let(F.transform(shingles(F.col("text"), ngram), lambda g: first(g)), minima).alias("sig"))
 
 
 def bands(sigs: DataFrame, n_bands: int, rows: int, id_col: str = "doc_id", keep: tuple[str, ...] = ()) -> DataFrame:
@@ -103,15 +138,32 @@ def verify(pairs: DataFrame, docs: DataFrame, mode: str = "jaccard", t: float =
     return pairs.join(a, "src").join(b, "dst").select("src", "dst", value.alias("similarity")).where(F.col("similarity") >= t)
 
 
-def exact_pairs(docs: DataFrame, t: float = 0.75, ngram: int = 5, limit_rows: int = 20_000, id_col: str = "doc_id") -> DataFrame:
-    """(src, dst, similarity): every pair at t or more, by an inverted index. The truth for small tables; refuses large ones."""
-    if docs.count() > limit_rows:
-        raise ValueError("exact_pairs is for small tables")
-    s = docs.select(F.col(id_col).alias("id"), F.explode(shingles(F.col("text"), ngram)).alias("g"))
-    n = s.groupBy("id").agg(F.count("*").alias("n"))
-    met = s.select(F.col("id").alias("src"), "g").join(s.select(F.col("id").alias("dst"), "g"), "g").where("src < dst").groupBy("src", "dst").agg(F.count("*").alias("both"))
-    met = met.join(n.select(F.col("id").alias("src"), F.col("n").alias("n1")), "src").join(n.select(F.col("id").alias("dst"), F.col("n").alias("n2")), "dst")
-    return met.select("src", "dst", (F.col("both") / (F.col("n1") + F.col("n2") - F.col("both"))).alias("similarity")).where(F.col("similarity") >= t)
+def exact_pairs(docs: DataFrame, t: float = 0.75, ngram: int = 5, id_col: str = "doc_id") -> DataFrame:
+    """(src, dst, similarity): every pair of different shingle sets at t or more, and each copy of a set beside the set's least id.
+
+    Copies become one node first, so that a group of them costs a row each. Sets are then joined on their rarest
+    shingles only: in one order of all shingles, two sets at t or more share one of their first n - ceil(t n) + 1. Sizes
+    are compared before anything is verified; verification intersects whole sets. No pair is missed at any size.
+    """
+    def one(units: list[str], glue: str) -> list[int] | None:
+        return np.unique(np.fromiter(map(grams.xx64, grams.spans(units, ngram, glue)), np.uint64).view(np.int64)).tolist() if units else None
+
+    sets = grams.map_units(docs.select(F.col(id_col).cast("long").alias("id"), "text"), *units_of(F.col("text")), ["id"], one, "found")
+    sets = cut(sets.select("id", "found", F.size("found").alias("n"), F.sha2(F.array_join(F.transform("found", lambda x: x.cast("string")), ","), 256).alias("same")))
+    equal = sets.groupBy("same").agg(F.min("id").alias("src"), F.count("*").alias("of")).where("of > 1")
+    copies = sets.select("id", "same").join(equal, "same").where("id <> src").select("src", F.col("id").alias("dst"))
+    reps = cut(sets.groupBy("same").agg(F.min("id").alias("id")).drop("same").join(sets.select("id", "found", "n"), "id"))
+    rarity = reps.select(F.explode("found").alias("x")).groupBy("x").agg(F.count("*").alias("of"))
+    # Shingles of one set alone can't link it, but hold their place in the order, the first.
+    ranked = reps.select("id", "n", F.explode("found").alias("x")).join(rarity.where("of > 1"), "x").groupBy("id", "n").agg(F.array_sort(F.collect_list(F.struct("of", "x"))).alias("shared"))
+    lead = F.col("n") - F.ceil(F.col("n") * t) + 1 - (F.col("n") - F.size("shared"))
+    index = cut(ranked.where(lead > 0).select("id", "n", F.explode(F.slice("shared", F.lit(1), lead.cast("int"))["x"]).alias("x")))
+    near = (F.least("n1", "n2") >= F.greatest("n1", "n2") * t - 1e-9) & (F.col("src") < F.col("dst"))
+    pairs = index.select(F.col("id").alias("src"), F.col("n").alias("n1"), "x").join(index.select(F.col("id").alias("dst"), F.col("n").alias("n2"), "x"), "x").where(near).select("src", "dst").distinct()
+    a, b = (reps.select(F.col("id").alias(end), F.col("found").alias(f"{end}_set")) for end in ("src", "dst"))
+    both = F.size(F.array_intersect("src_set", "dst_set"))
+    met = pairs.join(a, "src").join(b, "dst").select("src", "dst", (both / (F.size("src_set") + F.size("dst_set") - both)).alias("similarity")).where(F.col("similarity") >= t)
+    return met.unionByName(copies.withColumn("similarity", F.lit(1.0)))
 
 
 PREFER = {

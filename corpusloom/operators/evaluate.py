@@ -3,13 +3,16 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from functools import reduce
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpusloom.operators.dedup import shingles
-from corpusloom.runtime import ensure_importable
+from corpusloom.operators import grams
+from corpusloom.operators.dedup import words
+from corpusloom.runtime import cut, ensure_importable
 
 
 def positive_accuracy(scored: DataFrame, threshold: float = 0.5) -> DataFrame:
@@ -94,11 +97,33 @@ def compare_filters(a: DataFrame, b: DataFrame, id_col: str = "doc_id") -> DataF
     return x.join(y, id_col, "full").groupBy(F.coalesce("a", F.lit(0)).alias("in_a"), F.coalesce("b", F.lit(0)).alias("in_b")).agg(F.count("*").alias("n"))
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, n: int = 8) -> DataFrame:
-    """(doc_id, items, grams): documents that share an n-gram of words with a benchmark item."""
-    d = docs.select("doc_id", F.explode(shingles(F.col("text"), n)).alias("g"))
-    b = benchmark.select("item_id", F.explode(shingles(F.col("text"), n)).alias("g"))
-    return d.join(b, "g").groupBy("doc_id").agg(F.countDistinct("item_id").alias("items"), F.countDistinct("g").alias("grams"))
+def contamination(docs: DataFrame, benchmark: DataFrame, n: int = 8, most: int = 1 << 24) -> DataFrame:
+    """(doc_id, items, grams): documents that share an n-gram of words with a benchmark item.
+
+    Hashes of the benchmark's n-grams go to the tasks as one sorted array (at most `most` of eight bytes; a benchmark
+    beyond that is met in slices), so only documents that hit one are joined.
+    """
+    def hashes(units: list[str], glue: str) -> np.ndarray:
+        return np.unique(np.fromiter(map(grams.xx64, grams.spans(units, n, glue)), np.uint64).view(np.int64))
+
+    mine = grams.map_units(benchmark.select("item_id", "text"), words(F.col("text")), F.lit(" "), ["item_id"], lambda u, g: hashes(u, g).tolist() if u else None, "found")
+    mine = cut(mine.select("item_id", F.explode("found").alias("h")))
+    distinct = mine.select("h").distinct()
+    slices = max(1, -(-distinct.count() // most))
+    found = []
+    for k in range(slices):
+        known = np.sort(distinct.where(F.pmod("h", F.lit(slices)) == k).toPandas()["h"].to_numpy(np.int64))
+
+        def met(units: list[str], glue: str, known: np.ndarray = known) -> list[int] | None:
+            own = hashes(units, glue)
+            if not len(known) or not len(own):
+                return None
+            hit = own[known[np.minimum(np.searchsorted(known, own), len(known) - 1)] == own]
+            return hit.tolist() or None
+
+        found.append(grams.map_units(docs.select("doc_id", "text"), words(F.col("text")), F.lit(" "), ["doc_id"], met, "found"))
+    hits = reduce(DataFrame.unionByName, found).select("doc_id", F.explode("found").alias("h"))
+    return hits.join(mine, "h").groupBy("doc_id").agg(F.countDistinct("item_id").alias("items"), F.countDistinct("h").alias("grams"))
 
 
 def ledger_row(df: DataFrame, stage: str, n_in: int) -> DataFrame:

@@ -18,7 +18,7 @@ _SUPPRESSED = frozenset("script style nav header footer aside form noscript temp
 _BLOCKS = frozenset("p div section article main h1 h2 h3 h4 h5 h6 li ul ol table tr blockquote pre figure figcaption dl dt dd hr br body".split())
 _VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
 _ADVERT = re.compile(r"(?:^|[\s_-])(?:ad|ads|advert|advertisement|banner|sponsor|promo|cookie|sidebar|comments?)(?:$|[\s_-])", re.I)
-_TEX = re.compile(r"(?<!\$)\$\$(?!\$)(.+?)(?<!\$)\$\$(?!\$)|\\\[(.+?)\\\]|\\\((.+?)\\\)|(?<![\\$\w])\$(?!\s)([^$\n]{1,400}?\\?[^$\n\\\s])\$(?![\w$])", re.S)
+_TEX = re.compile(r"(?<!\$)\$\$(?!\$)(.+?)(?<!\$)\$\$(?!\$)|\\\[(.+?)\\\]|\\\((.+?)\\\)|(?<![\\$\w])\$(?!\s)([A-Za-z]|[^$\n]+?[^$\n\\\s])\$(?![\w$])", re.S)
 MATH_SOURCES = ("delimiter", "mathml", "alt", "script")
 
 

@@ -1,27 +1,24 @@
-"""Ledgers of stages without extra passes: counts are observed while a stage is written."""
+"""Ledgers of stages in one pass: every row carries one flag for each stage, and a single aggregation counts them all.
 
-from __future__ import annotations
+Nothing is registered in the session, so a ledger leaves no trace for queries that run after it.
+"""
 
-from pyspark.sql import Column, DataFrame, Observation, SparkSession
-from pyspark.sql import functions as F
+from __future__ import annotations
 
+from functools import reduce
 
-class Ledger:
-    """Watches frames as they are written, and tells rows in, out and the shares kept and removed."""
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
 
-    def __init__(self) -> None:
-        self.watched: list[tuple[str, Observation]] = []
 
-    def record(self, df: DataFrame, stage: str, kept: Column | None = None) -> DataFrame:
-        """df, watched: all rows count as read, those that kept is true for as kept. An action on the result must follow."""
-        seen = Observation(f"{stage}-{len(self.watched)}")
-        self.watched.append((stage, seen))
-        out = F.count(F.lit(1)) if kept is None else F.sum(F.coalesce(kept, F.lit(False)).cast("long"))
-        return df.observe(seen, F.count(F.lit(1)).alias("n_in"), F.coalesce(out, F.lit(0)).alias("n_out"))
+def ledger(rows: DataFrame, stages: list[tuple[str, Column]]) -> DataFrame:
+    """(step, stage, n_in, n_out, kept_frac, removed_frac) of stages in order, each a condition on a row; null counts as false.
 
-    def rows(self, spark: SparkSession) -> DataFrame:
-        """(step, stage, n_in, n_out, kept_frac, removed_frac); fractions are null where nothing came in."""
-        got = [(k, stage, seen.get["n_in"], seen.get["n_out"]) for k, (stage, seen) in enumerate(self.watched, 1)]
-        df = spark.createDataFrame(got, "step int, stage string, n_in long, n_out long")
-        share = F.when(F.col("n_in") > 0, F.col("n_out") / F.col("n_in"))
-        return df.withColumn("kept_frac", share).withColumn("removed_frac", 1 - share)
+    A row reaches a stage if it met all conditions before. Fractions are null where nothing came in.
+    """
+    met = [F.coalesce(kept, F.lit(False)) for _, kept in stages]
+    passed = [F.lit(True), *(reduce(lambda a, b: a & b, met[: k + 1]) for k in range(len(met)))]
+    one = rows.agg(*(F.coalesce(F.sum(x.cast("long")), F.lit(0)).alias(f"n{k}") for k, x in enumerate(passed)))
+    each = (F.struct(F.lit(k + 1).alias("step"), F.lit(name).alias("stage"), F.col(f"n{k}").alias("n_in"), F.col(f"n{k + 1}").alias("n_out")) for k, (name, _) in enumerate(stages))
+    share = F.when(F.col("n_in") > 0, F.col("n_out") / F.col("n_in"))
+    return one.select(F.inline(F.array(*each))).withColumn("kept_frac", share).withColumn("removed_frac", 1 - share)

@@ -8,9 +8,23 @@ from pyspark.sql import functions as F
 from corpusloom.sources.views import by_hash, hash28
 
 
-def exact_k(df: DataFrame, k: int, key: str) -> DataFrame:
-    """k rows in the order of the key's hash: a top-k, no global sort."""
-    return df.orderBy(by_hash(key), key).limit(k)
+def exact_k(df: DataFrame, k: int, key: str, bins: int = 1 << 16) -> DataFrame:
+    """k rows in the order of the key's hash, without a sort of k rows anywhere.
+
+    Rows are counted by the hash's first 16 bits; whole bins below the one that holds the k-th row are taken by a
+    filter, and only that bin, a 65,536th of the rows, is ordered and trimmed. Rows with a null key come last.
+    """
+    place = F.coalesce(F.conv(F.substring(by_hash(key), 1, 4), 16, 10).cast("int"), F.lit(bins))
+    counts = sorted((r["bin"], r["n"]) for r in df.groupBy(place.alias("bin")).agg(F.count("*").alias("n")).collect())
+    below = 0
+    for last, n in counts:
+        if below + n >= k:
+            break
+        below += n
+    else:
+        return df
+    edge = df.where(place == last).orderBy(by_hash(key).asc_nulls_last(), key).limit(k - below)
+    return df.where(place < last).unionByName(edge)
 
 
 def bernoulli(df: DataFrame, share: float, key: str) -> DataFrame:

@@ -3,13 +3,15 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from corpusloom.operators.dedup import words
+from corpusloom.operators import grams
+from corpusloom.operators.dedup import let, words
 from corpusloom.runtime import ensure_importable
 from corpusloom.sources.views import H28
 
@@ -21,12 +23,26 @@ def nb_fit(train: DataFrame) -> DataFrame:
     return t.crossJoin(F.broadcast(total)).select("token", (F.log((F.col("n1") + 1) / (F.col("t1") + F.col("v"))) - F.log((F.col("n0") + 1) / (F.col("t0") + F.col("v")))).alias("weight"))  # the right side is one row
 
 
-def nb_score(docs: DataFrame, model: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """(id, score, prob): mean weight of a document's known tokens, so that length doesn't decide; none give score 0."""
-    t = docs.select(id_col, F.explode(words(F.col("text"))).alias("token")).groupBy(id_col, "token").agg(F.count("*").alias("n"))
-    s = t.join(model, "token").groupBy(id_col).agg((F.sum(F.col("n") * F.col("weight")) / F.sum("n")).alias("score"))
+#: Tokens of a model up to which it goes to every task as a table of that size (some 100 bytes each).
+LOCAL_TOKENS = 2_000_000
+
+
+def nb_score(docs: DataFrame, model: DataFrame, id_col: str = "doc_id", local: int = LOCAL_TOKENS) -> DataFrame:
+    """(id, score, prob): mean weight of a document's known tokens, so that length doesn't decide; none give score 0.
+
+    A model of at most `local` tokens is sent to the tasks and scoring is map-only. Beyond that, distinct tokens of each
+    document are joined to it; both give the same scores.
+    """
+    few = model.limit(local + 1).toPandas()
+    if len(few) <= local:
+        weight = dict(zip(few["token"], few["weight"], strict=True))
+        found = grams.weigh(docs, words(F.col("text")), [id_col], lambda ts: np.array([weight.get(t, np.nan) for t in ts]), mean=True).withColumnRenamed("total", "score")
+    else:
+        t = docs.select(id_col, F.explode(words(F.col("text"))).alias("token")).groupBy(id_col, "token").agg(F.count("*").alias("n"))
+        found = t.join(model, "token").groupBy(id_col).agg((F.sum(F.col("n") * F.col("weight")) / F.sum("n")).alias("score"))
+        found = docs.select(id_col).join(found, id_col, "left")
     score = F.coalesce("score", F.lit(0.0))
-    return docs.select(id_col).join(s, id_col, "left").select(id_col, score.alias("score"), (1 / (1 + F.exp(-4 * score))).alias("prob"))
+    return found.select(id_col, score.alias("score"), (1 / (1 + F.exp(-4 * score))).alias("prob"))
 
 
 NB_SQL = rf"""
@@ -39,37 +55,51 @@ NB_SQL = rf"""
 
 
 def score(docs: DataFrame, weights: list[float], bias: float, id_col: str = "doc_id", tokens: Column | None = None) -> DataFrame:
-    """(id, prob) by a hashed linear model: the array of weights goes with the plan, scoring is map-only and has no explode."""
-    table = F.array(*map(F.lit, weights))
+    """(id, prob) by a hashed linear model: the mean weight of a row's tokens, map-only and without an explode."""
+    table = np.asarray(weights, np.float64)
     tokens = words(F.col("text")) if tokens is None else tokens
-    bucket = lambda t: (F.conv(F.substring(F.md5(t.cast("binary")), 1, 7), 16, 10).cast("long") % len(weights)).cast("int")
-    from corpusloom.operators.dedup import let
+    found = grams.weigh(docs, tokens, [id_col], lambda ts: table[[grams.md5_prefix(t.encode()) % len(table) for t in ts]], mean=True)
+    return found.select(id_col, (1 / (1 + F.exp(-(F.col("total") + F.lit(bias))))).alias("prob"))
 
-    mean = let(tokens, lambda ts: F.when(F.size(ts) == 0, F.lit(0.0)).otherwise(F.aggregate(ts, F.lit(0.0), lambda s, t: s + F.get(table, bucket(t))) / F.size(ts)))
-    return docs.select(id_col, (1 / (1 + F.exp(-(mean + F.lit(bias))))).alias("prob"))
 
+@dataclass(frozen=True)
+class Linear:
+    """A fitted hashed linear model: a weight for each bucket of n-grams of tokens, and the bias."""
 
-def train(df: DataFrame, ngrams: int = 2, buckets: int = 1 << 16, epochs: int = 30, reg: float = 1e-4, tokens: Column | None = None):
-    """A fitted pipeline (text to probability) on rows (text, y): hashed word n-grams and logistic regression."""
-    from pyspark.ml import Pipeline
-    from pyspark.ml.classification import LogisticRegression
-    from pyspark.ml.feature import HashingTF, NGram, SQLTransformer
+    weights: np.ndarray
+    bias: float
+    ngrams: int
+
+
+def _buckets(tokens: Column, ngrams: int, buckets: int) -> Column:
+    """Buckets of all n-grams up to ngrams, repeats included."""
 
-    stages = [SQLTransformer(statement=r"SELECT *, filter(split(regexp_replace(lower(text), '[^\\p{L}\\p{N}]+', ' '), ' '), w -> w <> '') AS tokens FROM __THIS__")]
-    if tokens is not None:
-        df = df.withColumn("tokens", tokens)
-        stages = []
-    stages += [NGram(n=n, inputCol="tokens", outputCol=f"g{n}") for n in range(2, ngrams + 1)]
-    cols = ["tokens", *(f"g{n}" for n in range(2, ngrams + 1))]
-    stages += [SQLTransformer(statement=f"SELECT *, concat({', '.join(cols)}) AS grams FROM __THIS__"), HashingTF(inputCol="grams", outputCol="features", numFeatures=buckets)]
-    stages.append(LogisticRegression(labelCol="y", maxIter=epochs, regParam=reg, probabilityCol="p"))
-    return Pipeline(stages=stages).fit(df)
+    def grams_of(ts: Column) -> Column:
+        more = [F.transform(F.when(F.size(ts) >= n, F.sequence(F.lit(1), F.size(ts) - (n - 1))).otherwise(F.array().cast("array<int>")), lambda i, n=n: F.array_join(F.slice(ts, i, F.lit(n)), " ")) for n in range(2, ngrams + 1)]
+        return F.concat(ts, *more)
 
+    return F.transform(let(tokens, grams_of), lambda g: F.pmod(F.xxhash64(g), F.lit(buckets)).cast("int"))
 
-def predict(df: DataFrame, model, keep: list[str]) -> DataFrame:
-    from pyspark.ml.functions import vector_to_array
 
-    return model.transform(df).select(*keep, F.get(vector_to_array("p"), F.lit(1)).alias("prob"))
+def train(df: DataFrame, ngrams: int = 2, buckets: int = 1 << 16, epochs: int = 30, reg: float = 1e-4, tokens: Column | None = None) -> Linear:
+    """A logistic regression on hashed word n-grams of rows (text, y). Only its coefficients are kept, so nothing of the
+    session or of the training data goes with it into later plans."""
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.feature import CountVectorizerModel
+
+    ids = F.transform(_buckets(words(F.col("text")) if tokens is None else tokens, ngrams, buckets), lambda b: b.cast("string"))
+    names = CountVectorizerModel.from_vocabulary([str(b) for b in range(buckets)], inputCol="ids", outputCol="features")  # bucket k is column k
+    rows = names.transform(df.select(ids.alias("ids"), F.col("y").cast("double").alias("y")))
+    fitted = LogisticRegression(labelCol="y", maxIter=epochs, regParam=reg).fit(rows)
+    return Linear(fitted.coefficients.toArray(), float(fitted.intercept), ngrams)
+
+
+def predict(df: DataFrame, model: Linear, keep: list[str], tokens: Column | None = None) -> DataFrame:
+    """(keep..., prob), map-only."""
+    weights = model.weights
+    ids = _buckets(words(F.col("text")) if tokens is None else tokens, model.ngrams, len(weights))
+    found = grams.weigh(df, ids, keep, lambda bs: weights[bs], mean=False)
+    return found.select(*keep, (1 / (1 + F.exp(-(F.col("total") + F.lit(model.bias))))).alias("prob"))
 
 
 def train_low_rank(df: DataFrame, rank: int = 8, buckets: int = 4096, epochs: int = 4, rate: float = 0.5, seed: int = 7) -> tuple[np.ndarray, np.ndarray]:
@@ -107,23 +137,37 @@ def train_low_rank(df: DataFrame, rank: int = 8, buckets: int = 4096, epochs: in
 
 def score_low_rank(df: DataFrame, model: tuple[np.ndarray, np.ndarray], id_col: str = "doc_id") -> DataFrame:
     """(id, prob): embedding and output unit fold into one weight for each bucket, so scoring is a mean of weights."""
-    weights = (model[0] @ model[1]).tolist()
-    table = F.array(*map(F.lit, weights))
-    from corpusloom.operators.dedup import let
-
-    mean = let(words(F.col("text")), lambda ts: F.when(F.size(ts) == 0, F.lit(0.0)).otherwise(F.aggregate(ts, F.lit(0.0), lambda s, t: s + F.get(table, F.pmod(F.xxhash64(t), F.lit(len(weights))).cast("int"))) / F.size(ts)))
-    return df.select(id_col, (1 / (1 + F.exp(-mean))).alias("prob"))
+    weights = model[0] @ model[1]
+    ids = F.transform(words(F.col("text")), lambda t: F.pmod(F.xxhash64(t), F.lit(len(weights))).cast("int"))
+    return grams.weigh(df, ids, [id_col], lambda bs: weights[bs], mean=True).select(id_col, (1 / (1 + F.exp(-F.col("total")))).alias("prob"))
 
 
 def keep(scored: DataFrame, threshold: float = 0.4) -> DataFrame:
     return scored.where(F.col("prob") >= threshold)
 
 
-def cut_for_volume(scored: DataFrame, target: int, exact: bool = True, accuracy: int = 10_000) -> float:
-    """The probability that about `target` rows reach; exact over all rows, or by a quantile sketch."""
+def cut_for_volume(scored: DataFrame, target: int, exact: bool = True, accuracy: int = 10_000, bins: int = 4096) -> float:
+    """The probability that about `target` rows reach; exact over all rows, or by a quantile sketch.
+
+    The exact way counts rows in bins of the range that holds the cut and narrows it until one value is left: a few
+    passes over one column, and the driver reads at most `bins` rows of each.
+    """
     n = scored.count()
     if not n or target >= n:
         return 0.0
-    if exact:
-        return float(scored.orderBy(F.col("prob").desc()).limit(target).agg(F.min("prob")).first()[0])
-    return float(scored.agg(F.percentile_approx("prob", 1 - target / n, accuracy)).first()[0])
+    if not exact:
+        return float(scored.agg(F.percentile_approx("prob", 1 - target / n, accuracy)).first()[0])
+    low, high = scored.agg(F.min("prob"), F.max("prob")).first()
+    above = 0  # rows over the range
+    while low < high:
+        place = F.least(F.floor((F.col("prob") - low) / F.lit((high - low) / bins)), F.lit(bins - 1))
+        found = scored.where(F.col("prob").between(low, high)).groupBy(place.alias("bin")).agg(F.count("*").alias("n"), F.min("prob").alias("lo"), F.max("prob").alias("hi")).collect()
+        for row in sorted(found, key=lambda r: -r["bin"]):
+            if above + row["n"] >= target:
+                break
+            above += row["n"]
+        if (row["lo"], row["hi"]) == (low, high):  # neighbouring numbers: all rows of the upper value are above the lower one's
+            n_high = scored.where(F.col("prob") == high).count()
+            return float(high if above + n_high >= target else low)
+        low, high = row["lo"], row["hi"]
+    return float(low)

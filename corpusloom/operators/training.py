@@ -35,14 +35,24 @@ def visual_tokens(images: Column, each: int = IMAGE_TOKENS) -> Column:
     return images * each
 
 
-def pack_parallel(docs: DataFrame, context: int = CONTEXT, groups: int = 1, each: int = IMAGE_TOKENS) -> DataFrame:
+#: Documents of a packing group: what one task holds as narrow rows.
+GROUP_DOCS = 1 << 16
+
+
+def _grouped(docs: DataFrame, groups: int | None) -> DataFrame:
+    """docs with grp, by a hash of the id; as many groups as the number of documents asks for unless told."""
+    n = groups or max(1, -(-docs.count() // GROUP_DOCS))
+    return docs.withColumn("grp", F.pmod(hash28(F.col("doc_id").cast("string")), F.lit(n)).cast("int"))
+
+
+def pack_parallel(docs: DataFrame, context: int = CONTEXT, groups: int | None = None, each: int = IMAGE_TOKENS) -> DataFrame:
     """(doc_id, grp, example, from_token, n): a running sum of weights in each group, cut at multiples of the context.
 
-    Weight is tokens plus `each` for an image. A document across a border is split; totals are conserved. groups spreads
-    documents by a hash, so that no window holds all of them.
+    Weight is tokens plus `each` for an image. A document across a border is split; totals are conserved. Documents are
+    spread over groups by a hash, in groups of about GROUP_DOCS, so that no window grows with the data.
     """
     weight = F.col("n_tokens") + visual_tokens(F.col("n_images"), each)
-    df = docs.select("doc_id", weight.cast("long").alias("w")).withColumn("grp", (F.pmod(hash28(F.col("doc_id").cast("string")), F.lit(groups))).cast("int"))
+    df = _grouped(docs.select("doc_id", weight.cast("long").alias("w")), groups)
     end = F.sum("w").over(W.partitionBy("grp").orderBy("doc_id").rowsBetween(W.unboundedPreceding, 0))
     df = df.withColumn("end", end).withColumn("begin", F.col("end") - F.col("w")).where("w > 0")
     df = df.withColumn("example", F.explode(F.sequence(F.floor(F.col("begin") / context), F.floor((F.col("end") - 1) / context))))
@@ -50,10 +60,10 @@ def pack_parallel(docs: DataFrame, context: int = CONTEXT, groups: int = 1, each
     return df.select("doc_id", "grp", F.col("example").cast("long").alias("example"), (lo - F.col("begin")).alias("from_token"), (hi - lo).alias("n"))
 
 
-def pack_greedy(docs: DataFrame, context: int = CONTEXT, max_images: int = MAX_IMAGES, groups: int = 8, each: int = IMAGE_TOKENS) -> DataFrame:
+def pack_greedy(docs: DataFrame, context: int = CONTEXT, max_images: int = MAX_IMAGES, groups: int | None = None, each: int = IMAGE_TOKENS) -> DataFrame:
     """(doc_id, grp, example, tokens, images): in id order, a new example where either limit would be passed.
 
-    Larger documents are split first, images after text. Each group is packed by one task, its rows streamed in order.
+    Larger documents are split first, images after text. One task holds and packs the narrow rows of a group of about GROUP_DOCS.
     """
     ensure_importable(docs.sparkSession)
 
@@ -75,7 +85,7 @@ def pack_greedy(docs: DataFrame, context: int = CONTEXT, max_images: int = MAX_I
                 n, m, t, i = n - a, m - b, t + a, i + b
         return pd.DataFrame(rows, columns=["doc_id", "grp", "example", "tokens", "images"])
 
-    df = docs.select("doc_id", F.col("n_tokens").cast("long").alias("n_tokens"), F.col("n_images").cast("long").alias("n_images")).withColumn("grp", F.pmod(hash28(F.col("doc_id").cast("string")), F.lit(groups)).cast("int"))
+    df = _grouped(docs.select("doc_id", F.col("n_tokens").cast("long").alias("n_tokens"), F.col("n_images").cast("long").alias("n_images")), groups)
     return df.groupBy("grp").applyInPandas(run, "doc_id long, grp int, example long, tokens long, images long")
 
 

@@ -270,6 +270,6 @@ def w07(spark, sf):
     for name, steps in (("raw", ()), ("normalised", normalise.STEPS)):
         t = normalise.tokens(F.col("text"), steps)
         model = textclf.train(d.where("split = 'train'").select("text", "y"), ngrams=1, tokens=t)
-        scored = textclf.predict(b.withColumn("tokens", t), model, ["item_id"])
+        scored = textclf.predict(b, model, ["item_id"], t)
         out.append(scored.agg(F.lit(name).alias("variant"), F.count("*").alias("items"), F.round(F.avg((F.col("prob") >= 0.5).cast("double")), 4).alias("accuracy")))
     return union_all(out)

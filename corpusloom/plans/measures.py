@@ -189,14 +189,11 @@ def m37(spark, sf):
 
 @query("e01_stage_ledger", f"SELECT 1 AS step, 'language' AS stage, count(*) AS n_in, count(*) FILTER (lang = 'en') AS n_out, round(count(*) FILTER (lang = 'en') / count(*), 6) AS kept_frac FROM documents UNION ALL SELECT 2, 'rules', count(*), count(*) FILTER (NOT ({' OR '.join(_RULES_SQL.values())})), round(count(*) FILTER (NOT ({' OR '.join(_RULES_SQL.values())})) / count(*), 6) FROM documents WHERE lang = 'en'")
 def e01_ledger(spark, sf):
-    """Two stages watched while one pass runs through both."""
-    from corpusloom.operators.funnel import Ledger
-
-    ledger, docs = Ledger(), table(spark, sf, "documents")
-    first = ledger.record(docs, "language", F.col("lang") == "en").where("lang = 'en'")
-    second = ledger.record(rules.apply(first), "rules", F.col("kept")).where("kept")
-    second.select("doc_id").write.format("noop").mode("overwrite").save()
-    return ledger.rows(spark).select("step", "stage", "n_in", "n_out", F.round("kept_frac", 6).alias("kept_frac"))
+    """Two stages counted in one pass over the documents."""
+    from corpusloom.operators.funnel import ledger
+
+    found = ledger(rules.apply(table(spark, sf, "documents")), [("language", F.col("lang") == "en"), ("rules", F.col("kept"))])
+    return found.select("step", "stage", "n_in", "n_out", F.round("kept_frac", 6).alias("kept_frac"))
 
 
 @query("e14_engine_cost")
