@@ -1,9 +1,10 @@
 """Main text of web pages by the distribution of text over lines.
 
-Markup is stripped into lines, one for each block of the page. Lines of menus, forms, adverts and the like keep their
-place but count no characters. Lengths are summed over windows of lines; where the sums leave zero is a surge, where they
-fall back to zero a dive, and between the two lies a zone. The zones of one container belong together: an article element
-where there is one, else the element that holds most text. All text between its first surge and its last dive is kept.
+Markup is stripped into lines, one for each block of the page; lines of menus, adverts, footers and comments stay in
+their places like all others. What a line counts is its characters outside links, and more or less of them by where it
+stands (see weights): that is the only say markup has. Counts are summed over windows of lines. Where sums leave zero is
+a surge, where they come back to zero a dive, and the lines between are a zone. A zone is text if it rises high enough
+against the highest sum of the page; all lines of such zones are kept, all others go.
 """
 
 from __future__ import annotations
@@ -18,8 +19,15 @@ from pyspark.sql import functions as F
 
 from corpusloom.runtime import ensure_importable
 
-WINDOW = 3
-_TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:"[^"]{0,8000}"|'[^']{0,8000}'|[^>"'])*+|[^>]*)(?:>|\Z)""", re.S)
+#: Lines of a window; characters that a zone must reach in one window, and the share of the page's highest window. A zone
+#: of ordinary lines is text if it reaches the lesser of the two, one of doubtful lines must reach both.
+WINDOW, SURGE, SHARE = 3, 86, 0.25
+#: What a character counts: in an article element, in an ordinary place, and in a place whose name or kind says boilerplate.
+ARTICLE, PLAIN, DOUBTFUL = 64.0, 1.0, 1 / 64
+#: The part of a page's ordinary text that a container must hold for the text outside it to count half.
+HOME = 2 / 3
+#: A quoted value, of any length, begins after an equals sign only; a quote that never ends is a character like others.
+_TAG = re.compile(r"""<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:=\s*(?:"[^"]*"|'[^']*')|[^>])*+)(?:>|\Z)""", re.S)
 _ATTR = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""")
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title iframe noframes xmp noembed".split())
@@ -27,7 +35,9 @@ BLOCK = frozenset(
     "address article aside blockquote body caption center dd details dialog dir div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol optgroup option p pre search section select summary table tbody td tfoot th thead tr ul".split()
 )
 CONTAINER = frozenset("article aside body dd details dialog div dl fieldset footer form header li main menu nav ol section table tbody td tr ul blockquote figure".split())
-DROPPED = frozenset("aside button canvas datalist dialog embed footer form head label map menu nav noscript object search select svg template audio video".split())
+DOUBTED = frozenset("aside dialog footer form head menu nav search".split())
+#: Elements whose content is no text of the page: controls, drawings, media, what is shown only without scripts.
+UNSEEN = frozenset("audio button canvas datalist embed label map noscript object select svg template video".split())
 #: Elements that a start tag ends if they are still open.
 ENDS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 CLOSES_P = BLOCK - {"body", "html", "head", "option", "optgroup"}
@@ -36,6 +46,7 @@ _HINT = frozenset(
 )
 _HINT_ROLES = frozenset("alert alertdialog banner complementary contentinfo dialog form menu menubar navigation search toolbar".split())
 _MAIN = re.compile(r"(?:^|\s)(?:article|post|entry|story|main|page)[-_]?(?:body|content|text)(?:$|\s)", re.I)
+_LETTER = re.compile(r"\w")
 _NAME = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 
@@ -53,23 +64,23 @@ def _hinted(names: str) -> bool:
 
 
 class _Lines:
-    """Lines of a page: text, characters outside links, container, place among all lines."""
+    """Lines of a page: text, characters outside links, container, and whether the place is doubtful."""
 
     def __init__(self) -> None:
-        self.lines: list[tuple[str, int, int]] = []
-        self.stack: list[tuple[str, bool, int]] = [("#", False, 0)]  # name, dropped, container
+        self.lines: list[tuple[str, int, int, bool]] = []
+        self.stack: list[tuple[str, bool, int, bool]] = [("#", False, 0, False)]  # name, doubtful, container, silent
         self.parents = [0]
         self.main: set[int] = set()
         self.text: list[str] = []
-        self.links = 0
+        self.plain = 0
         self.in_link = False
 
     def flush(self) -> None:
         if self.text:
             line = " ".join("".join(self.text).split())
             if line:
-                self.lines.append((line, max(0, len(line) - self.links), self.stack[-1][2]))
-            self.text, self.links = [], 0
+                self.lines.append((line, min(len(line), self.plain), self.stack[-1][2], self.stack[-1][1]))
+            self.text, self.plain = [], 0
 
     def pop_to(self, at: int) -> None:
         del self.stack[at:]
@@ -90,36 +101,39 @@ class _Lines:
                 if self.stack[at][0] in BLOCK:
                     break
         attrs = _attributes(raw)
-        _, dropped, container = self.stack[-1]
-        hint = False
+        _, doubtful, container, silent = self.stack[-1]
+        hint = unseen = False
         own = name in ("article", "main") or attrs.get("role", "").lower() in ("main", "article") or attrs.get("itemprop", "") == "articleBody"
         if name not in ("html", "body"):
             labels = f"{attrs.get('class', '')} {attrs.get('id', '')}"
-            hint = attrs.get("role", "").lower() in _HINT_ROLES or "hidden" in attrs or attrs.get("aria-hidden", "").lower() == "true" or "display:none" in attrs.get("style", "").replace(" ", "").lower()
+            hint = attrs.get("role", "").lower() in _HINT_ROLES
+            unseen = name in UNSEEN or "hidden" in attrs or attrs.get("aria-hidden", "").lower() == "true" or "display:none" in attrs.get("style", "").replace(" ", "").lower()
             if labels != " ":
                 hint = hint or _hinted(labels)
                 own = own or bool(_MAIN.search(labels))
-        if own and not hint and dropped:  # an article can't lie in a menu or page header: that was left open
+        if own and not hint and doubtful:  # an article can't lie in a menu or page header: that was left open
             for at in range(1, len(self.stack)):
                 if self.stack[at][1]:
                     if self.stack[at][0] in ("nav", "header", "menu", "head"):
                         self.pop_to(at)
-                        _, dropped, container = self.stack[-1]
+                        _, doubtful, container, silent = self.stack[-1]
                     elif self.stack[at][0] == "form":  # one form around the whole page
-                        self.stack[at:] = [(n, False, c) for n, _, c in self.stack[at:]]
-                        dropped = False
+                        self.stack[at:] = [(n, False, c, x) for n, _, c, x in self.stack[at:]]
+                        doubtful = False
                     break
         if name == "header":
             hint = hint or not any(c in self.main for c in self._chain(container))
-        dropped = dropped or hint or name in DROPPED
         if name in VOID:
             return
+        # A doubtful place inside a line can't be a line of its own: its text is left out, as is what no reader sees.
+        silent = silent or unseen or hint and name not in BLOCK
+        doubtful = doubtful or hint or name in DOUBTED
         if name in CONTAINER:
             self.parents.append(container)
             container = len(self.parents) - 1
-            if own and not dropped:
+            if own and not doubtful:
                 self.main.add(container)
-        self.stack.append((name, dropped, container))
+        self.stack.append((name, doubtful, container, silent))
 
     def _chain(self, container: int) -> Iterator[int]:
         while container:
@@ -140,11 +154,11 @@ class _Lines:
         while at < size:
             m = _TAG.search(html, at)
             stop = m.start() if m else size
-            if stop > at and not self.stack[-1][1]:
+            if stop > at and not self.stack[-1][3]:
                 piece = unescape(html[at:stop])
                 self.text.append(piece)
-                if self.in_link:
-                    self.links += len(piece)
+                if not self.in_link and _LETTER.search(piece):  # what parts links counts nothing
+                    self.plain += len(piece)
             if not m:
                 break
             at = m.end()
@@ -177,51 +191,96 @@ class _Lines:
         self.flush()
 
 
-def zones(lengths: list[int], window: int = WINDOW) -> list[tuple[int, int]]:
-    """Ranges of lines from a surge of the window sums to the dive that follows; lines without text end none shorter than the window."""
+def zones(lengths: list[float], window: int = WINDOW, least: float = 0.0) -> list[tuple[int, int]]:
+    """Ranges of lines from a surge of the window sums out of zero to the dive back to it, if a window between reaches `least`.
+
+    Lines that count nothing end a zone only if they fill a window; a zone begins and ends with lines that count.
+    """
     out: list[tuple[int, int]] = []
-    total, start = sum(lengths[:window]), None
-    for i in range(len(lengths)):
-        if total and start is None:
-            start = next(j for j in range(i, len(lengths)) if lengths[j])
-        elif not total and start is not None:
-            out.append((start, i))
-            start = None
-        total += (lengths[i + window] if i + window < len(lengths) else 0) - lengths[i]
-    if start is not None:
-        out.append((start, len(lengths)))
+    held = [i for i, n in enumerate(lengths) if n > 0]
+    sums = [0.0]
+    for n in lengths:
+        sums.append(sums[-1] + n)
+    start = 0
+    for k, i in enumerate(held):
+        if k + 1 == len(held) or held[k + 1] - i > window:  # a whole window of nothing follows
+            first, stop = held[start], i + 1
+            if max(sums[min(stop, j + window)] - sums[j] for j in range(first, max(first + 1, stop - window + 1))) >= least:
+                out.append((first, stop))
+            start = k + 1
     return out
 
 
+def _home(page: _Lines) -> int:
+    """The innermost container that holds most of the ordinary text (HOME of it); 0, the page, if only that does."""
+    inner: dict[int, int] = {}
+    total = 0
+    for _, n, c, doubtful in page.lines:
+        if n and not doubtful:
+            total += n
+            for x in page._chain(c):
+                inner[x] = inner.get(x, 0) + n
+    return max((x for x, n in inner.items() if n >= HOME * total), default=0)  # containers are numbered as they open
+
+
+def kept_lines(page: _Lines, window: int = WINDOW) -> list[int]:
+    """Indices of the lines of all zones that are text.
+
+    Lines of one kind of place make one sequence: what lies in the article (or the container of most text), what else is
+    ordinary, by stretches, and doubtful lines, by stretches. So an advert parts no article, and joins none.
+    """
+    best = 0
+    if page.main:
+        inner: dict[int, int] = {}
+        for _, n, c, doubtful in page.lines:
+            if not doubtful and (home := next((x for x in page._chain(c) if x in page.main), 0)):
+                inner[home] = inner.get(home, 0) + n + 1
+        best = max(inner, key=lambda x: (inner[x], -x), default=0)
+    article = bool(best)
+    best = best or _home(page)
+    own: list[int] = []
+    others: list[tuple[bool, list[int]]] = []
+    before = None
+    for i, (_, _, c, doubtful) in enumerate(page.lines):
+        inside = not doubtful and (not best or best in page._chain(c))
+        if inside:
+            own.append(i)
+        elif before == (False, doubtful):
+            others[-1][1].append(i)
+        else:
+            others.append((doubtful, [i]))
+        before = (inside, doubtful)
+
+    def count(i: int, inside: bool) -> float:
+        line, n, _, doubtful = page.lines[i]
+        if inside:  # whole paragraphs that are links belong to an article
+            return ARTICLE * len(line) if article else PLAIN * n
+        return DOUBTFUL * n if doubtful else PLAIN * n / (1 if article or not best else 2)
+
+    groups = [(False, own, [count(i, True) for i in own]), *((d, g, [count(i, False) for i in g]) for d, g in others)]
+    highest = max((sum(m[j : j + window]) for _, _, m in groups for j in range(len(m))), default=0.0)
+    out = []
+    for doubtful, group, lengths in groups:
+        least = (max if doubtful else min)(SURGE, SHARE * highest) if group is own or doubtful else max(1.0, SHARE * highest)
+        out += [group[j] for a, b in zones(lengths, window, least) for j in range(a, b)]
+    return sorted(out)
+
+
 def main_text(html: str | None, window: int = WINDOW) -> str:
-    """The text of the main zone, its blocks joined by an empty line; empty for null, empty or textless pages."""
+    """The kept lines, joined by an empty line; empty for null, empty or textless pages."""
     if not html:
         return ""
     page = _Lines()
     page.feed(html)
-    if not page.lines:
-        return ""
-    inner: dict[int, int] = {}
-    if page.main:
-        for _, n, c in page.lines:
-            if home := next((x for x in page._chain(c) if x in page.main), 0):
-                inner[home] = inner.get(home, 0) + n + 1
-    else:
-        for _, n, c in page.lines:
-            up = list(page._chain(c))
-            for share, x in zip((2, 1), [*up, 0, 0], strict=False):
-                inner[x] = inner.get(x, 0) + share * n
-    if not inner:
-        return "\n\n".join(line for line, _, _ in page.lines)
-    best = max(inner, key=lambda x: (inner[x], -x))
-    belongs = [best == 0 or best in page._chain(c) for _, _, c in page.lines]
-    lengths = [len(line) if ok and (page.main or n) else 0 for (line, n, _), ok in zip(page.lines, belongs, strict=True)]
-    kept = [i for a, b in zones(lengths, window) for i in range(a, b) if lengths[i] or belongs[i] and page.main]
-    return "\n\n".join(page.lines[i][0] for i in kept)
+    return "\n\n".join(page.lines[i][0] for i in kept_lines(page, window))
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """(page_id, url, text, n_chars), one row for each row of pages, map-only. Null, empty or broken html is no error."""
+    """(page_id, url, text, n_chars), one row for each row of pages, map-only.
+
+    Null, empty and broken html is no error, its text is what can be read of it. Ids pass through as they are, null or
+    repeated; columns other than the three named are not read.
+    """
     ensure_importable(pages.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
