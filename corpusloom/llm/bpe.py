@@ -9,6 +9,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import regex
+from public_tokenizers import PATTERN
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -17,8 +18,6 @@ from corpusloom.llm.merges import MergeReplay
 from corpusloom.llm.worker import held
 from corpusloom.runtime import ensure_importable
 
-#: The fixed pattern that goes with the public rank files.
-PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 BLOCK_CHARS = 6_000_000
 CACHE = 250_000
 _EDGE = regex.compile(r"\s | \s|^ | $")

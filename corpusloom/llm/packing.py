@@ -12,6 +12,7 @@ from __future__ import annotations
 import math
 import zlib
 from collections.abc import Iterator
+from itertools import count
 
 import numpy as np
 import pandas as pd
@@ -90,10 +91,11 @@ def _packer(capacity: int, last: bool):
     return run
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, part_pieces: int = PART_PIECES, rounds: int = 6) -> tuple[DataFrame, DataFrame]:
+def pack(pieces: DataFrame, capacity: int = CAPACITY, part_pieces: int = PART_PIECES) -> tuple[DataFrame, DataFrame]:
     """Placements (doc_id, piece, start, length, ids_crc32, sequence_id, offset), and certificates (round, part, bins, bound).
 
-    pieces: (doc_id, piece, start, length, ids_crc32), lengths from 1 to capacity. Every row gets a place.
+    pieces: (doc_id, piece, start, length, ids_crc32), lengths from 1 to capacity. Every row gets a place. Rounds go on until
+    one partition is left, or until a round closes no sequence.
     """
     spark = pieces.sparkSession
     ensure_importable(spark)
@@ -103,9 +105,12 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, part_pieces: int = PART_PI
     done = [whole.select(*columns, F.monotonically_increasing_id().alias("sequence_id"), F.lit(0).cast("long").alias("offset"))]
     certificates = []
     rest = pieces.where(F.col("length") < capacity).select(*columns)
-    for k in range(1, rounds + 1):
-        parts = max(1, math.ceil(rest.count() / part_pieces))
-        last = parts == 1 or k == rounds
+    before = None
+    for k in count(1):
+        n = rest.count()
+        parts = max(1, math.ceil(n / part_pieces))
+        last = parts == 1 or n == before
+        before = n
         dealt = rest.withColumn("part", F.pmod(F.xxhash64(F.monotonically_increasing_id(), F.lit(k)), F.lit(parts)).cast("int"))
         placed = cut(dealt.groupBy("part").applyInPandas(_packer(capacity, last), _PLACED))
         sequence = F.lit(k << 56) + F.col("part").cast("long") * F.lit(1 << 24) + F.col("bin")
@@ -122,17 +127,18 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, part_pieces: int = PART_PI
     return placements, proofs
 
 
-def document_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", cache: int = vocab.CACHE, block_chars: int = BLOCK_CHARS) -> DataFrame:
+def document_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY, end_id: int = 1, id_col: str = "doc_id", text_col: str = "text", cache: int = vocab.CACHE, block_chars: int = BLOCK_CHARS, special: bool = True) -> DataFrame:
     """(doc_id, piece, start, length, ids_crc32) of each document's ids and end_id; only longer ones than capacity are cut.
 
-    A null text counts as the empty text, which is one piece of one id. cache (entries, about 200 bytes each) and
+    A null text counts as the empty text, which is one piece of one id. The strings of special tokens stand for those
+    tokens unless special is off. cache (entries, about 200 bytes each) and
     block_chars bound a worker's memory; more of either saves time and changes no result.
     """
     ensure_importable(docs.sparkSession)
     end = end_id.to_bytes(4, "little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = vocab.pieces(path, cache).encode
+        encode = vocab.pieces(path, cache, special).encode
         for keys, texts in vocab.blocks(batches, block_chars):
             rows: list[tuple] = []
             for key, ids in zip(keys.to_pylist(), encode(texts), strict=True):

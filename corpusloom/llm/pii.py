@@ -1,11 +1,12 @@
 """Personal data: base patterns, and further candidates that boosted trees select. DataFrame operations only.
 
 Generators of high recall propose spans that may overlap: numbers in the shapes of phones and cards without what the
-base patterns ask for, addresses with a masked at sign or dots. Each candidate has features of format and context. How
-often a base span confirms a candidate of the same features is counted over all documents; small boosted trees are
-fitted to these counts (their number depends on the features alone), as expressions that Spark compiles. For each kind
-the least score at which held-out documents confirm nine in ten is the threshold; candidates above it that touch no
-base span and pass the kind's own check are added. Base spans always stay.
+base patterns ask for, addresses with a masked at sign or dots. Each candidate has features of format and context. A
+candidate is confirmed if a base span of its kind overlaps it, or if with its masks undone it is itself one. How often
+candidates of the same features are confirmed is counted over all documents; small boosted trees are fitted to these
+counts (their number depends on the features alone), as expressions that Spark compiles. For each kind the least score at
+which held-out documents confirm nine in ten is the threshold; candidates above it that touch no base span of any kind and
+pass the kind's own check are added. Base spans always stay.
 """
 
 from __future__ import annotations
@@ -37,7 +38,7 @@ CANDIDATES = (
 )
 #: What a text must have for a pattern to be worth trying.
 _BASE_GUARD = (r"@", r"[0-9]\.[0-9]", r"[0-9]", r"\+[0-9]")
-_CANDIDATE_GUARD = (r"(?i)@|[(\[]at[)\]]| at .* dot ", r"(?i)[0-9] ?[\[(.]", r"[0-9]{4}[ ._/-]?[0-9]{4}", r"[0-9]{2}\)?[ ./-]{1,2}[0-9]{3}")
+_CANDIDATE_GUARD = (r"(?i)@|[(\[]at[)\]]| at ?[a-z0-9-]+ ?(?:\.|[(\[]dot[)\]]| dot )", r"(?i)[0-9] ?[\[(.]", r"[0-9]{4}[ ._/-]?[0-9]{4}", r"[0-9]{2}\)?[ ./-]{1,2}[0-9]{3}")
 _CUES = (r"e-?mail|mail|contact|write|reach", r"\bip\b|host|server|addr|login|from", r"card|visa|master|amex|credit|debit|pay", r"tel|phone|call|fax|mobile|whatsapp|sms|ring")
 _OCTET = r"^0*(?:[0-9]{1,2}|1[0-9]{2}|2[0-4][0-9]|25[0-5])$"
 CONTEXT = 24
@@ -57,9 +58,21 @@ def _passes(kind: int, hit: Column) -> Column:
     return (F.lit(True), F.forall(F.split(hit, r"\."), lambda x: x.rlike(_OCTET)), n.between(12, 19) & F.call_function("luhn_check", _digits(hit)), n.between(9, 15))[kind]
 
 
+def _undone(kind: int, hit: Column) -> Column:
+    """Whether a masked candidate is a valid one of its kind without the masks. A bare word 'at' masks only beside a 'dot'."""
+    if kind == 0:
+        masked = hit.rlike(r"(?i)[(\[]at[)\]]| at .* dot ")
+        plain = F.regexp_replace(F.regexp_replace(hit, r"(?i) ?(?:\(at\)|\[at\]| at ) ?", "@"), r"(?i) ?(?:\(dot\)|\[dot\]| dot ) ?", ".")
+        return masked & plain.rlike(r"^[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+$")
+    if kind == 1:
+        return hit.rlike(r"(?i)[\[(]") & _octets_ok(hit)
+    return hit.rlike("[._/]") & _passes(2, _digits(hit)) if kind == 2 else F.lit(False)
+
+
 def _may_add(kind: int, hit: Column) -> Column:
+    """The own check of a candidate that is to be added."""
     n = F.length(_digits(hit))
-    return (F.lit(True), _octets_ok(hit), n.between(12, 19) & F.call_function("luhn_check", _digits(hit)), n.between(9, 15))[kind]
+    return (hit.contains("@") | _undone(0, hit), _octets_ok(hit), n.between(12, 19) & F.call_function("luhn_check", _digits(hit)), n.between(9, 15))[kind]
 
 
 def _find(df: DataFrame, prefix: str, patterns: tuple[str, ...], guards: tuple[str, ...]) -> DataFrame:
@@ -98,7 +111,7 @@ FEATURES = ("kind", "digits", "marks", "parens", "cue", "letter_after", "line_st
 
 
 def _with_candidates(df: DataFrame) -> DataFrame:
-    """__cand: array of (start, end, may_add, features..., met), met: a base span of the same kind overlaps it."""
+    """__cand: array of (start, end, may_add, features..., touches, met). touches: it overlaps a base span; met: it is confirmed."""
     df = _find(df, "__c", CANDIDATES, _CANDIDATE_GUARD)
 
     def each(k: int) -> Column:
@@ -114,7 +127,8 @@ def _with_candidates(df: DataFrame) -> DataFrame:
                 hit.rlike(r"\([0-9]").cast("int").alias("parens"), before.rlike("(?i)(?:" + _CUES[k] + ")").cast("int").alias("cue"),
                 after.rlike(r"[\p{L}\p{N}]").cast("int").alias("letter_after"), ((x["start"] == 0) | before.endswith("\n")).cast("int").alias("line_start"),
                 _bucket(F.length(hit), 10, 16, 24).alias("length"),
-                F.exists(F.col("__base"), lambda b: (b["kind"] == k) & (b["start"] < x["end"]) & (x["start"] < b["end"])).alias("met"),
+                F.exists(F.col("__base"), lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"])).alias("touches"),
+                (F.exists(F.col("__base"), lambda b: (b["kind"] == k) & (b["start"] < x["end"]) & (x["start"] < b["end"])) | _undone(k, hit)).alias("met"),
             )
 
         return F.transform(F.col(f"__c{k}"), features)
@@ -138,7 +152,7 @@ class Boosted:
 
     def keep(self, x: Column) -> Column:
         cut = reduce(lambda c, k: F.when(x["kind"] == k, F.lit(float(self.thresholds[k]))).otherwise(c), range(len(KINDS)), F.lit(2.0))
-        return x["may_add"] & ~x["met"] & (self.score(x) >= cut)
+        return x["may_add"] & ~x["touches"] & (self.score(x) >= cut)
 
 
 def boost(table: np.ndarray, yes: np.ndarray, no: np.ndarray, rounds: int = 24, rate: float = 0.3) -> tuple[list[tuple], float]:

@@ -16,24 +16,26 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_type
 
 from corpusloom.llm import vocab
-from corpusloom.runtime import ensure_importable, shared_dir
+from corpusloom.runtime import cut, ensure_importable, remove, shared_dir
 
 BLOCK_BYTES, BLOCK_CHARS = 1 << 18, 3_000_000
 
 
 def write_flat(docs: DataFrame, folder: str, path: str, end_id: int, width: int = 2, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK_BYTES) -> None:
-    """Tokenises docs into token files under folder: (file, block, data) in blocks/, and in names/ the ids of each file's documents in order.
+    """Tokenises docs into token files under folder: rows (file, block, data), and rows (file, first, ids) of each file's documents in order.
 
-    Null texts are empty documents: a separator only.
+    Null texts are empty documents: a separator only. Strings of special tokens in a text are ordinary text, so that none
+    becomes a separator.
     """
     ensure_importable(docs.sparkSession)
-    kind = docs.schema[id_col].dataType.simpleString()
+    kind, key_type = docs.schema[id_col].dataType.simpleString(), to_arrow_type(docs.schema[id_col].dataType)
     end = np.array([end_id], f"<u{width}").tobytes()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode, file, at, held, first = vocab.pieces(path).encode, TaskContext.get().partitionId(), 0, bytearray(), 0
+        encode, file, at, held, first = vocab.pieces(path, special=False).encode, TaskContext.get().partitionId(), 0, bytearray(), 0
         for keys, texts in vocab.blocks(batches, BLOCK_CHARS):
             for ids in encode(texts):
                 held += np.frombuffer(ids, "<u4").astype(f"<u{width}").tobytes() + end
@@ -47,8 +49,6 @@ def write_flat(docs: DataFrame, folder: str, path: str, end_id: int, width: int
         if held:
             yield _batch([(file, at, bytes(held), None, None)])
 
-    key_type = {"bigint": pa.int64(), "int": pa.int32(), "string": pa.string()}[kind]
-
     def _batch(rows: list[tuple]) -> pa.RecordBatch:
         kinds = (pa.int32(), pa.int64(), pa.binary(), pa.int64(), pa.list_(key_type))
         return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), kinds, strict=True)], names=["file", "block", "data", "first", "ids"])
@@ -102,11 +102,17 @@ def count_tokens(blocks: DataFrame, end_id: int, width: int = 2) -> DataFrame:
 
 
 def document_counts(docs: DataFrame, path: str, end_id: int, width: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_tokens, file, ordinal, start_token), one row for each row of docs, through token files in the shared folder."""
+    """(doc_id, n_tokens, file, ordinal, start_token), one row for each row of docs, through token files in the shared folder.
+
+    Null texts have no tokens; null and repeated ids keep a row each; other columns are not read. The token files are
+    deleted when the counts are stored.
+    """
     spark = docs.sparkSession
     folder = f"{shared_dir(spark)}/tokens-{uuid4().hex}"
     write_flat(docs, folder, path, end_id, width, id_col, text_col)
     both = spark.read.parquet(folder)
     counts = count_tokens(both.where("block is not null").select("file", "block", "data"), end_id, width)
     names = both.where("first is not null").select("file", "first", F.posexplode("ids").alias("k", "doc_id")).select("file", (F.col("first") + F.col("k")).alias("ordinal"), "doc_id")
-    return counts.join(names, ["file", "ordinal"]).select("doc_id", "n_tokens", "file", "ordinal", "start_token")
+    out = cut(counts.join(names, ["file", "ordinal"]).select("doc_id", "n_tokens", "file", "ordinal", "start_token"))
+    remove(spark, folder)
+    return out

@@ -15,8 +15,6 @@ import regex
 from corpusloom.llm.merges import MergeReplay
 from corpusloom.llm.worker import held
 
-#: The folder of the vocabulary files; an argument of every operator that needs one.
-FOLDER = os.environ.get("TOKENIZER_DIR", "/opt/tokenizers")
 #: Entries of a worker's cache of pieces; beyond it the cache starts anew.
 CACHE = 250_000
 #: Characters below the combining marks, without controls and other white space: composed already, one lower case each.
@@ -36,7 +34,12 @@ def _byte_letters() -> list[str]:
 
 
 def at(name: str, folder: str | None = None) -> str:
-    return os.path.join(folder or FOLDER, name)
+    """The place of a vocabulary file: in a folder, or where the package of public tokenizers has it."""
+    if folder:
+        return os.path.join(folder, name)
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
 
 
 def blocks(batches: Iterator[pa.RecordBatch], chars: int) -> Iterator[tuple[pa.Array, list[str]]]:
@@ -59,18 +62,23 @@ class Pieces:
     Texts are cut at spaces and line feeds, which every engine counts as white space, and each piece is encoded once
     while it stays in the cache. Pieces of printable Latin letters, digits and signs go through the merge replay, all
     others through the tokenizer itself. The result equals encoding whole texts with it; tests hold it against that.
+    The strings of special tokens stand for these tokens, as the tokenizer has it, or with special off are ordinary text.
     """
 
-    def __init__(self, path: str, cache: int = CACHE):
+    def __init__(self, path: str, cache: int = CACHE, special: bool = True):
         self.cache = cache
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
         from tokenizers.pre_tokenizers import ByteLevel
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True  # their strings in a text are ordinary text
+        self.tokenizer.encode_special_tokens = not special
         with open(path, encoding="utf-8") as f:
-            model = json.load(f)["model"]
+            whole = json.load(f)
+        model = whole["model"]
+        names = [t["content"] for t in whole["added_tokens"]] if special else []
+        assert not any(set(x) & set(" \n") or t["lstrip"] or t["rstrip"] for x, t in zip(names, whole["added_tokens"], strict=False))  # no cut goes through one
+        self.special = regex.compile("|".join(map(regex.escape, names))).search if names else None
         ids, end = model["vocab"], model["end_of_word_suffix"]
         merges = [tuple(m) if isinstance(m, list) else tuple(m.split(" ")) for m in model["merges"]]
         self.replay = MergeReplay({(ids[a], ids[b]): k for k, (a, b) in reversed(list(enumerate(merges)))}, np.array([ids[a + b] for a, b in merges], np.int32), max(ids.values()) + 1)
@@ -93,7 +101,7 @@ class Pieces:
     def _learn(self, new: set[str]) -> None:
         letters, mixed, others = [], {}, []
         for p in new:
-            if not (p.isascii() and p.isprintable() or _LATIN(p)) or "\u0130" in p:
+            if not (p.isascii() and p.isprintable() or _LATIN(p)) or "\u0130" in p or self.special and "<" in p and self.special(p):
                 others.append(p)
             elif p.isalpha():  # one word
                 letters.append(p)
@@ -135,6 +143,6 @@ class Pieces:
                 yield ids[x:y].tobytes()
 
 
-def pieces(path: str, cache: int = CACHE) -> Pieces:
+def pieces(path: str, cache: int = CACHE, special: bool = True) -> Pieces:
     """One for each worker process."""
-    return held(f"pieces {path} {cache}", lambda: Pieces(path, cache))
+    return held(f"pieces {path} {cache} {special}", lambda: Pieces(path, cache, special))

@@ -23,6 +23,9 @@ SCHEMA = "doc_id long, text string"
 ODD = ["", " ", "  a", "a  b", "a \n b", "\n a", "a\x1cb c", "\x85 x", "it's we'll 12 34", "aaaaaaa aaa a", "日本語 テスト", "<|endoftext|> x", "a b ", "'s 'll 'S", "ab" * 3000, "\r\n x\t y", "İstanbul ẞ é É", "é Σας", "x y", "don't stop,now 'Re", "x." * 50]
 
 
+SPECIAL = ["a <|endoftext|> b", "a<|endoftext|>b\n<|startoftext|>", "<|ENDOFTEXT|> <|endof text|>", "İ<|startoftext|>é<|endoftext|>日", "<|endoftext|>" * 3]
+
+
 @pytest.fixture(scope="module")
 def texts():
     return [r[0] for r in duckdb.execute(f"SELECT text FROM '{SMALL}/documents.parquet' ORDER BY doc_id").fetchall()]
@@ -46,6 +49,11 @@ PAGES = [
     ("<article><div role='alert'>n</div><div class='cookie-notice'>c</div><p>ok<br>line</p><textarea>no</textarea><button>no</button></article>", ["ok line"]),
     ("<div class='content-with-sidebar'><article><p>kept</p></article><div class='sidebar'>s</div></div>", ["kept"]),
     ("<form id=aspnet><input><nav>m</nav><article><p>inside a form</p></article></form>", ["inside a form"]),
+    ('<article><p data-j="' + "x" * 9000 + '> leaked words">Hello</p></article>', ["Hello"]),
+    ("<div><a href=1>Home</a> <a href=2>About</a></div><h1>Title</h1><p>" + "Long text. " * 20 + "</p><p>Short.</p><ul><li><a>x</a><li><a>y</a><li><a>z</a></ul><p>Copyright 2020 A</p>", ["Title", ("Long text. " * 20).strip(), "Short."]),
+    ("<div><div><p>" + "First part. " * 20 + "</p></div><div><p>" + "Second part. " * 20 + "</p><p>End.</p></div></div><div><p>Small print</p></div>", [("First part. " * 20).strip(), ("Second part. " * 20).strip(), "End."]),
+    ("<div class=comment-list><p>" + "comment " * 90 + "</p></div><main><p>Tiny article.</p></main>", ["Tiny article."]),
+    ("<p>one <span class=ad>Buy</span> two</p><p>" + "text " * 50 + "</p>", ["one two", ("text " * 50).strip()]),
     ("plain", ["plain"]), ("", []), (None, []), ("<p>", []), ("<div id=comments><p>c</p></div>", []),
 ]
 
@@ -60,6 +68,20 @@ def test_zones_of_line_lengths():
     assert html_text.zones([], 3) == [] and html_text.zones([0, 0], 3) == []
 
 
+def test_zones_decide_what_is_text(monkeypatch):
+    """With the whole page for a zone, menus and footers would be text of every given page."""
+    pages = duckdb.execute(f"SELECT html FROM '{SMALL}/pages.parquet'").fetchall()
+    before = [html_text.main_text(h) for (h,) in pages]
+    monkeypatch.setattr(html_text, "zones", lambda lengths, window=3, least=0: [(0, len(lengths))])
+    assert all(len(html_text.main_text(h)) > len(b) for (h,), b in zip(pages, before, strict=True))
+
+
+def test_long_lists_of_short_lines_stay():
+    lines = ["ab"] * 40 + ["A long paragraph of an article. " * 9] + ["cd"] * 40
+    html = "<nav><a>m</a></nav><article>" + "".join(f"<p>{x}</p>" for x in lines) + "</article><footer>f</footer>"
+    assert html_text.main_text(html).split("\n\n") == [x.strip() for x in lines]
+
+
 def test_pages_equal_their_articles(spark):
     import html as h
 
@@ -182,6 +204,22 @@ def test_trees_add_what_the_format_tells(spark):
     assert got[900] in ("phone:5:19", "")
 
 
+def test_masked_addresses_are_added(spark):
+    rows = [(k, f"write to user{k} (at) host{k} (dot) com now") for k in range(120)] + [(k, f"server 10[.]0[.]{k % 250}[.]7 is up") for k in range(200, 300)]
+    rows += [(400, "we met at example.com yesterday"), (401, "pay 4111 1111 1111 1111 1 now")]
+    df = spark.createDataFrame(rows, SCHEMA)
+    got = {r["doc_id"]: r["spans"] for r in pii.digests(df, pii.fit(df)).collect()}
+    assert got[7] == "email:9:35" and got[205].startswith("ip:7:") and got[400] == ""
+
+
+def test_added_spans_touch_no_base_span(spark, docs):
+    model = pii.fit(docs)
+    for r in pii.with_spans(docs, model).where(F.size("__spans") > F.size("__base")).collect():
+        base = {tuple(x) for x in r["__base"]}
+        for s in r["__spans"]:
+            assert tuple(s) in base or not any(b[0] < s["end"] and s["start"] < b[2] for b in base)
+
+
 def test_redaction(spark):
     df = spark.createDataFrame([(1, "x a@b.com y 1.2.3.4.", 20), (2, None, None), (3, "clean", 5)], "doc_id long, text string, n_chars long")
     got = {r["doc_id"]: (r["text"], r["n_chars"]) for r in pii.redact(df, pii.fit(df), length_col="n_chars").collect()}
@@ -242,7 +280,7 @@ def test_counts_equal_the_tokenizer(spark, texts):
 
     t = Tokenizer.from_file(WORD)
     t.encode_special_tokens = True
-    rows = [(k, x) for k, x in enumerate([*texts[:60], *ODD, None])]
+    rows = [(k, x) for k, x in enumerate([*texts[:60], *ODD, *SPECIAL, None])]
     df = spark.createDataFrame(rows, SCHEMA)
     got = {r["doc_id"]: r["n_tokens"] for r in token_files.document_counts(df, WORD, 49407).collect()}
     assert got == {k: len(t.encode(x or "", add_special_tokens=False).ids) for k, x in rows}
@@ -464,9 +502,8 @@ def test_bounds_hold_and_packing_fits(sizes):
 def test_packing_of_documents(spark, texts):
     from tokenizers import Tokenizer
 
-    t = Tokenizer.from_file(WORD)
-    t.encode_special_tokens = True
-    rows = [(k, x) for k, x in enumerate([*texts, *ODD, None, "word " * 9000])]
+    t = Tokenizer.from_file(WORD)  # special strings stand for their tokens
+    rows = [(k, x) for k, x in enumerate([*texts, *ODD, *SPECIAL, None, "word " * 9000])]
     df = spark.createDataFrame(rows, SCHEMA)
     placed, proofs = packing.pack(packing.document_pieces(df, WORD), part_pieces=40)
     got = placed.toPandas()
@@ -513,8 +550,11 @@ def test_bpe_on_any_text(codec, reference, texts):
 @settings(max_examples=100, deadline=None)
 @given(st.lists(st.text(alphabet=st.characters(exclude_categories=["Cs"]), max_size=30) | st.text("aB 's\n\té日\x1c.İ1", max_size=40), max_size=5))
 def test_pieces_on_any_text(texts):
+    from tokenizers import Tokenizer
+
     p = vocab.pieces(WORD)
-    want = [x.ids for x in p.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    texts = [*texts, *SPECIAL]
+    want = [x.ids for x in Tokenizer.from_file(WORD).encode_batch(texts, add_special_tokens=False)]
     assert [np.frombuffer(x, "<u4").tolist() for x in p.encode(texts)] == want
 
 
