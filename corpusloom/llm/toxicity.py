@@ -1,18 +1,26 @@
 """Toxicity by a subsequence string kernel with Nyström landmarks and a linear support vector machine.
 
 Two words are as alike as the ordered, gapped triples of letters (and word ends) they share, each triple worth less the
-more it is spread. A bounded sample of labelled documents gives the landmarks (words, and beginnings of words, far more
-frequent in toxic sentences) and the training words, toxic ones also in forms with a letter put in, doubled or left out.
-Kernel values against the landmarks, whitened, are the features of the SVM. A sentence is as toxic as its worst word, a document as its worst sentence; Platt
-scaling on the sampled documents, at the class shares of all labelled ones, turns margins into probabilities.
+more letters it spans. Signs between letters have decay one and occur in no landmark, so they may as well be left out:
+letters that are spaced out or parted by signs make the same word. Landmarks are words, and beginnings of words, that are
+far more frequent in toxic documents of a bounded labelled sample. Kernel values against the landmarks, whitened, are the
+features of the machine.
+
+It is trained on sentences. Those of clean documents are clean; those of toxic documents begin as toxic where they are
+like a landmark, and are labelled anew by each round's machine. A sentence stands for its word of the highest margin.
+Forms of the landmarks with a letter put in, doubled or left out are further toxic sentences. A document's evidence is the
+sum of its words' margins above zero; the sum, and the sum for each hundred words, turn into a probability by a logistic
+fit to the sampled documents, at the class shares of all labelled ones.
 """
 
 from __future__ import annotations
 
 import hashlib
 import re
+from collections import Counter
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
+from itertools import combinations
 
 import numpy as np
 import pandas as pd
@@ -24,40 +32,47 @@ from corpusloom.llm.vocab import blocks
 from corpusloom.llm.worker import held, trim
 from corpusloom.runtime import cut, ensure_importable
 
-#: Labelled documents of each class that a model is fitted on, at most; landmarks; training words.
-SAMPLE, LANDMARKS, WORDS = 2500, 32, 4000
+#: Labelled documents of each class that a model is fitted on, at most; landmarks; rounds of labelling sentences.
+SAMPLE, LANDMARKS, ROUNDS = 2500, 32, 3
 DECAY, WIDTH, THRESHOLD = 0.4, 18, 0.3
-BLOCK_CHARS, CACHE = 1_000_000, 100_000
-#: Signs that stand for letters.
-_SIGNS = str.maketrans("013457@$", "oieastas")
-_SPACED = re.compile(r"(?<!\S)\w(?:[\s.,*_-]+\w){2,}(?!\w)")
-_NOISE = re.compile(r"[\W_]+")
+BLOCK_CHARS = 1_000_000
+_SIGNS = re.compile(r"[\W_]+")
+_SENTENCE = re.compile(r"\n+|(?<=[.!?])\s+")
+
+
+def units(text: str) -> list[str]:
+    """Letters of the words of a lower-case text; three or more single letters in a row are one word."""
+    out: list[str] = []
+    run: list[str] = []
+    for word in [*text.split(), "  "]:
+        letters = _SIGNS.sub("", word)
+        if len(letters) == 1:
+            run.append(letters)
+            continue
+        out += ["".join(run)] if len(run) > 2 else run
+        run = []
+        if letters:
+            out.append(letters)
+    return out
 
 
-def words_of(text: str) -> set[str]:
-    """Distinct lower-case words as written, and letters that were spaced out, joined."""
-    low = text.lower()
-    return set(low.split()).union(re.sub(r"[\s.,*_-]+", "", m) for m in _SPACED.findall(low))
+def sentences(text: str) -> list[list[str]]:
+    """Words of each sentence that has any; lines end sentences too."""
+    return [s for s in map(units, _SENTENCE.split(text.lower())) if s]
 
 
-def letters_of(word: str) -> str:
-    """The word's letters between marks of its two ends; signs that stand for letters count as those."""
-    return f"^{word}$" if word.isalpha() else f"^{_NOISE.sub('', word.translate(_SIGNS))}$"
+def marked(word: str) -> str:
+    return f"^{word}$"
 
 
-def _codes(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-    """Code points in rows of WIDTH, and whose each row is; longer words take several overlapping rows."""
-    rows, owner = list(words), np.arange(len(words))
-    if extra := [(k, w[a : a + WIDTH]) for k, w in enumerate(words) if len(w) > WIDTH for a in range(WIDTH // 2, len(w) - WIDTH // 2, WIDTH // 2)]:
-        rows += [w for _, w in extra]
-        owner = np.concatenate((owner, [k for k, _ in extra]))
-    return np.array(rows, f"<U{WIDTH}").view(np.uint32).reshape(-1, WIDTH), owner
+def windows(word: str) -> list[str]:
+    """A marked word, or what of a longer one is read at once: overlapping parts, of which the worst counts."""
+    return [word] if len(word) <= WIDTH else [word[a : a + WIDTH] for a in range(0, len(word) - WIDTH // 2, WIDTH // 2)]
 
 
-def _masks(codes: np.ndarray) -> np.ndarray:
-    at = codes.astype(np.int64) - 97
-    at = np.where((at >= 0) & (at < 26), at, 26 + codes % 32)
-    return np.bitwise_or.reduce(np.where(codes > 0, np.int64(1) << at, 0), axis=1)
+def _codes(words: list[str]) -> np.ndarray:
+    """Code points in rows of WIDTH, zero beyond a word's end."""
+    return np.array(words, f"<U{WIDTH}").view(np.uint32).reshape(-1, WIDTH)
 
 
 def subsequence_kernel(a: np.ndarray, b: np.ndarray, decay: float = DECAY, order: int = 3) -> np.ndarray:
@@ -74,63 +89,103 @@ def subsequence_kernel(a: np.ndarray, b: np.ndarray, decay: float = DECAY, order
     return (met * prior[:, :-1, :-1]).sum((1, 2)) * decay**2
 
 
+class Letters:
+    """Weights of triples of letters: a word's kernel values, or any linear function of them, is a sum over its triples."""
+
+    def __init__(self, landmarks: list[str]):
+        self.place = {c: k + 1 for k, c in enumerate(sorted(set("".join(landmarks))))}  # 0 is any other letter
+        self.size = len(self.place) + 1
+        self.points = np.array([ord(c) for c in self.place], np.uint32)
+
+    def triples(self, word: str) -> np.ndarray:
+        """The word's own triples with their decay, flat."""
+        out = np.zeros((self.size,) * 3)
+        at = [self.place.get(c, 0) for c in word]
+        for i, j, k in combinations(range(len(at)), 3):
+            if at[i] and at[j] and at[k]:
+                out[at[i], at[j], at[k]] += DECAY ** (k - i + 1)
+        return out.ravel()
+
+    def sums(self, words: list[str], table: np.ndarray) -> np.ndarray:
+        """For each word (of at most WIDTH letters) the decayed sum of table's rows over all its triples: the whole kernel."""
+        out = np.zeros((len(words), table.shape[1]))
+        sizes = np.fromiter(map(len, words), np.int64, len(words))
+        for n in np.unique(sizes[sizes > 2]).tolist():
+            own = np.flatnonzero(sizes == n)
+            codes = np.array([words[i] for i in own], f"<U{n}").view(np.uint32).reshape(-1, n)
+            near = np.minimum(np.searchsorted(self.points, codes), len(self.points) - 1)
+            at = np.where(self.points[near] == codes, near + 1, 0)
+            total = np.zeros((len(own), table.shape[1]))
+            for i in range(n - 2):
+                for j in range(i + 1, n - 1):
+                    pair = (at[:, i] * self.size + at[:, j]) * self.size
+                    for k in range(j + 1, n):
+                        total += DECAY ** (k - i + 1) * table[pair + at[:, k]]
+            out[own] = total
+        return out
+
+
 @dataclass
 class Model:
     landmarks: list[str]
     whiten: np.ndarray
     weights: np.ndarray
     bias: float
-    slope: float
-    offset: float
+    #: Of the evidence, of the evidence for each hundred words, and the offset.
+    logistic: tuple[float, float, float]
+    key: str = field(init=False)
 
     def __post_init__(self) -> None:
-        self.key = hashlib.md5(repr((self.landmarks, self.weights.tolist(), self.bias, self.slope, self.offset)).encode()).hexdigest()
+        self.key = hashlib.md5(repr((self.landmarks, self.whiten.tolist(), self.weights.tolist(), self.bias, self.logistic)).encode()).hexdigest()
 
-    def kernel(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """Kernel values, over the landmark's own, of those words that can be like a landmark, and which words they are.
+    def values(self) -> tuple[Letters, np.ndarray]:
+        """Letters, and the table that makes a word's sums its kernel values against the landmarks, each over the landmark's own."""
+        letters = Letters(self.landmarks)
+        own = np.stack([letters.triples(w) for w in self.landmarks])
+        return letters, (own / (own**2).sum(1, keepdims=True)).T
 
-        A word that lacks two of a landmark's letters, or is shorter by two, counts as unlike it.
-        """
-        if not self.landmarks or not words:
-            return np.zeros((0, len(self.landmarks))), np.zeros(0, np.int64)
-        codes, owner = _codes(words)
-        marks, _ = _codes(self.landmarks)
-        mask, size = _masks(codes), (codes > 0).sum(1)
-        pairs = [np.flatnonzero((np.bitwise_count(m & ~mask) <= 1) & (size >= max(4, n - 1))) for m, n in zip(_masks(marks), (marks > 0).sum(1), strict=True)]
-        left, right = np.concatenate(pairs), np.repeat(np.arange(len(pairs)), list(map(len, pairs)))
-        if not len(left):
-            return np.zeros((0, len(marks))), np.zeros(0, np.int64)
-        marks = marks[:, : (marks > 0).sum(1).max()]
-        own = subsequence_kernel(marks, marks)
-        value = np.concatenate([subsequence_kernel(codes[left[a : a + 4096]], marks[right[a : a + 4096]]) for a in range(0, len(left), 4096)])
-        used, slot = np.unique(owner[left], return_inverse=True)
-        out = np.zeros((len(used), len(marks)))
-        np.maximum.at(out, (slot, right), value / own[right])
-        return out, used
+    def features(self, words: list[str]) -> np.ndarray:
+        """Whitened kernel values of marked words."""
+        letters, table = self.values()
+        return letters.sums(words, table) @ self.whiten
 
     def margins(self, words: list[str]) -> np.ndarray:
-        out = np.full(len(words), self.bias)
-        rows, at = self.kernel([letters_of(w) for w in words])
-        out[at] += rows @ self.whiten @ self.weights
+        """Of words without marks; the worst window of longer ones."""
+        out = np.full(len(words), self.bias if not self.landmarks else -np.inf)
+        if not self.landmarks or not words:
+            return out
+
+        def make() -> tuple[Letters, np.ndarray]:
+            letters, table = self.values()
+            return letters, table @ (self.whiten @ self.weights)[:, None]
+
+        letters, table = held(f"toxicity {self.key}", make)
+        parts = [windows(marked(w)) for w in words]
+        found = letters.sums([p for own in parts for p in own], table)[:, 0] + self.bias
+        np.maximum.at(out, np.repeat(np.arange(len(words)), list(map(len, parts))), found)
         return out
 
-    def probability(self, margin: np.ndarray) -> np.ndarray:
-        return 1 / (1 + np.exp(-np.clip(self.slope * margin + self.offset, -30, 30)))
+    def logits(self, evidence: np.ndarray, n_words: np.ndarray) -> np.ndarray:
+        a, b, c = self.logistic
+        return a * np.log1p(evidence) + b * np.log1p(100 * evidence / np.maximum(n_words, 1)) + c
+
+
+def probability(logits: np.ndarray) -> np.ndarray:
+    return np.exp(-np.logaddexp(0, -logits))
 
 
-def margins_of_texts(model: Model, texts: list[str]) -> np.ndarray:
-    """The worst word's margin of each text; the bias for texts without words."""
-    known: dict[str, float] = held(f"margins {model.key}", dict)
-    parts = [words_of(t) for t in texts]
-    all_ = set().union(*parts)
-    new = list(all_.difference(known))
-    if len(known) + len(new) > CACHE:
-        known.clear()
-        new = list(all_)
-    for a in range(0, len(new), 20_000):
-        known.update(zip(new[a : a + 20_000], model.margins(new[a : a + 20_000]).tolist(), strict=True))
-    get = known.__getitem__
-    return np.array([max(map(get, p), default=model.bias) for p in parts])
+def evidence_of_texts(model: Model, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Each text's sum of margins above zero over all its words, and its number of words."""
+    parts = [units(t.lower()) for t in texts]
+    place: dict[str, int] = {}
+    at = np.fromiter((place.setdefault(w, len(place)) for p in parts for w in p), np.int64)
+    worth = np.maximum(0, model.margins(list(place)))
+    sizes = np.fromiter(map(len, parts), np.int64, len(parts))
+    return np.bincount(np.repeat(np.arange(len(parts)), sizes), worth[at], len(parts)), sizes
+
+
+def scores_of_texts(model: Model, texts: list[str]) -> np.ndarray:
+    return probability(model.logits(*evidence_of_texts(model, texts)))
 
 
 def in_training(id_col: str = "doc_id") -> F.Column:
@@ -138,30 +193,19 @@ def in_training(id_col: str = "doc_id") -> F.Column:
     return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(4)) != 2
 
 
-def _platt(margin: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[float, float]:
-    """Slope and offset by Newton steps, slightly regularised so that separable margins stay finite."""
-    p = np.zeros(2)
-    x = np.stack((margin, np.ones_like(margin)), 1)
-    for _ in range(60):
+def _logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> np.ndarray:
+    """Coefficients and offset by Newton steps, slightly regularised so that separable classes stay finite."""
+    x = np.concatenate((x, np.ones((len(x), 1))), 1)
+    p = np.zeros(x.shape[1])
+    for _ in range(100):
         q = 1 / (1 + np.exp(-np.clip(x @ p, -30, 30)))
-        grad = x.T @ (weight * (q - y)) + 1e-4 * p
-        hess = (x * (weight * q * (1 - q))[:, None]).T @ x + 1e-4 * np.eye(2)
+        grad = x.T @ (weight * (q - y)) + 1e-3 * p
+        hess = (x * (weight * q * (1 - q))[:, None]).T @ x + 1e-3 * np.eye(len(p))
         step = np.linalg.solve(hess, grad)
         p = p - step / max(1, np.abs(step).max() / 2)
         if np.abs(step).max() < 1e-8:
             break
-    return float(p[0]), float(p[1])
-
-
-def _variants(word: str) -> list[str]:
-    """Forms of a marked toxic word: an inner letter doubled, left out, or followed by one that it lacks."""
-    spare = next(c for c in "xzqjkwvy" if c not in word)
-    out = []
-    for i in range(2, len(word) - 1):
-        out += [word[:i] + spare + word[i:], word[:i] + word[i - 1] + word[i:]]
-        if len(word) > 7 and i < len(word) - 2:
-            out.append(word[:i] + word[i + 1 :])
-    return out
+    return p
 
 
 def _svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, reg: float = 1e-5, steps: int = 3000) -> tuple[np.ndarray, float]:
@@ -177,12 +221,23 @@ def _svm(x: np.ndarray, y: np.ndarray, weight: np.ndarray, reg: float = 1e-5, st
     return w[:-1], float(w[-1])
 
 
+def _variants(word: str) -> list[str]:
+    """Forms of a marked toxic word: an inner letter doubled, left out, or followed by one that it lacks."""
+    spare = [c for c in "xzqjkwvyneao" if c not in word][:3]
+    out = []
+    for i in range(2, len(word) - 1):
+        out += [word[:i] + c + word[i:] for c in spare] + [word[:i] + word[i - 1] + word[i:]]
+        if len(word) > 7 and i < len(word) - 2:
+            out.append(word[:i] + word[i + 1 :])
+    return out
+
+
 def _counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """Distinct words of each sampled document, and their beginnings."""
     for frame in batches:
         rows = []
         for text, y in zip(frame["text"], frame["toxic"], strict=True):
-            words = {w for w in map(letters_of, words_of(text)) if 4 < len(w) <= WIDTH}
+            words = {w for w in map(marked, units(text.lower())) if 4 < len(w) <= WIDTH}
             rows += [(w, int(y)) for w in words.union(w[:k] for w in words for k in range(5, min(9, len(w) - 1)))]
         yield pd.DataFrame(rows, columns=["word", "toxic"])
 
@@ -193,7 +248,7 @@ def _cover(found: pd.DataFrame, rows: DataFrame, size: dict[int, int]) -> list[s
 
     def has(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            words = [{w for w in map(letters_of, words_of(t)) if len(w) <= WIDTH} for t in frame["text"]]
+            words = [{w for w in map(marked, units(t.lower())) if len(w) <= WIDTH} for t in frame["text"]]
             yield pd.DataFrame({"at": [sorted({place[x] for w in own for x in (w, *(w[:k] for k in range(5, min(9, len(w) - 1)))) if x in place}) for own in words]})
 
     # A row for each sampled toxic document, each with at most len(found) numbers.
@@ -219,7 +274,32 @@ def _cover(found: pd.DataFrame, rows: DataFrame, size: dict[int, int]) -> list[s
     return chosen
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> Model:
+def _witnesses(rows: DataFrame, model: Model, first: bool) -> pd.DataFrame:
+    """(word, toxic, n): the words that stand for sentences, with the label the model gives these. Its first weights are similarity."""
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            found: Counter[tuple[str, bool]] = Counter()
+            for text, y in zip(frame["text"], frame["toxic"], strict=True):
+                parts = sentences(text)
+                words = sorted({w for s in parts for w in s})
+                if first:
+                    letters, table = model.values()
+                    value = dict(zip(words, letters.sums([marked(w)[:WIDTH] for w in words], table).max(1, initial=0), strict=True))
+                else:
+                    value = dict(zip(words, model.margins(words), strict=True))
+                best = [max(s, key=lambda w: (value[w], w)) for s in parts]
+                worst = max(map(value.__getitem__, best), default=0)
+                for w in best:  # a toxic document has a toxic sentence, unless none is near
+                    bad = bool(y) and (value[w] > (0.55 if first else 0) or value[w] == worst and worst > (0.4 if first else -0.5))
+                    found[max(windows(marked(w)), key=len), bad] += 1
+            yield pd.DataFrame([(w, bad, n) for (w, bad), n in found.items()], columns=["word", "toxic", "n"])
+
+    # At most as many rows as the sampled documents have words.
+    return rows.mapInPandas(run, "word string, toxic boolean, n long").groupBy("word", "toxic").agg(F.sum("n").alias("n")).toPandas().sort_values(["word", "toxic"])
+
+
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text", rounds: int = ROUNDS) -> Model:
     """A model from at most `sample` labelled training documents of each class, chosen by a hash of their ids.
 
     Only training rows (see in_training) are ever looked at. Null labels and null texts are left out. Without toxic
@@ -233,70 +313,60 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str =
     chosen = first(0).unionByName(first(1)).dropDuplicates(["doc_id"])  # at most twice the sample, so small enough to send everywhere
     rows = cut(docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).where("text is not null").join(F.broadcast(chosen), "doc_id").select("text", "toxic"))
     prior = shares.get(1, 0) / max(1, sum(shares.values()))
-    constant = Model([], np.zeros((0, 0)), np.zeros(0), -1.0, 0.0, float(np.log((prior + 1e-3) / (1 - prior + 1e-3))))
+    constant = Model([], np.zeros((0, 0)), np.zeros(0), -1.0, (0.0, 0.0, float(np.log((prior + 1e-3) / (1 - prior + 1e-3)))))
     size = {r["toxic"]: r["n"] for r in rows.groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     if not size.get(0) or not size.get(1):
         return constant
-    counts = cut(rows.mapInPandas(_counted, "word string, toxic int").groupBy("word").agg(F.sum("toxic").alias("p"), F.sum(1 - F.col("toxic")).alias("n")))
+    counts = rows.mapInPandas(_counted, "word string, toxic int").groupBy("word").agg(F.sum("toxic").alias("p"), F.sum(1 - F.col("toxic")).alias("n"))
     ratio = F.log((F.col("p") + 0.5) / (size[1] + 1.0)) - F.log((F.col("n") + 0.5) / (size[0] + 1.0))
     sure = ratio - 2 * F.sqrt(1 / (F.col("p") + 0.5) + 1 / (F.col("n") + 0.5))
-    scored = counts.withColumn("worth", ratio * F.sqrt("p")).where((F.col("p") >= max(3, size[1] // 100)) & (sure > 1.2))
+    scored = counts.withColumn("worth", ratio * F.sqrt("p")).where((F.col("p") >= max(3, size[1] // 100)) & (sure > 1.0))
     found = scored.orderBy(F.col("worth").desc(), F.length("word").desc(), "word").limit(40 * LANDMARKS).toPandas()
     toxic = _cover(found, rows, size)
     if not toxic:
         return constant
-    model = Model(toxic, np.eye(len(toxic)), np.zeros(len(toxic)), 0.0, 1.0, 0.0)
-    marks, _ = _codes(toxic)
-    n = len(toxic)
+    marks, n = _codes(toxic), len(toxic)
     between = subsequence_kernel(np.repeat(marks, n, 0), np.tile(marks, (n, 1))).reshape(n, n)
     scale = np.sqrt(np.diag(between))
     values, vectors = np.linalg.eigh(between / np.outer(scale, scale))
-    model.whiten = vectors @ np.diag(1 / np.sqrt(np.maximum(values, 1e-2))) @ vectors.T
-
-    def alike(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            rows, at = model.kernel(frame["word"].tolist())
-            yield frame.iloc[at[rows.max(1, initial=0) > 0.25]]
-
-    # Words unlike all landmarks are near the origin, which is clean.
-    near = counts.where(F.col("word").endswith("$")).mapInPandas(alike, "word string, p long, n long")
-    near = near.orderBy((F.col("p") + F.col("n")).desc(), "word").limit(WORDS).toPandas().sort_values("word")
+    model = Model(toxic, vectors @ np.diag(1 / np.sqrt(np.maximum(values, 1e-2))) @ vectors.T, np.zeros(n), 0.0, (0.0, 0.0, 0.0))
     whole = [w for w in toxic if w.endswith("$") and len(w) > 6]
-    forms = sorted({v for w in whole for v in _variants(w)}.difference(near["word"]))
-    # A word of a toxic document may well be clean: it counts as toxic where toxic documents have it four times as often.
-    p_, n_ = near["p"].to_numpy(float), near["n"].to_numpy(float)
-    bad = (p_ + 0.5) / (size[1] + 1) > 4 * (n_ + 0.5) / (size[0] + 1)
-    heavy = np.where(bad, p_ / max(1.0, p_[bad].sum()), 3 * (n_ + 0.5) / max(1.0, (n_[~bad] + 0.5).sum()))
-    words = [*near["word"], *forms, *toxic, ""]
-    y = np.array([*np.where(bad, 1.0, -1.0), *[1.0] * (len(forms) + n), -1.0])
-    weight = np.concatenate((heavy, np.full(len(forms), 0.3 / max(1, len(forms))), np.full(n, 0.3 / n), [1.0]))
-    full, at = model.kernel(words)
-    x = np.zeros((len(words), n))
-    x[at] = full @ model.whiten
-    weights, bias = _svm(x, y, weight)
-    model = Model(toxic, model.whiten, weights, bias, 1.0, 0.0)
+    for k in range(rounds):
+        seen = _witnesses(rows, model, first=k == 0)
+        bad = seen["toxic"].to_numpy(bool)
+        if not bad.any():
+            return constant
+        forms = sorted({v for w in whole for v in _variants(w)}.difference(seen["word"]))
+        many = seen["n"].to_numpy(float)
+        weight = np.concatenate((np.where(bad, many / many[bad].sum(), 3 * many / max(1.0, many[~bad].sum())), np.full(len(forms), 0.3 / max(1, len(forms)))))
+        y = np.concatenate((np.where(bad, 1.0, -1.0), np.ones(len(forms))))
+        model = Model(toxic, model.whiten, *_svm(model.features([*seen["word"], *forms]), y, weight), (0.0, 0.0, 0.0))
 
     def judged(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            yield pd.DataFrame({"margin": margins_of_texts(model, frame["text"].tolist()), "toxic": frame["toxic"]})
+            for a in range(0, len(frame), 256):
+                part = frame.iloc[a : a + 256]
+                evidence, n_words = evidence_of_texts(model, part["text"].tolist())
+                yield pd.DataFrame({"evidence": evidence, "words": n_words, "toxic": part["toxic"]})
 
-    found = rows.mapInPandas(judged, "margin double, toxic int").toPandas()  # at most two numbers for each sampled document
-    of = found["toxic"].to_numpy(float)
-    weight = np.where(of == 1, prior / size[1], (1 - prior) / size[0])
-    # Cut off, so that a few extreme words don't set the slope.
-    slope, offset = _platt(np.clip(found["margin"].to_numpy(float), -2, 2), of, weight * len(of))
-    return Model(toxic, model.whiten, weights, bias, max(slope, 1e-3), offset)
+    found = rows.mapInPandas(judged, "evidence double, words long, toxic int").toPandas()  # three numbers for each sampled document
+    of, e, many = (found[c].to_numpy(float) for c in ("toxic", "evidence", "words"))
+    weight = np.where(of == 1, prior / size[1], (1 - prior) / size[0]) * len(of)
+    a, b, c = _logistic(np.stack((np.log1p(e), np.log1p(100 * e / np.maximum(many, 1))), 1), of, weight).tolist()
+    return Model(toxic, model.whiten, model.weights, model.bias, (max(a, 0.0), max(b, 0.0), c))
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
-    """(doc_id, held_out, score, predicted), one row for each row of docs, map-only; null counts as the empty text."""
+    """(doc_id, held_out, score, predicted), one row for each row of docs, map-only.
+
+    Null counts as the empty text. Null and repeated ids keep a row each; a null id is not held out. No other column is read.
+    """
     ensure_importable(docs.sparkSession)
     kind = docs.schema[id_col].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for keys, texts in blocks(batches, BLOCK_CHARS):
-            p = model.probability(np.clip(margins_of_texts(model, texts), -2, 2))
-            yield pa.RecordBatch.from_arrays([keys, pa.array(p, pa.float64())], names=["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([keys, pa.array(scores_of_texts(model, texts), pa.float64())], names=["doc_id", "score"])
 
     scored = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, score double")
     return scored.select("doc_id", F.coalesce(~in_training(), F.lit(False)).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
@@ -309,7 +379,8 @@ def keep_clean(docs: DataFrame, model: Model, text_col: str = "text", threshold:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = batch.schema.get_field_index(text_col)
-            p = np.concatenate([model.probability(np.clip(margins_of_texts(model, texts), -2, 2)) for _, texts in blocks(iter([pa.RecordBatch.from_arrays([batch.column(at), batch.column(at)], names=["a", "b"])]), BLOCK_CHARS)] or [np.zeros(0)])
+            own = pa.RecordBatch.from_arrays([batch.column(at), batch.column(at)], names=["a", "b"])
+            p = np.concatenate([scores_of_texts(model, texts) for _, texts in blocks(iter([own]), BLOCK_CHARS)] or [np.zeros(0)])
             yield batch.filter(pa.array(p < threshold))
         trim()
 
