@@ -42,10 +42,25 @@ def remove(spark: SparkSession, folder: str) -> None:
     path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def cut(df: DataFrame) -> DataFrame:
-    """Store a narrow result in the shared folder and cut its lineage, so that a lost executor costs one read."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+_BATCH = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
+def cut(df: DataFrame, batch: int | None = None) -> DataFrame:
+    """Store a narrow result in the shared folder and cut its lineage, so that a lost executor costs one read.
+
+    batch, where given, is the number of rows that cross to Python at once while this result is made: fewer where rows
+    are whole texts. The session's own number is put back.
+    """
+    spark = df.sparkSession
+    shared_dir(spark)
+    if batch is None:
+        return df.checkpoint(eager=True)
+    before = spark.conf.get(_BATCH)
+    spark.conf.set(_BATCH, str(min(batch, int(before))))
+    try:
+        return df.checkpoint(eager=True)
+    finally:
+        spark.conf.set(_BATCH, before)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
