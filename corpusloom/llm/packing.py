@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusloom.llm import vocab
-from corpusloom.llm.worker import trim
+from corpusloom.llm.worker import TEXTS, trim
 from corpusloom.runtime import cut, ensure_importable
 
 CAPACITY = 4096
@@ -99,7 +99,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, part_pieces: int = PART_PI
     """
     spark = pieces.sparkSession
     ensure_importable(spark)
-    pieces = cut(pieces)
+    pieces = cut(pieces, TEXTS)
     columns = ["doc_id", "piece", "start", "length", "ids_crc32"]
     whole = pieces.where(F.col("length") == capacity)
     done = [whole.select(*columns, F.monotonically_increasing_id().alias("sequence_id"), F.lit(0).cast("long").alias("offset"))]

@@ -35,7 +35,7 @@ from corpusloom.runtime import cut, ensure_importable
 #: Labelled documents of each class that a model is fitted on, at most; landmarks; rounds of labelling sentences.
 SAMPLE, LANDMARKS, ROUNDS = 2500, 32, 3
 DECAY, WIDTH, THRESHOLD = 0.4, 18, 0.3
-BLOCK_CHARS = 1_000_000
+BLOCK_CHARS = 300_000
 _SIGNS = re.compile(r"[\W_]+")
 _SENTENCE = re.compile(r"\n+|(?<=[.!?])\s+")
 
@@ -235,11 +235,12 @@ def _variants(word: str) -> list[str]:
 def _counted(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     """Distinct words of each sampled document, and their beginnings."""
     for frame in batches:
-        rows = []
-        for text, y in zip(frame["text"], frame["toxic"], strict=True):
-            words = {w for w in map(marked, units(text.lower())) if 4 < len(w) <= WIDTH}
-            rows += [(w, int(y)) for w in words.union(w[:k] for w in words for k in range(5, min(9, len(w) - 1)))]
-        yield pd.DataFrame(rows, columns=["word", "toxic"])
+        for a in range(0, len(frame), 64):  # bounds memory
+            rows = []
+            for text, y in frame.iloc[a : a + 64][["text", "toxic"]].itertuples(index=False):
+                words = {w for w in map(marked, units(text.lower())) if 4 < len(w) <= WIDTH}
+                rows += [(w, int(y)) for w in words.union(w[:k] for w in words for k in range(5, min(9, len(w) - 1)))]
+            yield pd.DataFrame(rows, columns=["word", "toxic"])
 
 
 def _cover(found: pd.DataFrame, rows: DataFrame, size: dict[int, int]) -> list[str]:
@@ -378,10 +379,11 @@ def keep_clean(docs: DataFrame, model: Model, text_col: str = "text", threshold:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            at = batch.schema.get_field_index(text_col)
+            at, done = batch.schema.get_field_index(text_col), 0
             own = pa.RecordBatch.from_arrays([batch.column(at), batch.column(at)], names=["a", "b"])
-            p = np.concatenate([scores_of_texts(model, texts) for _, texts in blocks(iter([own]), BLOCK_CHARS)] or [np.zeros(0)])
-            yield batch.filter(pa.array(p < threshold))
+            for _, texts in blocks(iter([own]), BLOCK_CHARS):
+                yield batch.slice(done, len(texts)).filter(pa.array(scores_of_texts(model, texts) < threshold))
+                done += len(texts)
         trim()
 
     return docs.mapInArrow(run, docs.schema)

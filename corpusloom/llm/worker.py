@@ -10,6 +10,8 @@ from typing import Any
 import pyarrow as pa
 
 _HELD: dict[str, Any] = {}
+#: Rows of whole texts that cross to Python at once where a result is stored, which bounds buffers on both sides.
+TEXTS = 1_000
 
 
 def trim() -> None:
