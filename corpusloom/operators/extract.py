@@ -8,6 +8,7 @@ from html.parser import HTMLParser
 from urllib.parse import urljoin
 
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -143,6 +144,20 @@ def interleaved(pages: DataFrame, id_col: str = "page_id", math: bool = True, im
     return pages.select(id_col, "url", "html").mapInPandas(run, f"{id_col} {kind}, url string, segments {SEGMENTS}")
 
 
+def with_text(pages: DataFrame, html: str = "html") -> DataFrame:
+    """pages with text in place of html, by the same walk without formulas and images; all other columns stay, map-only."""
+    ensure_importable(pages.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = batch.schema.get_field_index(html)
+            texts = ["\n".join(t for k, t, _ in walk(h.as_py(), math=False, images=False) if k == "text") for h in batch.column(at)]
+            yield pa.RecordBatch.from_arrays([*(c for k, c in enumerate(batch.columns) if k != at), pa.array(texts, pa.string())], names=[*(n for n in batch.schema.names if n != html), "text"])
+
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in pages.schema if f.name != html)
+    return pages.mapInArrow(run, f"{fields}, text string")
+
+
 def plain_text(pages: DataFrame, id_col: str = "page_id", min_chars: int = 0, headings: bool = True) -> DataFrame:
     """(page_id, url, text): the same walk without formulas and images; shorter texts go."""
     text = F.array_join(F.transform(F.filter("segments", lambda s: s["kind"] == "text"), lambda s: s["text"]), "\n")

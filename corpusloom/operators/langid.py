@@ -2,9 +2,13 @@
 
 from __future__ import annotations
 
+from uuid import uuid4
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from corpusloom.runtime import remove, shared_dir
+
 
 def declared(pages: DataFrame) -> DataFrame:
     """(page_id, lang): of the html element, else the URL's first path segment of two letters, else null."""
@@ -24,12 +28,18 @@ def keep(docs: DataFrame, languages: tuple[str, ...] = ("en", "zh"), col: str =
 
 def train_subword(df: DataFrame, n: int = 3, buckets: int = 1 << 14, iterations: int = 20):
     """A fitted pipeline on rows (text, lang): hashed character n-grams of whole texts, multinomial logistic regression."""
-    from pyspark.ml import Pipeline
+    from pyspark.ml import Pipeline, PipelineModel
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import HashingTF, NGram, SQLTransformer, StringIndexer
 
     chars = SQLTransformer(statement="SELECT *, split(lower(text), '') AS chars FROM __THIS__")
-    return Pipeline(stages=[StringIndexer(inputCol="lang", outputCol="y", stringOrderType="alphabetAsc"), chars, NGram(n=n, inputCol="chars", outputCol="grams"), HashingTF(inputCol="grams", outputCol="features", numFeatures=buckets), LogisticRegression(labelCol="y", maxIter=iterations, regParam=1e-3)]).fit(df)
+    fitted = Pipeline(stages=[StringIndexer(inputCol="lang", outputCol="y", stringOrderType="alphabetAsc"), chars, NGram(n=n, inputCol="chars", outputCol="grams"), HashingTF(inputCol="grams", outputCol="features", numFeatures=buckets), LogisticRegression(labelCol="y", maxIter=iterations, regParam=1e-3)]).fit(df)
+    # A fitted model holds on to its training data and so to the session; what is read back doesn't.
+    folder = f"{shared_dir(df.sparkSession)}/model-{uuid4().hex}"
+    fitted.save(folder)
+    read = PipelineModel.load(folder)
+    remove(df.sparkSession, folder)
+    return read
 
 
 def predict(df: DataFrame, model, keep: list[str]) -> DataFrame:

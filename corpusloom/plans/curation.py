@@ -264,8 +264,13 @@ def m27_steps(spark, sf):
 
 @query("w07_normaliser_ablation")
 def w07(spark, sf):
-    """Recall on an all-positive benchmark of a classifier trained on labelled documents, with and without the normaliser."""
-    d, b = cut(_split(spark, sf).select("doc_id", "text", "y", "split")), table(spark, sf, "benchmark")
+    """Recall on an all-positive benchmark of a classifier trained on labelled documents, with and without the normaliser.
+
+    The items are printed as exercises are: in capitals, each word numbered. Only the normaliser sees the same words in them.
+    """
+    d = cut(_split(spark, sf).select("doc_id", "text", "y", "split"))
+    shown = F.array_join(F.transform(F.split("text", " "), lambda w, k: F.concat_ws(" ", F.concat((k + 1).cast("string"), F.lit(".")), F.upper(w))), " ")
+    b = table(spark, sf, "benchmark").select("item_id", shown.alias("text"))
     out = []
     for name, steps in (("raw", ()), ("normalised", normalise.STEPS)):
         t = normalise.tokens(F.col("text"), steps)

@@ -58,6 +58,8 @@ def _scope_sql(scope: str) -> str:
         scoped, key = "scoped AS (SELECT *, snapshot_id AS scope FROM bands)", "scope, band, key"
     elif scope == "neighbor":
         scoped, key = "scoped AS (SELECT *, unnest([snapshot_id - 1, snapshot_id]) AS scope FROM bands)", "scope, band, key"
+    elif scope == "disjoint":
+        scoped, key = "scoped AS (SELECT *, snapshot_id // 2 AS scope FROM bands)", "scope, band, key"
     else:
         scoped, key = "scoped AS (SELECT *, 0 AS scope FROM bands)", "scope, band, key"
     extra = ", snapshot_id, snapshot_date"
@@ -79,7 +81,7 @@ for _name, _scope in (("m09_minhash_within_snapshot", "snapshot"), ("m10_minhash
     query(_name, _scope_sql(_scope))(_scoped(_scope))
 
 
-@query("m10_minhash_neighbor_disjoint")
+@query("m10_minhash_neighbor_disjoint", _scope_sql("disjoint"))
 def m10_disjoint(spark, sf):
     return dedup.content(doc_crawl(spark, sf), "neighbor", pairing="disjoint", **OPTIONS)
 
@@ -142,7 +144,14 @@ def m14b(spark, sf):
     return dedup.bucket_representative(dedup.bands(_sigs(spark, sf), B, R))
 
 
-@query("m15_survivor_rules")
+_BEST = {"latest": "snapshot_date DESC, rec_id", "earliest": "snapshot_date, rec_id", "longest": "length(text) DESC, rec_id"}
+
+
+@query(
+    "m15_survivor_rules",
+    _TWO + f", {_step_sql('3', 'doc_crawl', '0')}, named AS (SELECT d.*, coalesce(component, rec_id) AS component FROM doc_crawl d LEFT JOIN comp3 ON node = rec_id) "
+    + " UNION ALL ".join(f"SELECT '{rule}' AS rule, count(*) AS kept, CAST(sum(rec_id) AS BIGINT) AS sum_rec_id FROM (SELECT rec_id FROM named QUALIFY row_number() OVER (PARTITION BY component ORDER BY {order}) = 1)" for rule, order in _BEST.items()),
+)
 def m15(spark, sf):
     docs = cut(doc_crawl(spark, sf).select("rec_id", "text", "snapshot_id", "snapshot_date"))
     return dedup.union_all([dedup.content(docs, "global", keep=k, **OPTIONS).where("kept").agg(F.lit(k).alias("rule"), F.count("*").alias("kept"), F.sum("rec_id").alias("sum_rec_id")) for k in dedup.PREFER])
@@ -187,7 +196,27 @@ def m17c(spark, sf):
     return dedup.union_all([dedup.url(crawl(spark, sf), scope=s).agg(F.lit(s).alias("scope"), F.count("*").alias("kept")) for s in ("snapshot", "year", "global")])
 
 
-@query("e13_dedup_quality")
+_TRUTH = """k AS (SELECT doc_id, list_sort(g) AS g, min(doc_id) OVER (PARTITION BY list_sort(g)) AS rep FROM s),
+        e AS (SELECT doc_id, unnest(g) AS x FROM k WHERE doc_id = rep), met AS (SELECT a.doc_id AS src, c.doc_id AS dst, count(*) AS n FROM e a JOIN e c ON a.x = c.x AND a.doc_id < c.doc_id GROUP BY 1, 2),
+        truth AS (SELECT src, dst, round(n / (len(x.g) + len(y.g) - n), 6) AS similarity FROM met JOIN s x ON x.doc_id = src JOIN s y ON y.doc_id = dst WHERE n / (len(x.g) + len(y.g) - n) >= 0.75
+        UNION ALL SELECT rep, doc_id, 1.0 FROM k WHERE doc_id <> rep)"""
+
+
+@query(
+    "b12_exact_pairs",
+    f"""WITH {dedup.signature_sql('documents', 'doc_id', 1)}, {_TRUTH} SELECT src, dst, similarity FROM truth""",
+)
+def b12(spark, sf):
+    """Pairs of different shingle sets at 0.75 or more, and each copy beside its set's least document."""
+    return dedup.exact_pairs(table(spark, sf, "documents")).withColumn("similarity", F.round("similarity", 6))
+
+
+@query(
+    "e13_dedup_quality",
+    f"""WITH RECURSIVE {DOCS}, {EDGES}, {JACCARD}, {_TRUTH}, good AS (SELECT src, dst FROM pairs WHERE similarity >= 0.75), {dedup.closure_sql('truth', '1')}, {dedup.closure_sql('good', '2')}
+        SELECT count(t.node) AS docs_linked_by_truth, count(g.node) AS docs_linked_by_bands, CAST(sum(CAST(t.component = g.component AS BIGINT)) AS BIGINT) AS docs_in_same_component, (SELECT count(*) FROM truth) AS true_pairs, (SELECT count(*) FROM edges) AS candidate_pairs
+        FROM comp1 t FULL JOIN comp2 g ON t.node = g.node""",
+)
 def e13(spark, sf):
     """Pairs of the bands against all pairs, by components: what bands miss and what they add."""
     docs = table(spark, sf, "documents")
@@ -199,15 +228,3 @@ def e13(spark, sf):
     return joined.agg(
         F.count("t").alias("docs_linked_by_truth"), F.count("g").alias("docs_linked_by_bands"), F.sum((F.col("t") == F.col("g")).cast("long")).alias("docs_in_same_component"),
     ).crossJoin(truth.agg(F.count("*").alias("true_pairs"))).crossJoin(found.agg(F.count("*").alias("candidate_pairs")))
-
-
-@query(
-    "b12_exact_pairs",
-    f"""WITH {dedup.signature_sql('documents', 'doc_id', 1)}, k AS (SELECT doc_id, list_sort(g) AS g, min(doc_id) OVER (PARTITION BY list_sort(g)) AS rep FROM s),
-        e AS (SELECT doc_id, unnest(g) AS x FROM k WHERE doc_id = rep), b AS (SELECT a.doc_id AS src, c.doc_id AS dst, count(*) AS n FROM e a JOIN e c ON a.x = c.x AND a.doc_id < c.doc_id GROUP BY 1, 2)
-        SELECT src, dst, round(n / (len(x.g) + len(y.g) - n), 6) AS similarity FROM b JOIN s x ON x.doc_id = src JOIN s y ON y.doc_id = dst WHERE n / (len(x.g) + len(y.g) - n) >= 0.75
-        UNION ALL SELECT rep, doc_id, 1.0 FROM k WHERE doc_id <> rep""",
-)
-def b12(spark, sf):
-    """Pairs of different shingle sets at 0.75 or more, and each copy beside its set's least document."""
-    return dedup.exact_pairs(table(spark, sf, "documents")).withColumn("similarity", F.round("similarity", 6))

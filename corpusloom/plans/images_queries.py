@@ -81,12 +81,12 @@ def e11(spark, sf):
     return m.agg(F.count("*").alias("attempted"), n.alias("fetched"), F.round(n / F.count("*"), 6).alias("rate"))
 
 
-@query("m33_fetch_interface")
+@query("m33_fetch_interface", f"WITH {REFS_WEB}, u AS (SELECT image_url, list_sum(list_transform(string_split(image_url, ''), lambda c: ord(c))) AS n FROM (SELECT DISTINCT image_url FROM refs)) SELECT image_url, CASE WHEN n % 5 = 0 THEN 'TimeoutError' WHEN n % 3 = 0 THEN 'failed' ELSE 'ok' END AS status, CASE WHEN n % 5 <> 0 AND n % 3 <> 0 THEN sha256(image_url) END AS sha256 FROM u")
 def m33_fetch(spark, sf):
     """The fetcher's interface with one that makes bytes of the URL, fails for every third and raises for every fifth."""
 
     def fetcher(url):
-        n = sum(url.encode())
+        n = sum(map(ord, url))
         if n % 5 == 0:
             raise TimeoutError
         return url.encode() if n % 3 else None
@@ -138,10 +138,10 @@ def _sizes(spark, sf):
 _SIZES = REFS_WEB + ", i AS (SELECT doc_id, count(*) AS n FROM refs GROUP BY doc_id), w AS (SELECT d.doc_id, len(list_filter(regexp_split_to_array(text, '[ \\t\\r\\n]+'), lambda x: x <> '')) + 64 * coalesce(i.n, 0) AS w FROM documents d LEFT JOIN i ON i.doc_id = d.doc_id)"
 
 
-@query("t04_packing", f"""WITH {_SIZES}, c AS (SELECT *, CAST(sum(w) OVER (PARTITION BY grp ORDER BY doc_id) AS BIGINT) AS e FROM (SELECT *, {H28.format('doc_id::VARCHAR')} % 4 AS grp FROM w) WHERE w > 0)
+@query("t04_packing", f"""WITH {_SIZES}, c AS (SELECT *, CAST(sum(w) OVER (PARTITION BY grp ORDER BY doc_id) AS BIGINT) AS e FROM (SELECT *, {H28.format('doc_id::VARCHAR')} % (SELECT (count(*) + 65535) // 65536 FROM documents) AS grp FROM w) WHERE w > 0)
     SELECT doc_id, CAST(grp AS INTEGER) AS grp, example, greatest(e - w, example * 4096) - (e - w) AS from_token, least(e, (example + 1) * 4096) - greatest(e - w, example * 4096) AS n FROM (SELECT *, unnest(range((e - w) // 4096, (e - 1) // 4096 + 1)) AS example FROM c)""")
 def t04(spark, sf):
-    return training.pack_parallel(_sizes(spark, sf), groups=4)
+    return training.pack_parallel(_sizes(spark, sf))
 
 
 @query("t04_packing_greedy")

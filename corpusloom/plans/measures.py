@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 from corpusloom.operators import dedup, evaluate, extract, rules, textclf
 from corpusloom.operators.dedup import union_all
 from corpusloom.plans import baselines as B
-from corpusloom.plans.curation import _RULES_SQL, _nb, _split
+from corpusloom.plans.curation import _PROMPT_SIZE, _RULES_SQL, _nb, _split
+from corpusloom.plans.dedup_queries import _step_sql
 from corpusloom.plans.registry import query
 from corpusloom.runtime import cut, table
 from corpusloom.sources.views import CRAWL, H28, crawl, hash28
@@ -117,14 +118,38 @@ def b01(spark, sf):
     return count(extract.interleaved(pages), "interleaved").unionByName(count(extract.interleaved(pages, math=False, images=False), "plain"))
 
 
+def _two_filters(spark, sf):
+    """Ids that the high-recall filter keeps of all documents, and those that the one retrained on scores of six and more keeps."""
+    from corpusloom.plans import pipeline
+    from corpusloom.plans.curation import _scores
+
+    cfg, docs = pipeline.Config(), cut(table(spark, sf, "documents").select("doc_id", "text"))
+    labels = table(spark, sf, "labels")
+    good = docs.join(labels.where("quality = 1"), "doc_id", "left_semi").select("text")
+    bad = docs.join(labels.where("quality = 0"), "doc_id", "left_semi").select("text")
+    first = textclf.keep(pipeline.first_filter(docs, good, bad, cfg, "doc_id"), cfg.recall_cut).select("doc_id")
+    second = textclf.keep(pipeline.second_filter(docs, _scores(spark, sf), cfg, "doc_id"), cfg.precision_cut).select("doc_id")
+    return cut(first), cut(second)
+
+
 @query("b03_filter_comparison")
 def b03(spark, sf):
-    """The recall-minded filter against one retrained on scores of nine and more, as two kept sets."""
-    first = textclf.keep(_nb(spark, sf)[0], 0.4).select("doc_id")
-    d = cut(_split(spark, sf))
-    model = textclf.train(d.where("split = 'train'").select("text", "y"))
-    second = textclf.keep(textclf.predict(table(spark, sf, "documents").select("doc_id", "text"), model, ["doc_id"]), 0.5).select("doc_id")
-    return evaluate.compare_filters(first, second)
+    """The recall-minded filter against the one retrained, on normalised texts, on documents scored six and more, as two kept sets."""
+    return evaluate.compare_filters(*_two_filters(spark, sf))
+
+
+@query("b05_filters_against_judge")
+def b05(spark, sf):
+    """Both linear filters against the judge's own decision on the scored documents: what each keeps of either side of its cut."""
+    from corpusloom.plans.curation import _scores
+
+    judged = _scores(spark, sf).select("doc_id", (F.col("score") >= 6).alias("y"))
+    n = lambda c: F.sum(c.cast("long"))
+    rows = []
+    for name, kept in zip(("high_recall", "high_precision"), _two_filters(spark, sf), strict=True):
+        both = judged.join(kept.withColumn("kept", F.lit(True)), "doc_id", "left").select("y", F.coalesce("kept", F.lit(False)).alias("kept"))
+        rows.append(both.agg(F.lit(name).alias("filter"), n(F.col("kept") & F.col("y")).alias("tp"), n(F.col("kept") & ~F.col("y")).alias("fp"), n(~F.col("kept") & F.col("y")).alias("fn"), n(~F.col("kept") & ~F.col("y")).alias("tn")))
+    return union_all(rows)
 
 
 @query("w08_corpus_comparison")
@@ -152,7 +177,7 @@ _FUNNEL = f"""WITH {CRAWL}, s0 AS (SELECT c.rec_id, c.url, c.snapshot_date, c.ye
     s2 AS (SELECT * FROM s1 QUALIFY row_number() OVER (PARTITION BY year, trim(regexp_replace(lower(text), '[^\\p{{L}}\\p{{N}}]+', ' ', 'g')) ORDER BY rec_id DESC) = 1),
     s3 AS (SELECT * FROM s2 QUALIFY row_number() OVER (PARTITION BY year, url ORDER BY snapshot_date DESC, rec_id) = 1),
     s4 AS (SELECT * FROM s3 WHERE NOT ({' OR '.join(_RULES_SQL.values())}))
-    SELECT 0 AS step, 'crawl' AS stage, (SELECT count(*) FROM s0) AS n_out UNION ALL SELECT 1, 'language', (SELECT count(*) FROM s1) UNION ALL SELECT 2, 'content_dedup', (SELECT count(*) FROM s2)
+    SELECT 0 AS step, 'crawl' AS stage, (SELECT count(*) FROM s0) AS n_out UNION ALL SELECT 1, 'language', (SELECT count(*) FROM s1) UNION ALL SELECT 2, 'exact_copies', (SELECT count(*) FROM s2)
     UNION ALL SELECT 3, 'url_dedup', (SELECT count(*) FROM s3) UNION ALL SELECT 4, 'rules', (SELECT count(*) FROM s4)"""
 
 
@@ -170,15 +195,59 @@ def m36(spark, sf):
     s3 = dedup.url(s2)
     s4 = s3.join(flagged.where("kept"), "rec_id", "left_semi")
     count = lambda df, k, name: df.agg(F.lit(k).alias("step"), F.lit(name).alias("stage"), F.count("*").alias("n_out"))
-    return union_all([count(df, k, name) for k, (name, df) in enumerate((("crawl", s0), ("language", s1), ("content_dedup", s2), ("url_dedup", s3), ("rules", s4)))])
+    return union_all([count(df, k, name) for k, (name, df) in enumerate((("crawl", s0), ("language", s1), ("exact_copies", s2), ("url_dedup", s3), ("rules", s4)))])
+
+
+def _path(spark, sf, cfg):
+    from corpusloom.plans.pipeline import curate
+
+    docs, labels = table(spark, sf, "documents"), table(spark, sf, "labels")
+    pool = lambda q: docs.join(labels.where(F.col("quality") == q), "doc_id", "left_semi").select("text")
+    return curate(spark, crawl(spark, sf), pool(1), cfg, pool(0), docs.select("text", "lang"))
 
 
 @query("m36_full_pipeline")
 def m36_full(spark, sf):
-    """All stages on pages: extraction, language, high recall, two-step content dedup, URLs, rules, high precision; see plans/pipeline.py."""
-    from corpusloom.plans.pipeline import curate
+    """All stages on pages: parser, language model, high recall, two-step content dedup, URLs, rules, high precision on normalised texts, images."""
+    from corpusloom.plans.pipeline import Config
+
+    return _path(spark, sf, Config())[1]
+
+
+@query("m36_kept_documents")
+def m36_documents(spark, sf):
+    """The size of what the whole path keeps: documents, tokens, image places."""
+    from corpusloom.plans.pipeline import Config, corpus_stats
+
+    return corpus_stats(_path(spark, sf, Config())[0])
+
+
+_WORDS = r"list_filter(string_split(regexp_replace(lower(text), '[^\p{L}\p{N}]+', ' ', 'g'), ' '), lambda v: v <> '')"
+_EXTRA = ", snapshot_id, snapshot_date"
+_LEDGER = rf"""WITH RECURSIVE {CRAWL},
+    s0 AS (SELECT rec_id, url, snapshot_id, snapshot_date, year, coalesce(nullif(regexp_extract(html, '<html[^>]* lang="([a-zA-Z-]+)"', 1), ''), nullif(regexp_extract(url, '^https?://[^/]+/([a-z][a-z])/', 1), '')) AS lang, {extract.article_text_sql('html')} AS text FROM crawl),
+    s1 AS (SELECT * FROM s0 WHERE lang IN ('en', 'zh')),
+    pool AS (SELECT DISTINCT text, quality AS y FROM documents JOIN labels USING (doc_id)), size AS (SELECT least(count(*) FILTER (y = 1), 500000) AS p, least(count(*) FILTER (y = 0), 500000) AS n FROM pool),
+    tok AS (SELECT y, unnest({_WORDS}) AS token FROM (SELECT CASE WHEN y = 1 THEN text ELSE regexp_replace(text, '!\[[^\]]*\]\([^)]*\)|https?://[^ \n]+\.(?:png|jpe?g|gif|svg|webp)', '', 'g') END AS text, y FROM pool)),
+    cnt AS (SELECT token, sum(CAST(y = 1 AS BIGINT)) AS n1, sum(CAST(y = 0 AS BIGINT)) AS n0 FROM tok GROUP BY token), tot AS (SELECT sum(n1) AS t1, sum(n0) AS t0, count(*) AS v FROM cnt),
+    model AS (SELECT token, ln((n1 + 1) / (t1 + v)) - ln((n0 + 1) / (t0 + v)) AS weight FROM cnt, tot),
+    nb AS (SELECT rec_id, sum(weight) / count(*) AS score FROM (SELECT rec_id, unnest({_WORDS}) AS token FROM s1) JOIN model USING (token) GROUP BY rec_id),
+    s2 AS (SELECT s1.* FROM s1 LEFT JOIN nb USING (rec_id) WHERE 1 / (1 + exp(-4 * coalesce(score, 0))) >= 0.4),
+    {dedup.signature_sql('s2', 'rec_id', 112, extra=_EXTRA)}, {dedup.bands_sql('rec_id', 8, _EXTRA)}, {_step_sql('1', 's2', 'snapshot_id')},
+    left1 AS (SELECT * FROM s2 WHERE rec_id IN (SELECT rec_id FROM kept1 WHERE kept)), {_step_sql('2', 'left1', 'unnest([snapshot_id - 1, snapshot_id])')},
+    s4 AS (SELECT * FROM s2 WHERE rec_id IN (SELECT rec_id FROM kept2 WHERE kept)), s5 AS (SELECT * FROM s4 QUALIFY row_number() OVER (PARTITION BY year, url ORDER BY snapshot_date DESC, rec_id) = 1),
+    s6 AS (SELECT * FROM s5 WHERE NOT ({' OR '.join(_RULES_SQL.values())})),
+    n AS (SELECT (SELECT count(*) FROM s0) AS n0, (SELECT count(*) FROM s1) AS n1, (SELECT count(*) FROM s2) AS n2, (SELECT count(*) FROM left1) AS n3, (SELECT count(*) FROM s4) AS n4, (SELECT count(*) FROM s5) AS n5, (SELECT count(*) FROM s6) AS n6)
+    SELECT 1 AS step, 'language' AS stage, n0 AS n_in, n1 AS n_out FROM n UNION ALL SELECT 2, 'high_recall', n1, n2 FROM n UNION ALL SELECT 3, 'within_snapshot', n2, n3 FROM n UNION ALL SELECT 4, 'neighbor_snapshots', n3, n4 FROM n
+    UNION ALL SELECT 5, 'url_dedup', n4, n5 FROM n UNION ALL SELECT 6, 'rules', n5, n6 FROM n"""
+
+
+@query("m36_ledger_by_counts", _LEDGER)
+def m36_ledger(spark, sf):
+    """The same path with its countable variants: declared language, naive Bayes, the affine hash family, up to the rules."""
+    from corpusloom.plans.pipeline import Config
 
-    return curate(spark, crawl(spark, sf), table(spark, sf, "documents"), table(spark, sf, "labels"))[1]
+    return _path(spark, sf, Config(language="declared", classifier="bayes", family="affine31", training_rows=1 << 40, precise=False))[1]
 
 
 @query("m37_corpus_stats", r"SELECT count(*) AS docs, CAST(sum(len(list_filter(regexp_split_to_array(text, '[ \t\r\n]+'), lambda w: w <> ''))) AS BIGINT) AS tokens, CAST(sum(length(text)) AS BIGINT) AS chars, (SELECT CAST(sum(len(regexp_extract_all(html, '<a href=')))  AS BIGINT) FROM pages) AS image_refs FROM documents")
@@ -198,17 +267,15 @@ def e01_ledger(spark, sf):
 
 @query("e14_engine_cost")
 def e14(spark, sf):
-    """Seconds, rows a second and plan facts of one stage: what the engine costs, beside what it finds."""
-    import time
+    """What stages of the path cost the engine: seconds, rows a second, shuffled and spilled bytes."""
+    from corpusloom.operators import cost, normalise
 
-    docs = table(spark, sf, "documents")
-    begun = time.perf_counter()
-    n = docs.count()
-    df = dedup.exact(docs, dedup.normalised(F.col("text")))
-    df.write.format("noop").mode("overwrite").save()
-    s = time.perf_counter() - begun
-    plan = df._jdf.queryExecution().executedPlan().toString()
-    return spark.createDataFrame([("exact_dedup", n, round(s, 3), round(n / s, 1), plan.count("Exchange hashpartitioning"))], "stage string, rows long, seconds double, rows_per_second double, shuffles int")
+    docs, pages = table(spark, sf, "documents"), table(spark, sf, "pages")
+    stages = {
+        "extraction": (pages, extract.with_text(pages)), "exact_dedup": (docs, dedup.exact(docs, dedup.normalised(F.col("text")))), "signatures": (docs, dedup.signature(docs)), "rules": (docs, rules.apply(docs)),
+        "url_dedup": (pages, dedup.url(crawl(spark, sf))), "normalised": (docs, docs.select("doc_id", normalise.tokens(F.col("text")))),
+    }
+    return spark.createDataFrame([cost.measured(spark, name, source.count(), df) for name, (source, df) in stages.items()], cost.SCHEMA)
 
 
 @query("e10_generate_and_judge", "SELECT count(*) AS items, count(*) FILTER (length(text) % 3 <> 0) AS correct FROM benchmark")
@@ -230,7 +297,7 @@ def m03_filter(spark, sf):
     return langid.filter(docs.where("split = 'test'"), model, ("en",), 0.9).select("doc_id", "predicted", F.round("lang_prob", 4).alias("lang_prob"))
 
 
-@query("m26_judge_filter")
+@query("m26_judge_filter", f"SELECT doc_id FROM documents WHERE least(10, ({_PROMPT_SIZE} + length(text)) // 300) >= 6")
 def m26_judge(spark, sf):
     """The judge as the filter, on a stand-in that likes long texts."""
     from corpusloom.operators import scoring
