@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from corpusloom.llm import vocab
-from corpusloom.llm.worker import TEXTS, trim
+from corpusloom.llm.worker import trim
 from corpusloom.runtime import cut, ensure_importable
 
 CAPACITY = 4096
@@ -91,15 +91,15 @@ def _packer(capacity: int, last: bool):
     return run
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, part_pieces: int = PART_PIECES) -> tuple[DataFrame, DataFrame]:
+def pack(pieces: DataFrame, capacity: int = CAPACITY, part_pieces: int = PART_PIECES, batch: int | None = None) -> tuple[DataFrame, DataFrame]:
     """Placements (doc_id, piece, start, length, ids_crc32, sequence_id, offset), and certificates (round, part, bins, bound).
 
     pieces: (doc_id, piece, start, length, ids_crc32), lengths from 1 to capacity. Every row gets a place. Rounds go on until
-    one partition is left, or until a round closes no sequence.
+    one partition is left, or until a round closes no sequence. batch: rows of the pieces' source that cross to Python at once.
     """
     spark = pieces.sparkSession
     ensure_importable(spark)
-    pieces = cut(pieces, TEXTS)
+    pieces = cut(pieces, batch)
     columns = ["doc_id", "piece", "start", "length", "ids_crc32"]
     whole = pieces.where(F.col("length") == capacity)
     done = [whole.select(*columns, F.monotonically_increasing_id().alias("sequence_id"), F.lit(0).cast("long").alias("offset"))]
