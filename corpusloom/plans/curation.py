@@ -216,10 +216,10 @@ def m24(spark, sf):
     return sampling.from_scores(_scores(spark, sf))
 
 
-@query("m24_training_set", f"WITH p AS (SELECT doc_id FROM ({_SCORE_SQL}) WHERE score >= 9 ORDER BY md5(doc_id::VARCHAR), doc_id LIMIT 100), n AS (SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM p) ORDER BY md5(doc_id::VARCHAR), doc_id LIMIT 100) SELECT doc_id, 1 AS y FROM p UNION ALL SELECT doc_id, 0 FROM n")
+@query("m24_training_set", f"WITH p AS (SELECT doc_id FROM ({_SCORE_SQL}) WHERE score >= 6 ORDER BY md5(doc_id::VARCHAR), doc_id LIMIT 100), n AS (SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM p) ORDER BY md5(doc_id::VARCHAR), doc_id LIMIT 100) SELECT doc_id, 1 AS y FROM p UNION ALL SELECT doc_id, 0 FROM n")
 def m24_set(spark, sf):
     """Positives by score; negatives from the general pool without the positives."""
-    p = cut(sampling.exact_k(sampling.from_scores(_scores(spark, sf), 9).select("doc_id"), 100, "doc_id"))
+    p = cut(sampling.exact_k(sampling.from_scores(_scores(spark, sf), 6).select("doc_id"), 100, "doc_id"))
     n = sampling.exact_k(table(spark, sf, "documents").select("doc_id").join(p, "doc_id", "left_anti"), 100, "doc_id")
     return p.withColumn("y", F.lit(1)).unionByName(n.withColumn("y", F.lit(0)))
 

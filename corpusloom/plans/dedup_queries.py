@@ -42,6 +42,37 @@ def m07_union(spark, sf):
     return dedup.merge_signatures(sigs, "lang", H).select("lang", F.array_join(F.transform("sig", lambda x: x.cast("string")), ",").alias("sig"))
 
 
+@query(
+    "m07b_char_shingles",
+    r"SELECT doc_id, len(list_distinct(list_transform(range(1, greatest(length(t) - 4, 1) + 1), lambda i: t[i : i + 4]))) AS shingles FROM (SELECT doc_id, regexp_replace(lower(text), '[^\p{L}\p{N}]+', '', 'g') AS t FROM documents) WHERE t <> ''",
+)
+def m07b_chars(spark, sf):
+    """Shingles of characters, for texts written without spaces."""
+    n = F.size(dedup.shingles(F.col("text"), 5, "char"))
+    return table(spark, sf, "documents").select("doc_id", n.cast("long").alias("shingles")).where("shingles > 0")
+
+
+@query("m07b_signature_auto")
+def m07b_auto(spark, sf):
+    """Signatures whose unit is chosen by each text's script."""
+    return dedup.signature(table(spark, sf, "documents"), unit="auto").select("doc_id", F.array_join(F.transform("sig", lambda x: x.cast("string")), ",").alias("sig"))
+
+
+@query("m08_library_cross_check")
+def m08_library(spark, sf):
+    """Pairs that the library's MinHash join finds at 0.75 among different shingle sets, and how many of all pairs these are."""
+    from pyspark.ml.feature import HashingTF, MinHashLSH
+
+    docs = table(spark, sf, "documents").select("doc_id", dedup.shingles(F.col("text")).alias("grams"), F.xxhash64(F.array_sort(dedup.shingles(F.col("text")))).alias("same")).where(F.size("grams") > 0)
+    reps = docs.groupBy("same").agg(F.min("doc_id").alias("doc_id")).select("doc_id")
+    rows = HashingTF(binary=True, inputCol="grams", outputCol="features", numFeatures=1 << 18).transform(cut(docs.drop("same").join(reps, "doc_id")))
+    model = MinHashLSH(inputCol="features", outputCol="hashes", numHashTables=8, seed=7).fit(rows)
+    found = model.approxSimilarityJoin(rows, rows, 0.25).select(F.col("datasetA.doc_id").alias("src"), F.col("datasetB.doc_id").alias("dst")).where("src < dst")
+    truth = dedup.exact_pairs(table(spark, sf, "documents")).where("similarity < 1").select("src", "dst")
+    both = found.withColumn("f", F.lit(1)).join(truth.withColumn("t", F.lit(1)), ["src", "dst"], "full")
+    return both.agg(F.count("t").alias("pairs"), F.count("f").alias("found"), F.sum((F.col("t") == F.col("f")).cast("long")).alias("both"))
+
+
 @query("m08_candidate_pairs", f"WITH {DOCS}, {EDGES} SELECT src, dst FROM edges")
 def m08(spark, sf):
     return _edges(spark, sf)

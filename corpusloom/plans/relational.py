@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+from functools import reduce
+from uuid import uuid4
+
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from corpusloom.functions import sqlapi
 from corpusloom.operators import joins, sampling, vectors
 from corpusloom.plans.registry import query
-from corpusloom.runtime import table
+from corpusloom.runtime import cut, remove, shared_dir, table
+from corpusloom.sources import files
 
 
 def _t(name, *cols):
@@ -253,3 +257,22 @@ def mask(spark, sf):
 def repeated(spark, sf):
     l = F.split("text", "\n")
     return table(spark, sf, "documents").select("doc_id", F.size(l).cast("long").alias("lines"), (F.size(l) - F.size(F.array_distinct(l))).cast("long").alias("repeated"))
+
+
+@query("ops_file_formats", "SELECT f AS format, count(*) AS n, CAST(sum(doc_id) AS BIGINT) AS ids, count(DISTINCT lang) AS langs FROM documents, (VALUES ('csv'), ('json'), ('orc'), ('text')) v(f) GROUP BY f")
+def file_formats(spark, sf):
+    """Narrow rows written and read back in each of the line and column formats."""
+    folder, rows, schema = f"{shared_dir(spark)}/formats-{uuid4().hex}", table(spark, sf, "documents").select("doc_id", "lang"), "doc_id long, lang string"
+    rows.write.option("header", True).csv(f"{folder}/csv")
+    rows.write.json(f"{folder}/json")
+    files.write_orc(rows, f"{folder}/orc")
+    rows.select(F.concat_ws(" ", F.col("doc_id").cast("string"), "lang").alias("value")).write.text(f"{folder}/text")
+    lines = F.split("text", " ")
+    back = {
+        "csv": files.read_csv(spark, f"{folder}/csv", schema), "json": files.read_jsonl(spark, f"{folder}/json", schema), "orc": files.read_orc(spark, f"{folder}/orc", schema),
+        "text": files.read_texts(spark, f"{folder}/text").select(lines[0].cast("long").alias("doc_id"), lines[1].alias("lang")),
+    }
+    found = [df.agg(F.lit(name).alias("format"), F.count("*").alias("n"), F.sum("doc_id").alias("ids"), F.countDistinct("lang").alias("langs")) for name, df in back.items()]
+    out = cut(reduce(lambda a, b: a.unionByName(b), found))
+    remove(spark, folder)
+    return out

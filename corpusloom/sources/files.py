@@ -17,6 +17,15 @@ def read_csv(spark: SparkSession, path: str, schema: str) -> DataFrame:
     return spark.read.schema(schema).option("header", True).csv(path)
 
 
+def read_orc(spark: SparkSession, path: str, schema: str) -> DataFrame:
+    return spark.read.schema(schema).orc(path)
+
+
+def read_texts(spark: SparkSession, path: str, whole: bool = False) -> DataFrame:
+    """(path, text) of text files, a row for each line, or for each file."""
+    return spark.read.option("wholetext", whole).text(path).select(F.input_file_name().alias("path"), F.col("value").alias("text"))
+
+
 def read_images(spark: SparkSession, path: str) -> DataFrame:
     """(path, length, content) of binary files."""
     return spark.read.format("binaryFile").load(path).select("path", "length", "content")
@@ -32,6 +41,10 @@ def write_parallel_lists(df: DataFrame, path: str) -> None:
     df.write.mode("overwrite").option("ignoreNullFields", False).json(path)
 
 
+def write_orc(df: DataFrame, path: str) -> None:
+    df.write.mode("overwrite").option("compression", "zstd").orc(path)
+
+
 def write_bucketed(df: DataFrame, table: str, key: str, buckets: int = 64) -> None:
     """A table whose joins on key need no shuffle."""
     df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
