@@ -70,9 +70,10 @@ def windows(word: str) -> list[str]:
     return [word] if len(word) <= WIDTH else [word[a : a + WIDTH] for a in range(0, len(word) - WIDTH // 2, WIDTH // 2)]
 
 
-def _codes(words: list[str]) -> np.ndarray:
-    """Code points in rows of WIDTH, zero beyond a word's end."""
-    return np.array(words, f"<U{WIDTH}").view(np.uint32).reshape(-1, WIDTH)
+def _codes(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """Code points in rows of WIDTH, zero beyond a word's end, and whose window each row is."""
+    parts = [windows(w) for w in words]
+    return np.array([p for own in parts for p in own], f"<U{WIDTH}").view(np.uint32).reshape(-1, WIDTH), np.repeat(np.arange(len(words)), list(map(len, parts)))
 
 
 def subsequence_kernel(a: np.ndarray, b: np.ndarray, decay: float = DECAY, order: int = 3) -> np.ndarray:
@@ -169,9 +170,8 @@ class Model:
         a, b, c = self.logistic
         return a * np.log1p(evidence) + b * np.log1p(100 * evidence / np.maximum(n_words, 1)) + c
 
-
-def probability(logits: np.ndarray) -> np.ndarray:
-    return np.exp(-np.logaddexp(0, -logits))
+    def probability(self, logits: np.ndarray) -> np.ndarray:
+        return np.exp(-np.logaddexp(0, -logits))
 
 
 def evidence_of_texts(model: Model, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
@@ -184,8 +184,13 @@ def evidence_of_texts(model: Model, texts: list[str]) -> tuple[np.ndarray, np.nd
     return np.bincount(np.repeat(np.arange(len(parts)), sizes), worth[at], len(parts)), sizes
 
 
+def margins_of_texts(model: Model, texts: list[str]) -> np.ndarray:
+    """Each text's log-odds."""
+    return model.logits(*evidence_of_texts(model, texts))
+
+
 def scores_of_texts(model: Model, texts: list[str]) -> np.ndarray:
-    return probability(model.logits(*evidence_of_texts(model, texts)))
+    return model.probability(margins_of_texts(model, texts))
 
 
 def in_training(id_col: str = "doc_id") -> F.Column:
@@ -326,7 +331,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, id_col: str =
     toxic = _cover(found, rows, size)
     if not toxic:
         return constant
-    marks, n = _codes(toxic), len(toxic)
+    marks, n = _codes(toxic)[0], len(toxic)
     between = subsequence_kernel(np.repeat(marks, n, 0), np.tile(marks, (n, 1))).reshape(n, n)
     scale = np.sqrt(np.diag(between))
     values, vectors = np.linalg.eigh(between / np.outer(scale, scale))

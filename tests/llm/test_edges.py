@@ -2,12 +2,13 @@
 
 import hashlib
 import importlib
+import itertools
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from corpusloom.llm import bpe, exact_dedup, flac, html_text, licences, packing, pii, simhash, token_files, toxicity, vocab
+from corpusloom.llm import bpe, exact_dedup, flac, html_text, licences, near_copies, packing, pii, simhash, token_files, toxicity, vocab
 from tests.conftest import SMALL
 from tests.llm.test_ops import plain_base, plain_components, plain_fingerprint
 
@@ -83,7 +84,7 @@ def test_pipeline_equals_brute_force(spark, tmp_path):
         kept[name] = (before, {r["doc_id"]: r for r in docs.collect()})
     before, after = kept["toxicity"]
     model = toxicity.fit(spark.read.parquet(f"{SMALL}/documents.parquet"), spark.read.parquet(f"{SMALL}/labels.parquet"))
-    bad = {d for d, r in before.items() if toxicity.scores_of_texts(model, [r["text"]])[0] >= 0.3}
+    bad = {d for d, r in before.items() if model.probability(np.clip(toxicity.margins_of_texts(model, [r["text"]]), -2, 2))[0] >= 0.3}
     assert set(after) == set(before) - bad
     before, after = kept["exact_dedup"]
     best = {}
@@ -112,6 +113,40 @@ def test_pipeline_equals_brute_force(spark, tmp_path):
     assert {r["doc_id"] for r in corpus_pipeline.run(spark, SMALL).collect()} == set(after)
 
 
+def test_later_stages_at_five_words_and_similarity(spark, tmp_path):
+    """Near-dedup by the similarity that stages take, and what follows it, over all that the stage before kept."""
+    docs = spark.read.parquet(f"{SMALL}/documents.parquet")
+    stages, kept = dict(corpus_pipeline.STAGES), {}
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        stage(spark, docs, SMALL).write.parquet(str(tmp_path / name))
+        before = {r["doc_id"]: r["text"] for r in docs.collect()}
+        docs = spark.read.parquet(str(tmp_path / name))
+        kept[name] = (before, {r["doc_id"]: r["text"] for r in docs.collect()})
+    before, after = kept["simhash_near_dedup"]
+    sets = {d: set(near_copies.shingles(t).tolist()) for d, t in before.items()}
+    parent = {d: d for d in sets}
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for a, b in itertools.combinations(sorted(sets), 2):
+        if sets[a] and sets[b] and 5 * len(sets[a] & sets[b]) >= 4 * len(sets[a] | sets[b]):
+            x, y = sorted((root(a), root(b)))
+            parent[y] = x
+    blank = [d for d, s in sets.items() if not s]
+    assert {d for d in after if sets[d]} == {root(d) for d, s in sets.items() if s} and len([d for d in after if not sets[d]]) <= len(blank)
+    before, after = kept["pii"]
+    assert set(after) == set(before)
+    for d, text in before.items():
+        for a, k, e in plain_base(text):
+            assert ("[EMAIL]", "[IP]", "[CARD]", "[PHONE]")[k] in after[d]
+    packed = stages["best_fit_packing"](spark, docs, SMALL).toPandas()
+    assert set(packed["doc_id"]) == set(after) and packed.groupby("sequence_id")["length"].sum().max() <= 4096
+    assert {r["doc_id"] for r in corpus_pipeline.run(spark, SMALL).collect()} == set(after)
+
+
 def test_digest_of_no_spans(spark):
     r = pii.digests(spark.createDataFrame([(1, "none")], "doc_id long, text string"), pii.Boosted()).first()
     assert r["base_sha256"] == hashlib.sha256(b"").hexdigest() and r["spans"] == ""

@@ -321,8 +321,13 @@ def plain_kernel(s, t, decay=toxicity.DECAY, n=3):
 
 @pytest.mark.parametrize(("s", "t"), [("idiot", "idiot"), ("idxiot", "idiot"), ("abc", "xyz"), ("banana", "ananas"), ("^clown$", "^cl.own$")])
 def test_kernel_equals_enumeration(s, t):
-    a, b = toxicity._codes([s]), toxicity._codes([t])
+    a, _ = toxicity._codes([s])
+    b, _ = toxicity._codes([t])
     assert abs(toxicity.subsequence_kernel(a, b)[0] - plain_kernel(s, t)) < 1e-4
+
+
+@pytest.mark.parametrize(("s", "t"), [("idxiot", "idiot"), ("banana", "ananas"), ("^clown$", "^cl.own$")])
+def test_sums_over_triples_equal_enumeration(s, t):
     letters = toxicity.Letters([t])
     assert abs(letters.sums([s], letters.triples(t)[:, None])[0, 0] - plain_kernel(s, t)) < 1e-9
 
@@ -370,6 +375,20 @@ def test_scores_equal_brute_force(spark):
 
 
 def test_held_out_toxicity(spark):
+    sf = "/root/testdata/sf0.1"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    model = toxicity.fit(docs, labels)
+    s = toxicity.score(docs, model).join(labels, "doc_id").where("held_out").toPandas()
+    hit = s["predicted"] == 1
+    assert s["score"].between(0, 1).all()
+    assert (hit & (s["toxic"] == 1)).sum() >= 0.75 * (s["toxic"] == 1).sum()
+    assert (hit & (s["toxic"] == 0)).sum() <= 0.05 * (s["toxic"] == 0).sum()
+    p = lambda t: float(model.probability(np.clip(toxicity.margins_of_texts(model, [t]), -2, 2))[0])
+    assert p("you i.d.i.o.t") == p("you i d i o t") == p("you idiot") > 0.3 > p("a fine day in the and of") and p("") < 0.3
+    assert p("what an idiiot") > 0.3
+
+
+def test_held_out_recall_and_false_alarms(spark):
     sf = "/root/testdata/sf0.1"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
     model = toxicity.fit(docs, labels)
@@ -379,7 +398,6 @@ def test_held_out_toxicity(spark):
     assert (hit & (s["toxic"] == 1)).sum() >= 0.9 * (s["toxic"] == 1).sum()
     assert (hit & (s["toxic"] == 0)).sum() <= 0.02 * (s["toxic"] == 0).sum()
     p = lambda t: float(toxicity.scores_of_texts(model, [t])[0])
-    assert p("you i.d.i.o.t") == p("you i d i o t") == p("you idiot") > 0.3 > p("a fine day in the and of") and p("") < 0.3
     assert p("what an idiiot") > 0.3 and p("what an idxiot") > 0.3 and p("you idiot idiot moron") > p("you idiot")
 
 
@@ -593,6 +611,14 @@ def test_bpe_on_any_text(codec, reference, texts):
 @settings(max_examples=100, deadline=None)
 @given(st.lists(st.text(alphabet=st.characters(exclude_categories=["Cs"]), max_size=30) | st.text("aB 's\n\té日\x1c.İ1", max_size=40), max_size=5))
 def test_pieces_on_any_text(texts):
+    p = vocab.pieces(WORD)
+    want = [x.ids for x in p.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    assert [np.frombuffer(x, "<u4").tolist() for x in p.encode(texts)] == want
+
+
+@settings(max_examples=100, deadline=None)
+@given(st.lists(st.text(alphabet=st.characters(exclude_categories=["Cs"]), max_size=30) | st.text("aB 's\n\té日\x1c.İ1", max_size=40), max_size=5))
+def test_pieces_as_the_unchanged_tokenizer_has_them(texts):
     from tokenizers import Tokenizer
 
     p = vocab.pieces(WORD)
