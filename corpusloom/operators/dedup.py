@@ -85,7 +85,7 @@ def signature(docs: DataFrame, id_col: str = "doc_id", ngram: int = 5, hashes: i
         members = affine_family(hashes)
 
         def one(units: list[str], glue: str) -> list[int] | None:
-            return grams.affine_minima(np.fromiter(map(grams.md5_prefix, grams.spans(units, ngram, glue)), np.int64), members, PRIME).tolist() if units else None
+            return grams.affine_minima(grams.md5_prefixes(grams.spans(units, ngram, glue)), members, PRIME).tolist() if units else None
     elif family == "xxhash64":
         members = multiply_family(hashes)
 

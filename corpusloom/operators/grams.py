@@ -16,8 +16,8 @@ from pyspark.sql import functions as F
 
 from corpusloom.runtime import ensure_importable
 
-#: Grams that are held against the hash family at once.
-BLOCK = 1 << 14
+#: Grams that are held against the hash family at once: with a hundred members, what a core's cache holds.
+BLOCK = 1 << 10
 
 
 def spans(units: list[str], n: int, glue: str = " ") -> Iterator[bytes]:
@@ -38,6 +38,12 @@ def md5_prefix(gram: bytes) -> int:
     return int.from_bytes(hashlib.md5(gram).digest()[:4], "big") >> 4
 
 
+def md5_prefixes(grams: Iterator[bytes]) -> np.ndarray:
+    """md5_prefix of each gram."""
+    md5 = hashlib.md5
+    return (np.frombuffer(b"".join([md5(g, usedforsecurity=False).digest() for g in grams]), ">u4")[::4] >> 4).astype(np.int64)
+
+
 def xx64(gram: bytes) -> int:
     """The hash that Spark's xxhash64 gives a string, unsigned."""
     return xxhash.xxh64_intdigest(gram, 42)
@@ -54,10 +60,12 @@ def affine_minima(hashes: np.ndarray, family: list[tuple[int, int]], prime: int)
 
 def multiply_minima(hashes: np.ndarray, family: list[tuple[int, int]]) -> np.ndarray:
     """min over the hashes of the upper 62 bits of a x + b mod 2^64, a odd."""
-    a, b = (np.array(c, np.uint64) for c in zip(*family, strict=True))
+    a, b = (np.array(c, np.uint64)[:, None] for c in zip(*family, strict=True))
     best = np.full(len(family), np.uint64(2**64 - 1))
     for k in range(0, len(hashes), BLOCK):
-        best = np.minimum(best, (hashes[k : k + BLOCK, None] * a + b).min(0))
+        x = a * hashes[k : k + BLOCK]
+        x += b
+        np.minimum(best, x.min(1), out=best)
     return (best >> np.uint64(2)).astype(np.int64)
 
 

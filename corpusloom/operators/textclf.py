@@ -33,9 +33,9 @@ def nb_score(docs: DataFrame, model: DataFrame, id_col: str = "doc_id", local: i
     A model of at most `local` tokens is sent to the tasks and scoring is map-only. Beyond that, distinct tokens of each
     document are joined to it; both give the same scores.
     """
-    few = model.limit(local + 1).toPandas()
-    if len(few) <= local:
-        weight = dict(zip(few["token"], few["weight"], strict=True))
+    few = model.limit(local + 1).toArrow()
+    if few.num_rows <= local:
+        weight = dict(zip(few["token"].to_pylist(), few["weight"].to_pylist(), strict=True))
         found = grams.weigh(docs, words(F.col("text")), [id_col], lambda ts: np.array([weight.get(t, np.nan) for t in ts]), mean=True).withColumnRenamed("total", "score")
     else:
         t = docs.select(id_col, F.explode(words(F.col("text"))).alias("token")).groupBy(id_col, "token").agg(F.count("*").alias("n"))

@@ -7,19 +7,19 @@ from pyspark.sql import functions as F
 from corpusloom.operators import extract, langid, normalise, rules, sampling, scoring, textclf
 from corpusloom.operators.dedup import union_all
 from corpusloom.plans.registry import query
-from corpusloom.runtime import cut, table
+from corpusloom.runtime import cut, table, texts
 from corpusloom.sources.views import H28, LINKS
 
 PART = {"docs": lambda s, d: table(s, d, "documents"), "labels": lambda s, d: table(s, d, "labels")}
 
 
 def _labelled(spark, sf):
-    return table(spark, sf, "documents").join(table(spark, sf, "labels"), "doc_id")
+    return texts(spark, sf, "documents").join(table(spark, sf, "labels"), "doc_id")
 
 
 @query("m01_plain_text_sql", f"SELECT page_id, length(t) AS n_chars, md5(t) AS text_md5 FROM (SELECT page_id, {extract.article_text_sql('html')} AS t FROM pages)")
 def m01(spark, sf):
-    return extract.plain_text_sql(table(spark, sf, "pages")).select("page_id", F.length("text").cast("long").alias("n_chars"), F.md5(F.col("text").cast("binary")).alias("text_md5"))
+    return extract.plain_text_sql(texts(spark, sf, "pages")).select("page_id", F.length("text").cast("long").alias("n_chars"), F.md5(F.col("text").cast("binary")).alias("text_md5"))
 
 
 _BARE = r"regexp_replace({}, '[^\p{{L}}\p{{N}}_]+', '', 'g')"
@@ -33,40 +33,40 @@ _BARE = r"regexp_replace({}, '[^\p{{L}}\p{{N}}_]+', '', 'g')"
 def m01_match(spark, sf):
     """The parser's text of each page against the document that the page was made from."""
     bare = lambda c: F.regexp_replace(c, r"[^\p{L}\p{N}_]+", "")
-    found = extract.plain_text(table(spark, sf, "pages"), headings=False).select(F.regexp_extract("url", "^https?://[^/]+/[a-z]+/([0-9]+)", 1).cast("long").alias("doc_id"), bare("text").alias("a"))
-    truth = table(spark, sf, "documents").select("doc_id", bare("text").alias("b"))
+    found = extract.plain_text(texts(spark, sf, "pages"), headings=False).select(F.regexp_extract("url", "^https?://[^/]+/[a-z]+/([0-9]+)", 1).cast("long").alias("doc_id"), bare("text").alias("a"))
+    truth = texts(spark, sf, "documents").select("doc_id", bare("text").alias("b"))
     return found.join(truth, "doc_id").agg(F.count("*").alias("pages"), F.sum((F.col("a") == F.col("b")).cast("long")).alias("matches"))
 
 
 @query("m02_interleaved_segments")
 def m02(spark, sf):
-    s = extract.interleaved(table(spark, sf, "pages")).select("page_id", F.explode("segments").alias("s"))
+    s = extract.interleaved(texts(spark, sf, "pages")).select("page_id", F.explode("segments").alias("s"))
     return s.groupBy("page_id").agg(F.count("*").alias("segments"), F.sum((F.col("s.kind") == "math").cast("long")).alias("math"), F.sum((F.col("s.kind") == "image").cast("long")).alias("images"))
 
 
 @query("m02_link_positions", f"WITH {LINKS} SELECT page_id, pos, link FROM links")
 def m02_links(spark, sf):
-    return extract.link_positions(table(spark, sf, "pages"))
+    return extract.link_positions(texts(spark, sf, "pages"))
 
 
 @query("m03_language_keep", "SELECT doc_id, lang FROM documents WHERE lang IN ('en', 'zh')")
 def m03(spark, sf):
-    return langid.keep(table(spark, sf, "documents")).select("doc_id", "lang")
+    return langid.keep(texts(spark, sf, "documents")).select("doc_id", "lang")
 
 
 @query("m03b_declared_language", """SELECT page_id, nullif(coalesce(nullif(regexp_extract(html, '<html[^>]* lang="([a-zA-Z-]+)"', 1), ''), regexp_extract(url, '^https?://[^/]+/([a-z][a-z])/', 1)), '') AS lang FROM pages""")
 def m03b(spark, sf):
-    return langid.declared(table(spark, sf, "pages"))
+    return langid.declared(texts(spark, sf, "pages"))
 
 
 @query("m03c_script_ratio", r"SELECT doc_id, round(length(regexp_replace(text, '[^\p{Latin}]', '', 'g')) / nullif(length(regexp_replace(text, '[^\p{L}]', '', 'g')), 0), 6) AS latin, round(length(regexp_replace(text, '[^\p{Han}]', '', 'g')) / nullif(length(regexp_replace(text, '[^\p{L}]', '', 'g')), 0), 6) AS han FROM documents")
 def m03c(spark, sf):
-    return table(spark, sf, "documents").select("doc_id", F.round(langid.script_ratio(F.col("text"), "Latin"), 6).alias("latin"), F.round(langid.script_ratio(F.col("text")), 6).alias("han"))
+    return texts(spark, sf, "documents").select("doc_id", F.round(langid.script_ratio(F.col("text"), "Latin"), 6).alias("latin"), F.round(langid.script_ratio(F.col("text")), 6).alias("han"))
 
 
 @query("m03_langid_confusion")
 def m03_confusion(spark, sf):
-    docs = cut(sampling.split(table(spark, sf, "documents").select("doc_id", "text", "lang"), "doc_id"))
+    docs = cut(sampling.split(texts(spark, sf, "documents").select("doc_id", "text", "lang"), "doc_id"))
     model = langid.train_subword(docs.where("split = 'train'"))
     return langid.predict(docs.where("split = 'test'"), model, ["lang"]).groupBy("lang", "predicted").agg(F.count("*").alias("n"))
 
@@ -84,11 +84,11 @@ def m04a(spark, sf):
 
 @query("m04b_strip_image_links", r"SELECT doc_id, md5(regexp_replace(text, '!\[[^\]]*\]\([^)]*\)|https?://[^ \n]+\.(?:png|jpe?g|gif|svg|webp)', '', 'g')) AS text_md5 FROM documents")
 def m04b(spark, sf):
-    return table(spark, sf, "documents").select("doc_id", F.md5(extract.strip_image_links(F.col("text")).cast("binary")).alias("text_md5"))
+    return texts(spark, sf, "documents").select("doc_id", F.md5(extract.strip_image_links(F.col("text")).cast("binary")).alias("text_md5"))
 
 
 def _nb(spark, sf):
-    docs = table(spark, sf, "documents").select("doc_id", "text")
+    docs = texts(spark, sf, "documents").select("doc_id", "text")
     lab = sampling.split(table(spark, sf, "labels").select("doc_id", F.col("quality").alias("y")), "doc_id")
     return textclf.nb_score(docs, textclf.nb_fit(docs.join(lab.where("split = 'train'"), "doc_id"))), lab
 
@@ -104,7 +104,7 @@ def m05(spark, sf):
 def m05_linear(spark, sf):
     """Scoring by given hashed weights."""
     weights = [(b * 7919 % 2001 - 1000) / 1000 for b in range(512)]
-    return textclf.score(table(spark, sf, "documents"), weights, 0.1).select("doc_id", F.round("prob", 6).alias("prob"))
+    return textclf.score(texts(spark, sf, "documents"), weights, 0.1).select("doc_id", F.round("prob", 6).alias("prob"))
 
 
 def _metrics(scored, name):
@@ -158,7 +158,7 @@ _RULES_SQL = {
 
 def _one_rule(name):
     def run(spark, sf):
-        return table(spark, sf, "documents").groupBy(F.coalesce(rules.retained()[name], F.lit(False)).alias("hit")).agg(F.count("*").alias("n"))
+        return texts(spark, sf, "documents").groupBy(F.coalesce(rules.retained()[name], F.lit(False)).alias("hit")).agg(F.count("*").alias("n"))
 
     return run
 
@@ -169,12 +169,12 @@ for _q, _name in (("m18_lorem", "lorem"), ("m19_punct_ratio_en", "punctuation"),
 
 @query("m22_rule_reasons", "SELECT doc_id, array_to_string(list_filter([" + ", ".join(f"CASE WHEN {c} THEN '{n}' END" for n, c in _RULES_SQL.items()) + "], lambda x: x IS NOT NULL), ',') AS reasons FROM documents")
 def m22(spark, sf):
-    return rules.apply(table(spark, sf, "documents")).select("doc_id", F.array_join("reasons", ",").alias("reasons"))
+    return rules.apply(texts(spark, sf, "documents")).select("doc_id", F.array_join("reasons", ",").alias("reasons"))
 
 
 @query("m22_rule_ledger", "WITH h AS (SELECT " + ", ".join(f"CAST({c} AS BIGINT) AS {n}" for n, c in _RULES_SQL.items()) + " FROM documents) " + " UNION ALL ".join(f"SELECT '{n}' AS rule, count(*) FILTER ({n} = 1) AS hits, count(*) FILTER ({n} = 1 AND {' + '.join(_RULES_SQL)} = 1) AS only_hits FROM h" for n in _RULES_SQL) + f" UNION ALL SELECT 'any', count(*) FILTER ({' + '.join(_RULES_SQL)} > 0), count(*) FILTER ({' + '.join(_RULES_SQL)} > 0) FROM h")
 def m22_ledger(spark, sf):
-    return rules.ledger(rules.apply(table(spark, sf, "documents")), list(rules.retained()))
+    return rules.ledger(rules.apply(texts(spark, sf, "documents")), list(rules.retained()))
 
 
 _LINES = "list_filter(string_split(text, chr(10)), lambda x: trim(x) <> '')"
@@ -208,7 +208,7 @@ _PROMPT_SIZE = len(scoring.PROMPT.format(text=""))
 @query("m23_judge_interface", f"SELECT doc_id, CASE WHEN s <= 10 THEN s ELSE -1 END AS score FROM (SELECT doc_id, ({_PROMPT_SIZE} + length(text)) % 12 AS s FROM documents)")
 def m23_judge(spark, sf):
     """The judge's interface with a judge that counts digits of the text's length."""
-    return scoring.score(table(spark, sf, "documents").select("doc_id", "text"), lambda prompts: [f"Score: {len(p) % 12}" for p in prompts]).select("doc_id", F.coalesce("score", F.lit(-1)).cast("long").alias("score"))
+    return scoring.score(texts(spark, sf, "documents").select("doc_id", "text"), lambda prompts: [f"Score: {len(p) % 12}" for p in prompts]).select("doc_id", F.coalesce("score", F.lit(-1)).cast("long").alias("score"))
 
 
 @query("m24_positive_set", f"SELECT doc_id, score FROM ({_SCORE_SQL}) WHERE score >= 6")
@@ -244,7 +244,7 @@ _PLAIN = tuple(s for s in normalise.STEPS if s != "lemmas")
 
 @query("m27_normalised_tokens", f"SELECT doc_id, len(t) AS n_tokens, md5(array_to_string(t, ' ')) AS tokens_md5 FROM (SELECT doc_id, {normalise.tokens_sql('text', _PLAIN)} AS t FROM documents)")
 def m27(spark, sf):
-    t = table(spark, sf, "documents").select("doc_id", normalise.tokens(F.col("text"), _PLAIN).alias("t"))
+    t = texts(spark, sf, "documents").select("doc_id", normalise.tokens(F.col("text"), _PLAIN).alias("t"))
     return t.select("doc_id", F.size("t").cast("long").alias("n_tokens"), F.md5(F.array_join("t", " ").cast("binary")).alias("tokens_md5"))
 
 

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from corpusloom.operators import dedup
 from corpusloom.operators.graph import components
 from corpusloom.plans.registry import query
-from corpusloom.runtime import cut, table
+from corpusloom.runtime import cut, texts
 from corpusloom.sources.views import CRAWL, DOC_CRAWL, crawl, doc_crawl
 
 H, B, R = 112, 14, 8  # the operators' defaults
@@ -19,7 +19,7 @@ JACCARD = """pairs AS (SELECT src, dst, len(list_intersect(a.g, b.g)) / (len(a.g
 
 
 def _sigs(spark, sf):
-    return dedup.signature(table(spark, sf, "documents"), hashes=H, family="affine31")
+    return dedup.signature(texts(spark, sf, "documents"), hashes=H, family="affine31")
 
 
 def _edges(spark, sf):
@@ -33,12 +33,12 @@ def m07(spark, sf):
 
 @query("m07_signature_xxhash64")
 def m07b(spark, sf):
-    return dedup.signature(table(spark, sf, "documents"), hashes=H).select("doc_id", F.array_join(F.transform("sig", lambda x: x.cast("string")), ",").alias("sig"))
+    return dedup.signature(texts(spark, sf, "documents"), hashes=H).select("doc_id", F.array_join(F.transform("sig", lambda x: x.cast("string")), ",").alias("sig"))
 
 
 @query("m07_union_by_lang", f"WITH {dedup.signature_sql('documents', 'doc_id', H)} SELECT lang, string_agg(m::VARCHAR, ',' ORDER BY k) AS sig FROM (SELECT lang, k, min(m) AS m FROM sig JOIN documents USING (doc_id) GROUP BY lang, k) GROUP BY lang")
 def m07_union(spark, sf):
-    sigs = dedup.signature(table(spark, sf, "documents"), hashes=H, family="affine31", keep=("lang",))
+    sigs = dedup.signature(texts(spark, sf, "documents"), hashes=H, family="affine31", keep=("lang",))
     return dedup.merge_signatures(sigs, "lang", H).select("lang", F.array_join(F.transform("sig", lambda x: x.cast("string")), ",").alias("sig"))
 
 
@@ -49,13 +49,13 @@ def m07_union(spark, sf):
 def m07b_chars(spark, sf):
     """Shingles of characters, for texts written without spaces."""
     n = F.size(dedup.shingles(F.col("text"), 5, "char"))
-    return table(spark, sf, "documents").select("doc_id", n.cast("long").alias("shingles")).where("shingles > 0")
+    return texts(spark, sf, "documents").select("doc_id", n.cast("long").alias("shingles")).where("shingles > 0")
 
 
 @query("m07b_signature_auto")
 def m07b_auto(spark, sf):
     """Signatures whose unit is chosen by each text's script."""
-    return dedup.signature(table(spark, sf, "documents"), unit="auto").select("doc_id", F.array_join(F.transform("sig", lambda x: x.cast("string")), ",").alias("sig"))
+    return dedup.signature(texts(spark, sf, "documents"), unit="auto").select("doc_id", F.array_join(F.transform("sig", lambda x: x.cast("string")), ",").alias("sig"))
 
 
 @query("m08_library_cross_check")
@@ -63,12 +63,12 @@ def m08_library(spark, sf):
     """Pairs that the library's MinHash join finds at 0.75 among different shingle sets, and how many of all pairs these are."""
     from pyspark.ml.feature import HashingTF, MinHashLSH
 
-    docs = table(spark, sf, "documents").select("doc_id", dedup.shingles(F.col("text")).alias("grams"), F.xxhash64(F.array_sort(dedup.shingles(F.col("text")))).alias("same")).where(F.size("grams") > 0)
+    docs = texts(spark, sf, "documents").select("doc_id", dedup.shingles(F.col("text")).alias("grams"), F.xxhash64(F.array_sort(dedup.shingles(F.col("text")))).alias("same")).where(F.size("grams") > 0)
     reps = docs.groupBy("same").agg(F.min("doc_id").alias("doc_id")).select("doc_id")
     rows = HashingTF(binary=True, inputCol="grams", outputCol="features", numFeatures=1 << 18).transform(cut(docs.drop("same").join(reps, "doc_id")))
     model = MinHashLSH(inputCol="features", outputCol="hashes", numHashTables=8, seed=7).fit(rows)
     found = model.approxSimilarityJoin(rows, rows, 0.25).select(F.col("datasetA.doc_id").alias("src"), F.col("datasetB.doc_id").alias("dst")).where("src < dst")
-    truth = dedup.exact_pairs(table(spark, sf, "documents")).where("similarity < 1").select("src", "dst")
+    truth = dedup.exact_pairs(texts(spark, sf, "documents")).where("similarity < 1").select("src", "dst")
     both = found.withColumn("f", F.lit(1)).join(truth.withColumn("t", F.lit(1)), ["src", "dst"], "full")
     return both.agg(F.count("t").alias("pairs"), F.count("f").alias("found"), F.sum((F.col("t") == F.col("f")).cast("long")).alias("both"))
 
@@ -154,7 +154,7 @@ def w17(spark, sf):
 
 @query("m13_verified_pairs", f"WITH {DOCS}, {EDGES}, {JACCARD} SELECT src, dst, round(similarity, 6) AS similarity FROM pairs WHERE similarity >= 0.75")
 def m13(spark, sf):
-    return dedup.verify(_edges(spark, sf), table(spark, sf, "documents")).withColumn("similarity", F.round("similarity", 6))
+    return dedup.verify(_edges(spark, sf), texts(spark, sf, "documents")).withColumn("similarity", F.round("similarity", 6))
 
 
 @query(
@@ -162,12 +162,12 @@ def m13(spark, sf):
     f"WITH {DOCS}, {EDGES} SELECT src, dst, sum(CAST(a.m = b.m AS INTEGER)) / {H}.0::DOUBLE AS similarity FROM edges JOIN sig a ON a.doc_id = src JOIN sig b ON b.doc_id = dst AND a.k = b.k GROUP BY src, dst HAVING sum(CAST(a.m = b.m AS INTEGER)) >= {H * 3 // 4}",
 )
 def m13b(spark, sf):
-    return dedup.verify(_edges(spark, sf), table(spark, sf, "documents"), "estimate", hashes=H, family="affine31")
+    return dedup.verify(_edges(spark, sf), texts(spark, sf, "documents"), "estimate", hashes=H, family="affine31")
 
 
 @query("m14_components", f"WITH RECURSIVE {DOCS}, {EDGES}, {JACCARD}, good AS (SELECT src, dst FROM pairs WHERE similarity >= 0.75), {dedup.closure_sql('good')} SELECT node, component FROM comp")
 def m14(spark, sf):
-    return components(dedup.verify(_edges(spark, sf), table(spark, sf, "documents")))
+    return components(dedup.verify(_edges(spark, sf), texts(spark, sf, "documents")))
 
 
 @query("m14b_bucket_representative", f"WITH {DOCS} SELECT DISTINCT doc_id FROM (SELECT doc_id, min(doc_id) OVER (PARTITION BY band, key) AS low FROM bands) WHERE doc_id > low")
@@ -193,7 +193,7 @@ def m15(spark, sf):
     r"SELECT doc_id, max(doc_id) OVER w AS keep_id, doc_id = max(doc_id) OVER w AS kept FROM documents WINDOW w AS (PARTITION BY trim(regexp_replace(lower(text), '[^\p{L}\p{N}]+', ' ', 'g')))",
 )
 def m16(spark, sf):
-    return dedup.exact(table(spark, sf, "documents"), dedup.normalised(F.col("text")))
+    return dedup.exact(texts(spark, sf, "documents"), dedup.normalised(F.col("text")))
 
 
 def _url_sql(part: str, key: str = "url") -> str:
@@ -239,7 +239,7 @@ _TRUTH = """k AS (SELECT doc_id, list_sort(g) AS g, min(doc_id) OVER (PARTITION
 )
 def b12(spark, sf):
     """Pairs of different shingle sets at 0.75 or more, and each copy beside its set's least document."""
-    return dedup.exact_pairs(table(spark, sf, "documents")).withColumn("similarity", F.round("similarity", 6))
+    return dedup.exact_pairs(texts(spark, sf, "documents")).withColumn("similarity", F.round("similarity", 6))
 
 
 @query(
@@ -250,7 +250,7 @@ def b12(spark, sf):
 )
 def e13(spark, sf):
     """Pairs of the bands against all pairs, by components: what bands miss and what they add."""
-    docs = table(spark, sf, "documents")
+    docs = texts(spark, sf, "documents")
     truth = cut(dedup.exact_pairs(docs).select("src", "dst"))
     found = cut(_edges(spark, sf).select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")))
     good = dedup.verify(found, docs).select("src", "dst")

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from corpusloom.operators import extract, images, interleave, sampling, training
 from corpusloom.operators.dedup import union_all
 from corpusloom.plans.registry import query
-from corpusloom.runtime import cut, table
+from corpusloom.runtime import cut, table, texts
 from corpusloom.sources.views import H28, REFS_STAR, REFS_WEB, image_refs_star, image_refs_web
 
 #: Caps that bite on the given tables; the operators' defaults are 10 and 100.
@@ -23,7 +23,7 @@ def _segments(spark, sf):
         k.cast("int").alias("pos"), F.when(h.startswith("<a"), "image").otherwise("text").alias("kind"),
         F.when(~h.startswith("<a"), F.regexp_replace(h, "^<p>", "")).alias("text"), F.when(h.startswith("<a"), F.regexp_extract(h, '"([^"]*)"', 1)).alias("image_url"),
     )
-    return table(spark, sf, "pages").select(F.col("page_id").alias("doc_id"), F.transform(hits, kind).alias("segments"))
+    return texts(spark, sf, "pages").select(F.col("page_id").alias("doc_id"), F.transform(hits, kind).alias("segments"))
 
 
 _SEG = f"""seg AS (SELECT doc_id, pos, CASE WHEN h LIKE '<a%' THEN NULL ELSE regexp_replace(h, '^<p>', '') END AS text, CASE WHEN h LIKE '<a%' THEN regexp_extract(h, '"([^"]*)"', 1) END AS image_url
@@ -47,7 +47,7 @@ def m28_roundtrip(spark, sf):
 @query("m28_extracted_lists")
 def m28_extracted(spark, sf):
     """The parser's segments as parallel lists."""
-    d = interleave.to_parallel_lists(extract.interleaved(table(spark, sf, "pages")))
+    d = interleave.to_parallel_lists(extract.interleaved(texts(spark, sf, "pages")))
     return d.select("page_id", F.size("texts").alias("n"), interleave.n_images(F.col("images")).alias("n_images"), F.md5(F.array_join("texts", "|", "~").cast("binary")).alias("texts_md5"))
 
 
@@ -130,7 +130,7 @@ def t03(spark, sf):
 
 
 def _sizes(spark, sf):
-    docs = table(spark, sf, "documents").select("doc_id", F.size(F.filter(F.split("text", "[ \t\r\n]+"), lambda w: w != "")).cast("long").alias("n_tokens"))
+    docs = texts(spark, sf, "documents").select("doc_id", F.size(F.filter(F.split("text", "[ \t\r\n]+"), lambda w: w != "")).cast("long").alias("n_tokens"))
     refs = image_refs_web(spark, sf).groupBy("doc_id").agg(F.count("*").alias("n_images"))
     return docs.join(refs, "doc_id", "left").select("doc_id", "n_tokens", F.coalesce("n_images", F.lit(0)).alias("n_images"))
 

@@ -10,7 +10,7 @@ from corpusloom.plans import baselines as B
 from corpusloom.plans.curation import _PROMPT_SIZE, _RULES_SQL, _nb, _split
 from corpusloom.plans.dedup_queries import _step_sql
 from corpusloom.plans.registry import query
-from corpusloom.runtime import cut, table
+from corpusloom.runtime import cut, table, texts
 from corpusloom.sources.views import CRAWL, H28, crawl, hash28
 
 
@@ -109,7 +109,7 @@ def e02(spark, sf):
 @query("b01_extraction_comparison", "SELECT 'interleaved' AS extractor, count(*) FILTER (html LIKE '%</h1>%') AS formulas, count(*) FILTER (html LIKE '%</h1>%') AS images FROM pages UNION ALL SELECT 'plain', 0, 0")
 def b01(spark, sf):
     """Formulas and images that each extractor keeps, on pages with planted formulas and images."""
-    pages = table(spark, sf, "pages").select("page_id", "url", F.regexp_replace("html", "</h1>", r"</h1><p>Let \\(x^2+1\\) be</p><img src='/f.png'>").alias("html"))
+    pages = texts(spark, sf, "pages").select("page_id", "url", F.regexp_replace("html", "</h1>", r"</h1><p>Let \\(x^2+1\\) be</p><img src='/f.png'>").alias("html"))
 
     def count(df, name):
         s = df.select(F.explode("segments").alias("s"))
@@ -123,7 +123,7 @@ def _two_filters(spark, sf):
     from corpusloom.plans import pipeline
     from corpusloom.plans.curation import _scores
 
-    cfg, docs = pipeline.Config(), cut(table(spark, sf, "documents").select("doc_id", "text"))
+    cfg, docs = pipeline.Config(), cut(texts(spark, sf, "documents").select("doc_id", "text"))
     labels = table(spark, sf, "labels")
     good = docs.join(labels.where("quality = 1"), "doc_id", "left_semi").select("text")
     bad = docs.join(labels.where("quality = 0"), "doc_id", "left_semi").select("text")
@@ -169,7 +169,7 @@ def w08(spark, sf):
 
 @query("w18_contamination", r"WITH w AS (SELECT doc_id, list_filter(string_split(regexp_replace(lower(text), '[^\p{L}\p{N}]+', ' ', 'g'), ' '), lambda v: v <> '') AS p FROM documents), v AS (SELECT item_id, list_filter(string_split(regexp_replace(lower(text), '[^\p{L}\p{N}]+', ' ', 'g'), ' '), lambda v: v <> '') AS p FROM benchmark), a AS (SELECT DISTINCT doc_id, unnest(list_transform(range(1, greatest(len(p) - 7, 1) + 1), lambda i: array_to_string(p[i : i + 7], ' '))) AS g FROM w WHERE len(p) > 0), b AS (SELECT DISTINCT item_id, unnest(list_transform(range(1, greatest(len(p) - 7, 1) + 1), lambda i: array_to_string(p[i : i + 7], ' '))) AS g FROM v WHERE len(p) > 0) SELECT doc_id, count(DISTINCT item_id) AS items, count(DISTINCT g) AS grams FROM a JOIN b USING (g) GROUP BY doc_id")
 def w18(spark, sf):
-    return evaluate.contamination(table(spark, sf, "documents"), table(spark, sf, "benchmark"))
+    return evaluate.contamination(texts(spark, sf, "documents"), table(spark, sf, "benchmark"))
 
 
 _FUNNEL = f"""WITH {CRAWL}, s0 AS (SELECT c.rec_id, c.url, c.snapshot_date, c.year, d.text, d.lang FROM crawl c JOIN documents d ON d.doc_id = CAST(regexp_extract(url, '^https?://[^/]+/[a-z]+/([0-9]+)', 1) AS BIGINT)),
@@ -186,7 +186,7 @@ def m36(spark, sf):
     """The ledger of the stages that SQL can follow: language, copies within a year, URLs within a year, rules."""
     key = F.regexp_extract("url", "^https?://[^/]+/[a-z]+/([0-9]+)", 1).cast("long")
     pages = crawl(spark, sf).select("rec_id", "url", "snapshot_date", "year", key.alias("doc_id"))
-    s0 = pages.join(table(spark, sf, "documents").select("doc_id", "text", "lang"), "doc_id")
+    s0 = pages.join(texts(spark, sf, "documents").select("doc_id", "text", "lang"), "doc_id")
     s1 = s0.where(F.col("lang").isin("en", "zh"))
     narrow = s1.select("rec_id", "url", "snapshot_date", "year", F.sha2(dedup.normalised(F.col("text")), 256).alias("h"))
     flagged = rules.apply(s1).select("rec_id", "kept")
@@ -201,7 +201,7 @@ def m36(spark, sf):
 def _path(spark, sf, cfg):
     from corpusloom.plans.pipeline import curate
 
-    docs, labels = table(spark, sf, "documents"), table(spark, sf, "labels")
+    docs, labels = texts(spark, sf, "documents"), table(spark, sf, "labels")
     pool = lambda q: docs.join(labels.where(F.col("quality") == q), "doc_id", "left_semi").select("text")
     return curate(spark, crawl(spark, sf), pool(1), cfg, pool(0), docs.select("text", "lang"))
 
@@ -252,8 +252,8 @@ def m36_ledger(spark, sf):
 
 @query("m37_corpus_stats", r"SELECT count(*) AS docs, CAST(sum(len(list_filter(regexp_split_to_array(text, '[ \t\r\n]+'), lambda w: w <> ''))) AS BIGINT) AS tokens, CAST(sum(length(text)) AS BIGINT) AS chars, (SELECT CAST(sum(len(regexp_extract_all(html, '<a href=')))  AS BIGINT) FROM pages) AS image_refs FROM documents")
 def m37(spark, sf):
-    t = table(spark, sf, "documents").agg(F.count("*").alias("docs"), F.sum(rules.n_words(F.col("text"))).alias("tokens"), F.sum(F.length("text")).alias("chars"))
-    return t.crossJoin(table(spark, sf, "pages").agg(F.sum(F.regexp_count("html", F.lit("<a href="))).alias("image_refs")))  # one row each
+    t = texts(spark, sf, "documents").agg(F.count("*").alias("docs"), F.sum(rules.n_words(F.col("text"))).alias("tokens"), F.sum(F.length("text")).alias("chars"))
+    return t.crossJoin(texts(spark, sf, "pages").agg(F.sum(F.regexp_count("html", F.lit("<a href="))).alias("image_refs")))  # one row each
 
 
 @query("e01_stage_ledger", f"SELECT 1 AS step, 'language' AS stage, count(*) AS n_in, count(*) FILTER (lang = 'en') AS n_out, round(count(*) FILTER (lang = 'en') / count(*), 6) AS kept_frac FROM documents UNION ALL SELECT 2, 'rules', count(*), count(*) FILTER (NOT ({' OR '.join(_RULES_SQL.values())})), round(count(*) FILTER (NOT ({' OR '.join(_RULES_SQL.values())})) / count(*), 6) FROM documents WHERE lang = 'en'")
@@ -261,7 +261,7 @@ def e01_ledger(spark, sf):
     """Two stages counted in one pass over the documents."""
     from corpusloom.operators.funnel import ledger
 
-    found = ledger(rules.apply(table(spark, sf, "documents")), [("language", F.col("lang") == "en"), ("rules", F.col("kept"))])
+    found = ledger(rules.apply(texts(spark, sf, "documents")), [("language", F.col("lang") == "en"), ("rules", F.col("kept"))])
     return found.select("step", "stage", "n_in", "n_out", F.round("kept_frac", 6).alias("kept_frac"))
 
 
@@ -270,7 +270,7 @@ def e14(spark, sf):
     """What stages of the path cost the engine: seconds, rows a second, shuffled and spilled bytes."""
     from corpusloom.operators import cost, normalise
 
-    docs, pages = table(spark, sf, "documents"), table(spark, sf, "pages")
+    docs, pages = texts(spark, sf, "documents"), texts(spark, sf, "pages")
     stages = {
         "extraction": (pages, extract.with_text(pages)), "exact_dedup": (docs, dedup.exact(docs, dedup.normalised(F.col("text")))), "signatures": (docs, dedup.signature(docs)), "rules": (docs, rules.apply(docs)),
         "url_dedup": (pages, dedup.url(crawl(spark, sf))), "normalised": (docs, docs.select("doc_id", normalise.tokens(F.col("text")))),
@@ -292,7 +292,7 @@ def m03_filter(spark, sf):
     """Documents that a subword model finds to be English with at least nine in ten."""
     from corpusloom.operators import langid, sampling
 
-    docs = cut(sampling.split(table(spark, sf, "documents").select("doc_id", "text", "lang"), "doc_id"))
+    docs = cut(sampling.split(texts(spark, sf, "documents").select("doc_id", "text", "lang"), "doc_id"))
     model = langid.train_subword(docs.where("split = 'train'"))
     return langid.filter(docs.where("split = 'test'"), model, ("en",), 0.9).select("doc_id", "predicted", F.round("lang_prob", 4).alias("lang_prob"))
 
@@ -302,4 +302,4 @@ def m26_judge(spark, sf):
     """The judge as the filter, on a stand-in that likes long texts."""
     from corpusloom.operators import scoring
 
-    return scoring.filter(table(spark, sf, "documents").select("doc_id", "text"), lambda prompts: [str(min(10, len(p) // 300)) for p in prompts]).select("doc_id")
+    return scoring.filter(texts(spark, sf, "documents").select("doc_id", "text"), lambda prompts: [str(min(10, len(p) // 300)) for p in prompts]).select("doc_id")

@@ -65,3 +65,22 @@ def cut(df: DataFrame, batch: int | None = None) -> DataFrame:
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+#: Bytes of input a core below which a table in few files is dealt out, and bytes that are worth a task.
+FEW, WORTH = 64 << 20, 256 << 10
+
+
+def texts(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A table of texts, over all cores.
+
+    A row group is read by one task, so a small table in few files keeps few cores busy with all that is done to its texts.
+    Such a table is dealt out first; filters and column pruning pass below that exchange. A table of FEW a core or more has
+    row groups enough and is read as it is, so what the exchange moves has a bound.
+    """
+    df, cores = table(spark, sf_dir, name), spark.sparkContext.defaultParallelism
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if size >= cores * FEW or (files := len(df.inputFiles())) >= cores:
+        return df
+    parts = min(2 * cores, size // WORTH)
+    return df.repartition(parts) if parts > files else df

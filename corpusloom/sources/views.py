@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from corpusloom.runtime import table
+from corpusloom.runtime import table, texts
 
 SNAPSHOTS = 8
 
@@ -20,18 +20,18 @@ def _crawled(df: DataFrame, key: str) -> DataFrame:
 
 
 def crawl(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _crawled(table(spark, sf_dir, "pages"), "page_id")
+    return _crawled(texts(spark, sf_dir, "pages"), "page_id")
 
 
 def doc_crawl(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _crawled(table(spark, sf_dir, "documents").select("doc_id", "text", "lang"), "doc_id")
+    return _crawled(texts(spark, sf_dir, "documents").select("doc_id", "text", "lang"), "doc_id")
 
 
 def image_refs_web(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(doc_id, pos, image_url): links of pages in order, absolute; they stand in for images."""
     from corpusloom.operators.extract import link_positions
 
-    return link_positions(table(spark, sf_dir, "pages")).select(F.col("page_id").alias("doc_id"), "pos", F.col("link").alias("image_url"))
+    return link_positions(texts(spark, sf_dir, "pages")).select(F.col("page_id").alias("doc_id"), "pos", F.col("link").alias("image_url"))
 
 
 def image_refs_star(spark: SparkSession, sf_dir: str) -> DataFrame:
