@@ -7,51 +7,51 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from corpusloom.llm import bpe, exact_dedup, flac, html_text, licences, packing, pii, simhash, token_files, toxicity, vocab
-from corpusloom.runtime import table
+from corpusloom.runtime import table, texts
 
 
 def op1_html_line_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return html_text.extract(table(spark, sf_dir, "pages"))
+    return html_text.extract(texts(spark, sf_dir, "pages"))
 
 
 def op2_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return simhash.near_duplicates(table(spark, sf_dir, "documents"))
+    return simhash.near_duplicates(texts(spark, sf_dir, "documents"))
 
 
 def op3_pii_boosted(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs = texts(spark, sf_dir, "documents")
     return pii.digests(docs, pii.fit(docs))
 
 
 def op4_licence_digests(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return licences.scan(table(spark, sf_dir, "documents"))
+    return licences.scan(texts(spark, sf_dir, "documents"))
 
 
 def op5_separator_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return token_files.document_counts(table(spark, sf_dir, "documents"), vocab.at("word_bpe_49k.json"), end_id=49407)
+    return token_files.document_counts(texts(spark, sf_dir, "documents"), vocab.at("word_bpe_49k.json"), end_id=49407)
 
 
 def op6_toxicity_kernel_svm(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs = texts(spark, sf_dir, "documents")
     return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
 
 
 def op7_flac_media(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return flac.digests(table(spark, sf_dir, "documents"))
+    return flac.digests(texts(spark, sf_dir, "documents"))
 
 
 def op8_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     # Workers that do nothing else have room for a larger cache.
-    pieces = packing.document_pieces(table(spark, sf_dir, "documents"), vocab.at("word_bpe_49k.json"), cache=900_000, block_chars=8_000_000)
+    pieces = packing.document_pieces(texts(spark, sf_dir, "documents"), vocab.at("word_bpe_49k.json"), cache=900_000, block_chars=8_000_000)
     return packing.pack(pieces)[0]
 
 
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return bpe.digests(table(spark, sf_dir, "documents"), vocab.at("byte_bpe_multi_50k.tiktoken"))
+    return bpe.digests(texts(spark, sf_dir, "documents"), vocab.at("byte_bpe_multi_50k.tiktoken"))
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return exact_dedup.exact_duplicates(table(spark, sf_dir, "documents"))
+    return exact_dedup.exact_duplicates(texts(spark, sf_dir, "documents"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
