@@ -109,3 +109,46 @@ def test_whole_pipeline_keeps_one_of_each_component(spark, tmp_path):
         docs = spark.read.parquet(str(tmp_path / name))
     want = _kept([(r["doc_id"], r["text"]) for r in docs.collect()])
     assert {r["doc_id"] for r in corpus_pipeline.run(spark, SMALL).collect()} == want
+
+
+def _group(n: int = 80) -> list[str]:
+    """Near copies of one text, each with one other word exchanged: nearly all pairs are at 0.8 or more."""
+    base = [f"g{i}" for i in range(150)]
+    return [" ".join([*base[:k], f"other{k}", *base[k + 1 :]]) for k in range(n)]
+
+
+def test_a_list_of_near_copies_costs_a_pair_a_member():
+    import numpy as np
+
+    sets = [near_copies.shingles(t) for t in _group()]
+    sizes, sketches = np.array([len(s) for s in sets]), [np.array(near_copies.parities(s), np.int64).view(np.uint64) for s in sets]
+    forest, whole = (sum(len(j) for _, j in near_copies.search(sizes, sketches, np.arange(len(sets)), f)) for f in (True, False))
+    assert forest == len(sets) - 1 and whole > 20 * len(sets)
+
+
+def test_search_meets_sketches_of_two_widths():
+    import numpy as np
+
+    long_, other = np.random.default_rng(3).integers(0, 1 << 60, (2, 1_100))
+    sketches = [np.array(near_copies.parities(s), np.int64).view(np.uint64) for s in (long_, long_[:1_000], other[:1_000])]
+    assert len(sketches[0]) == 2 * len(sketches[1])
+    assert [(i.tolist(), j.tolist()) for i, j in near_copies.search(np.array([1_100, 1_000, 1_000]), sketches, np.arange(3))] == [([0], [1])]
+
+
+def test_stage_takes_candidates_from_the_fingerprints(spark, rows, monkeypatch):
+    """The byte-position index of SimHash fingerprints runs in the stage, on the fingerprints of five-word shingles."""
+    seen = []
+
+    def links(nodes, *args, **kwargs):
+        seen.append({r["fp"] for r in nodes.collect()})
+        return simhash.links(nodes, *args, **kwargs)
+
+    monkeypatch.setattr(near_copies, "links", links)
+    near_copies.near_copies(spark.createDataFrame(rows, SCHEMA)).count()
+    assert seen == [{near_copies.fingerprint(near_copies.shingles(t)) for _, t in rows}]
+
+
+def test_fingerprint_is_that_of_the_text():
+    """Of distinct shingles both ways give the same bits."""
+    text = _group(1)[0]
+    assert near_copies.fingerprint(near_copies.shingles(text)) % 2**64 == simhash.fingerprint(text, 5)
