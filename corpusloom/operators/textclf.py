@@ -72,10 +72,15 @@ class Linear:
 
 
 def _buckets(tokens: Column, ngrams: int, buckets: int) -> Column:
-    """Buckets of all n-grams up to ngrams, repeats included."""
+    """Buckets of all n-grams up to ngrams, repeats included: the reference form of grams.buckets_of. Each slice copies the whole
+    array, so a text costs the square of its words."""
 
     def grams_of(ts: Column) -> Column:
-        more = [F.transform(F.when(F.size(ts) >= n, F.sequence(F.lit(1), F.size(ts) - (n - 1))).otherwise(F.array().cast("array<int>")), lambda i, n=n: F.array_join(F.slice(ts, i, F.lit(n)), " ")) for n in range(2, ngrams + 1)]
+        def of(n: int) -> Column:  # not an argument of the lambda with a default: that would be the element's index
+            at = F.when(F.size(ts) >= n, F.sequence(F.lit(1), F.size(ts) - (n - 1))).otherwise(F.array().cast("array<int>"))
+            return F.transform(at, lambda i: F.array_join(F.slice(ts, i, F.lit(n)), " "))
+
+        more = [of(n) for n in range(2, ngrams + 1)]
         return F.concat(ts, *more)
 
     return F.transform(let(tokens, grams_of), lambda g: F.pmod(F.xxhash64(g), F.lit(buckets)).cast("int"))
@@ -87,18 +92,18 @@ def train(df: DataFrame, ngrams: int = 2, buckets: int = 1 << 16, epochs: int =
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.feature import CountVectorizerModel
 
-    ids = F.transform(_buckets(words(F.col("text")) if tokens is None else tokens, ngrams, buckets), lambda b: b.cast("string"))
+    units = words(F.col("text")) if tokens is None else tokens
+    found = grams.map_units(df.select("text", F.col("y").cast("double").alias("y")), units, F.lit(" "), ["y"], lambda u, _: grams.buckets_of(u, ngrams, buckets).tolist(), "ids")
     names = CountVectorizerModel.from_vocabulary([str(b) for b in range(buckets)], inputCol="ids", outputCol="features")  # bucket k is column k
-    rows = names.transform(df.select(ids.alias("ids"), F.col("y").cast("double").alias("y")))
+    rows = names.transform(found.select(F.transform("ids", lambda b: b.cast("string")).alias("ids"), "y")).select("features", "y").persist()
     fitted = LogisticRegression(labelCol="y", maxIter=epochs, regParam=reg).fit(rows)
+    rows.unpersist()
     return Linear(fitted.coefficients.toArray(), float(fitted.intercept), ngrams)
 
 
 def predict(df: DataFrame, model: Linear, keep: list[str], tokens: Column | None = None) -> DataFrame:
     """(keep..., prob), map-only."""
-    weights = model.weights
-    ids = _buckets(words(F.col("text")) if tokens is None else tokens, model.ngrams, len(weights))
-    found = grams.weigh(df, ids, keep, lambda bs: weights[bs], mean=False)
+    found = grams.weigh_grams(df, words(F.col("text")) if tokens is None else tokens, keep, model.weights, model.ngrams)
     return found.select(*keep, (1 / (1 + F.exp(-(F.col("total") + F.lit(model.bias))))).alias("prob"))
 
 
